@@ -1,11 +1,12 @@
 """Near-duplicates by SimHash fingerprints, found through a Golay-code fuzzy hash.
 
-A 64-bit fingerprint is cut into three segments of 22, 21 and 21 bits. Where two fingerprints differ in three bits at
-most, the two segments left after dropping the worst one differ in one bit at most each. A Golay decoder gives every
-segment its nearest codeword and, for most, five others at distance 4; of two segments one bit apart, the nearest
-codeword of either is on the list of the other. So, for each of the three pairs of segments, a fingerprint gets the
-keys (nearest, any on the list) and (any on the list, nearest): 11 at most. Fingerprints that link share such a key.
-Key space per pair: 2^24, so few others meet. A bucket gives a spanning forest of its true links, never all pairs.
+A 64-bit fingerprint is cut into three segments of 22, 21 and 21 bits; a Golay decoder gives every segment its nearest
+codeword and, for most, five others at distance 4. Of two segments one bit apart, the nearest codeword of either is on
+the list of the other. Where two fingerprints differ in three bits at most, either a segment is equal and one of the
+others is one bit off at most, or each segment is one bit off. So a fingerprint gets, for each of the six ordered pairs
+of segments, the keys (one segment's bits, any on the other's list), and for the last case the keys (nearest, nearest,
+any on the list) and (any, any, nearest): 66 in the mean. Fingerprints that link share a key; keys have 33 bits at
+least, so few others meet. A bucket gives a spanning forest of its true links, never all pairs.
 """
 
 from __future__ import annotations
@@ -24,7 +25,7 @@ from .shared import binary, materialise
 
 MAX_BITS = 3
 SEGMENTS = ((42, 22), (21, 21), (0, 21))
-PAIRS = ((0, 1), (0, 2), (1, 2))
+PAIRS = ((0, 1), (0, 2), (1, 0), (1, 2), (2, 0), (2, 1))
 #: A bucket with more fingerprints is split into blocks of about half as many, compared two at a time.
 BUCKET = 2048
 
@@ -56,20 +57,29 @@ def fingerprints(docs: DataFrame, width: int = 3, seed: int = 42, id_col: str =
 
 def golay_keys(fps: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """(row, key) for every key of every fingerprint."""
-    fps = fps.view(np.uint64)
-    rows, keys, at = [], [], np.arange(len(fps))
-    parts = []
-    for shift, bits in SEGMENTS:
-        nearest, others = golay.decode((fps >> np.uint64(shift) & np.uint64((1 << bits) - 1)).astype(np.int64))
-        parts.append((nearest, others))
-    for p, (i, j) in enumerate(PAIRS):
-        (a, more_a), (b, more_b) = parts[i], parts[j]
-        rows.append(at)
-        keys.append(p << 24 | a << 12 | b)
-        for k in range(5):
-            for left, right, ok in ((a, more_b[:, k], more_b[:, k] >= 0), (more_a[:, k], b, more_a[:, k] >= 0)):
-                rows.append(at[ok])
-                keys.append((p << 24 | left << 12 | right)[ok])
+    fps, at = fps.view(np.uint64), np.arange(len(fps))
+    bits = [(fps >> np.uint64(shift) & np.uint64((1 << n) - 1)).astype(np.int64) for shift, n in SEGMENTS]
+    nearest, lists = [], []
+    for x in bits:
+        near, others = golay.decode(x)
+        nearest.append(near)
+        lists.append(np.column_stack([near, others]))
+    rows, keys = [], []
+
+    def add(tag: int, key: np.ndarray, *listed: np.ndarray) -> None:
+        ok = np.logical_and.reduce([x >= 0 for x in listed])
+        rows.append(at[ok])
+        keys.append((tag << 40 | key)[ok])
+
+    for tag, (same, off) in enumerate(PAIRS):
+        for k in range(6):
+            add(tag, bits[same] << 12 | lists[off][:, k], lists[off][:, k])
+    a, b, c = nearest
+    for k in range(6):
+        add(6, a << 24 | b << 12 | lists[2][:, k], lists[2][:, k])
+        for j in range(6):
+            if k or j:  # the two nearest ones with the third are among the keys above
+                add(6, lists[0][:, k] << 24 | lists[1][:, j] << 12 | c, lists[0][:, k], lists[1][:, j])
     return np.concatenate(rows), np.concatenate(keys)
 
 

@@ -59,7 +59,7 @@ def test_golay_keys_meet():
     rb, kb = golay_keys(b)
     left, right = set(zip(ra.tolist(), ka.tolist())), set(zip(rb.tolist(), kb.tolist()))
     assert {r for r, _ in left & right} == set(range(len(a)))
-    assert len(ka) <= 33 * len(a)
+    assert len(ka) <= 77 * len(a) and len(set(zip(ra.tolist(), ka.tolist()))) == len(ka)
     nearest, others = golay.decode(np.arange(1 << 23))
     assert len(np.unique(nearest)) == 4096 and set((others >= 0).sum(axis=1)) == {0, 5}
 
