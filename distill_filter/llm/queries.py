@@ -4,15 +4,19 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
+import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from .bpe import bpe_round_trip
 from .chat import END, START, events_of, format_conversations, masked_text, parse
+from .counts import count_tokens
 from .langid import identify_languages
 from .pii import pii_digest
 from .quality import CLASSES, COMMON_WORDS, Limits, assess_quality
 from .shared import materialise, new_path
 from .simhash import simhash_components
+from .store import read_documents, verify_store, write_store
 from .warc import read_warc, write_warc
 
 
@@ -38,6 +42,15 @@ def op5_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pii_digest(_table(spark, sf_dir, "documents"))
 
 
+def op6_bpe_codec(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = bpe_round_trip(_table(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_50k.json"))
+    return found.select("doc_id", (F.octet_length("ids") / 4).cast("long").alias("n_tokens"), F.sha2("ids", 256).alias("ids_sha256"), F.sha2("decoded", 256).alias("decoded_sha256"))
+
+
+def op7_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return count_tokens(_table(spark, sf_dir, "documents"), public_tokenizers.path("piece_bpe_32k.model"), limit=4096)
+
+
 def op8_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:
     talks = _table(spark, sf_dir, "conversations").select("conv_id", "turn", "role", "text")
     hard = f"{END}{START}assistant ok"
@@ -51,12 +64,19 @@ def op8_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+def op9_token_store(spark: SparkSession, sf_dir: str) -> DataFrame:
+    path = new_path(spark, "token-store")
+    root = write_store(_table(spark, sf_dir, "documents"), path, public_tokenizers.path("word_bpe_49k.json"), end_id=2)
+    verify_store(spark, path, root)
+    return read_documents(spark, path)
+
+
 def op10_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     return identify_languages(_table(spark, sf_dir, "documents"))
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    f.__name__: f for f in (op1_simhash_near_dedup, op2_warc_round_trip, op3_quality_rules, op5_pii, op8_chat_format, op10_language_id)
+    f.__name__: f for f in (op1_simhash_near_dedup, op2_warc_round_trip, op3_quality_rules, op5_pii, op6_bpe_codec, op7_token_counts, op8_chat_format, op9_token_store, op10_language_id)
 }
 
 
