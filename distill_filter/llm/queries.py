@@ -11,6 +11,7 @@ from pyspark.sql import functions as F
 from .bpe import bpe_round_trip
 from .chat import END, START, events_of, format_conversations, masked_text, parse
 from .counts import count_tokens
+from .decontaminate import find_contamination
 from .langid import identify_languages
 from .pii import pii_digest
 from .quality import CLASSES, COMMON_WORDS, Limits, assess_quality
@@ -38,6 +39,10 @@ def op3_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept")
 
 
+def op4_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return find_contamination(_table(spark, sf_dir, "documents"), _table(spark, sf_dir, "benchmark"))
+
+
 def op5_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pii_digest(_table(spark, sf_dir, "documents"))
 
@@ -76,7 +81,7 @@ def op10_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    f.__name__: f for f in (op1_simhash_near_dedup, op2_warc_round_trip, op3_quality_rules, op5_pii, op6_bpe_codec, op7_token_counts, op8_chat_format, op9_token_store, op10_language_id)
+    f.__name__: f for f in (op1_simhash_near_dedup, op2_warc_round_trip, op3_quality_rules, op4_decontaminate, op5_pii, op6_bpe_codec, op7_token_counts, op8_chat_format, op9_token_store, op10_language_id)
 }
 
 
