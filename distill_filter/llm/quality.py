@@ -141,3 +141,14 @@ def assess_quality(docs: DataFrame, limits: Limits = Limits(), id_col: str = "do
     """
     counts = materialise(text_counts(docs, id_col, text_col, lang_col), "quality-counts")
     return judge(counts, language_references(counts), limits)
+
+
+def keep_good(docs: DataFrame, limits: Limits = Limits(), text_col: str = "text", lang_col: str = "lang") -> DataFrame:
+    """docs without the rows that the rules reject, judged row by row: no join, so null and repeated ids are judged too.
+
+    Each row is written beside its counts, so that texts are counted once although the references need all counts first.
+    """
+    rows = docs.select(F.struct(*docs.columns).alias("doc_id"), F.col(text_col).alias("text"), F.col(lang_col).alias("lang"))
+    counts = materialise(text_counts(rows), "quality-counts")
+    kept = judge(counts, language_references(counts), limits).where("kept")
+    return kept.select(*(F.col("doc_id")[c].alias(c) for c in docs.columns))

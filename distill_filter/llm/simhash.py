@@ -183,3 +183,13 @@ def simhash_components(docs: DataFrame, width: int = 3, max_bits: int = MAX_BITS
     return found.join(named, "fp", "left").select(
         F.col("id").alias("doc_id"), F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id"
     )
+
+
+def drop_near_duplicates(docs: DataFrame, width: int = 3, max_bits: int = MAX_BITS, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """docs with one document of each component: the one with the smallest id. All columns stay as they are.
+
+    Rows that share an id are one document: they stay or go together. Rows with a null id can't be named, so they stay.
+    """
+    found = simhash_components(docs, width, max_bits, id_col, text_col).where("doc_id is not null and doc_id <> component_id")
+    lost = materialise(found.selectExpr("doc_id as __lost").distinct(), "near-duplicates")
+    return docs.join(lost, F.col(id_col) == F.col("__lost"), "left_anti")
