@@ -13,6 +13,7 @@ from __future__ import annotations
 import re
 from collections.abc import Iterator
 from dataclasses import dataclass, field
+from itertools import repeat
 
 import numpy as np
 import pyarrow as pa
@@ -116,6 +117,7 @@ class Index:
             self.classes.append(self._class(at, end))
             at = end
         self.longest = max([0, *(len(ws) for _, ws in self.items)])
+        self.masks = [masks_of(ws) for _, ws in self.items]
 
     def _class(self, at: int, end: int) -> Class:
         own = self.items[at:end]
@@ -172,12 +174,11 @@ class Index:
                     found.update((int(starts[k]) - offset, int(i)) for i in items[left[k] : right[k]])
         return found
 
-    def matches(self, words: np.ndarray) -> dict[int, tuple[int, int, int, int]]:
+    def matches(self, words: np.ndarray, candidates: set[tuple[int, int]] | list[tuple[int, int]] | None = None) -> dict[int, tuple[int, int, int, int]]:
         """item_id to (edits, item words, start, end) of its best verified match; of equal ones the first."""
         best: dict[int, tuple[int, int, int, int]] = {}
         seen: dict[int, int] = {}
-        masks: dict[int, dict[int, int]] = {}
-        for start, item in sorted(self.candidates(words)):
+        for start, item in sorted(self.candidates(words) if candidates is None else candidates):
             item_id, ws = self.items[item]
             n, most = len(ws), allowed(len(ws), self.settings.similarity)
             # each region that was checked reaches so far past its start that nearer starts need no check of their own
@@ -186,9 +187,10 @@ class Index:
             seen[item] = start
             low = max(0, start - most)
             region = words[low : start + n + 3 * most + 2].tolist()
-            if item not in masks:
-                masks[item] = masks_of(ws)
-            edits, end = best_match(ws, region, masks[item])
+            masks = self.masks[item]
+            if len([w for w in region if w in masks]) < n - most:  # a match keeps so many of the item's words
+                continue
+            edits, end = best_match(ws, region, masks)
             if edits <= most and (item_id not in best or edits < best[item_id][0]):
                 back = best_match(ws[::-1], region[:end][::-1])[1]
                 best[item_id] = (edits, n, low + end - back, low + end)
@@ -196,7 +198,7 @@ class Index:
 
     def number(self, texts: list[str | None]) -> list[np.ndarray]:
         known = self.vocabulary
-        return [np.fromiter((known.get(w, 0) for w in words_of(t)), np.int64) for t in texts]
+        return [np.fromiter(map(known.get, words_of(t), repeat(0)), np.int64) for t in texts]
 
 
 def _search(index: Index):
@@ -208,8 +210,12 @@ def _search(index: Index):
             numbers = index.number(texts)
             firsts = np.cumsum([0] + [len(x) + len(gap) for x in numbers])
             line = np.concatenate([y for x in numbers for y in (x, gap)])
-            hit = {int(np.searchsorted(firsts, max(0, s), "right")) - 1 for s, _ in index.candidates(line)}
-            return [(ids[k], item, *m) for k in sorted(hit) for item, m in index.matches(numbers[k]).items()]
+            hits: dict[int, list[tuple[int, int]]] = {}
+            found = sorted(index.candidates(line))
+            starts = np.array([s for s, _ in found], dtype=np.int64) + index.longest  # an item may begin a little before its document does
+            for (start, item), k in zip(found, (np.searchsorted(firsts, starts, "right") - 1).tolist(), strict=True):
+                hits.setdefault(k, []).append((start - int(firsts[k]), item))
+            return [(ids[k], item, *m) for k, near in hits.items() for item, m in index.matches(numbers[k], near).items()]
 
         for b in batches:
             rows, ids, texts, size = [], [], [], 0
