@@ -112,8 +112,14 @@ class PrefixCounter:
 
     def longest_prefix(self, text: str | None, budget: int) -> int:
         """Code points of the longest prefix of at most `budget` tokens."""
-        fits = np.flatnonzero(self.prefixes(text) <= budget)
-        return int(fits[-1]) + 1 if len(fits) else 0
+        total, at = 0, -1  # the first segment's mark is not of the text
+        for s in SEGMENT.findall(MARK + text.replace(" ", MARK)) if text else []:
+            n = self.totals[s]
+            if total + n > budget:  # whole segments add up, so only this one can hold the end
+                fits = [k for k, c in enumerate(self.segment(s), 1) if total + c <= budget]
+                return max(0, at + (fits[-1] if fits else 0))
+            total, at = total + n, at + len(s)
+        return max(0, at)
 
 
 class _Totals(dict):
