@@ -25,7 +25,7 @@ PRETOKEN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!
 PATTERN_LOOKAHEAD = 3
 RUNS = {"L": regex.compile(r"\p{L}*"), "N": regex.compile(r"\p{N}*"), "P": regex.compile(r"[^\s\p{L}\p{N}]*"), "S": regex.compile(r"\s*")}
 CHUNK = 1 << 16
-WORDS_KEPT = 300_000
+WORDS_KEPT = 800_000
 
 
 @lru_cache(maxsize=1)
@@ -142,15 +142,19 @@ class LongWord:
 
 
 class _Words(dict):
-    """Pre-token to its ids as little-endian unsigned 32-bit integers; emptied when full."""
+    """Pre-token to its ids as little-endian unsigned 32-bit integers. When half of `most` are held, those not used since
+    the last time are forgotten."""
 
     def __init__(self, table: MergeTable, most: int):
-        self.table, self.most = table, most
+        self.table, self.most, self.old = table, most, {}
 
     def __missing__(self, word: str) -> bytes:
-        out = np.array(self.table.merge(word.encode("utf-8", "surrogatepass")), dtype="<u4").tobytes()
+        out = self.old.get(word)
+        if out is None:
+            out = np.array(self.table.merge(word.encode("utf-8", "surrogatepass")), dtype="<u4").tobytes()
         if len(word) <= 64:
-            if len(self) >= self.most:
+            if len(self) >= self.most // 2:
+                self.old = dict(self)
                 self.clear()
             self[word] = out
         return out
@@ -256,17 +260,20 @@ def table_of(path: str) -> MergeTable:
     return MergeTable(path)
 
 
+@lru_cache(maxsize=2)
+def encoder_of(path: str) -> Encoder:
+    """One encoder for each Python worker and file: the words it remembers outlive a task."""
+    return Encoder(table_of(path))
+
+
 KINDS = "struct<ids: binary, decoded: string>"
 
 
 def bpe_codec(path: str) -> Callable:
     """A column function: text to struct(ids, decoded); ids are little-endian unsigned 32-bit integers. Null counts as empty."""
-    held: list[Encoder] = []
 
     def run(texts: pa.Array) -> pa.Array:
-        if not held:
-            held.append(Encoder(table_of(path)))
-        encoder, ids, back = held[0], [], []
+        encoder, ids, back = encoder_of(path), [], []
         for t in texts.to_pylist():
             ids.append(encoder.encode(t or ""))
             decoder = Decoder(encoder.table)

@@ -20,7 +20,7 @@ from pyspark.sql import functions as F
 
 MARK = "▁"
 SEGMENT = re.compile(f"{MARK}*[^{MARK}]+|{MARK}+")
-SEGMENTS_KEPT = 200_000
+SEGMENTS_KEPT = 600_000
 
 
 class PrefixCounter:
@@ -123,15 +123,19 @@ class PrefixCounter:
 
 
 class _Totals(dict):
-    """Counts of what `work` counts, of keys that are not too long; emptied when full."""
+    """Counts of what `work` counts, of keys that are not too long. When half of `most` are held, those not used since
+    the last time are forgotten."""
 
     def __init__(self, work: Callable[[str], int], most: int):
-        self.work, self.most = work, most
+        self.work, self.most, self.old = work, most, {}
 
     def __missing__(self, word: str) -> int:
-        n = self.work(word)
+        n = self.old.get(word)
+        if n is None:
+            n = self.work(word)
         if len(word) <= 64:
-            if len(self) >= self.most:
+            if len(self) >= self.most // 2:
+                self.old = dict(self)
                 self.clear()
             self[word] = n
         return n

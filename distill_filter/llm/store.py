@@ -25,7 +25,8 @@ from .shared import remove
 
 WINDOW, LEAST, MOST, MEAN_BITS = 16, 64, 2048, 8
 FANOUT = 1024
-WORDS_KEPT = 300_000
+#: Words that a Python worker remembers, in two halves: about 200 bytes each.
+WORDS_KEPT = 900_000
 #: Code points of text that are worked on at a time.
 BITE = 1 << 20
 ENCODED = "doc_id long, n_tokens long, digests array<binary>, data array<binary>"
@@ -77,14 +78,19 @@ class WordEncoder:
         self.library.no_padding()
         self.library.no_truncation()
         self.dtype = np.dtype("<u2" if self.library.get_vocab_size() < 1 << 16 else "<u4")
-        self.kept, self.known = kept, {"": b""}
+        self.kept, self.known, self.old = kept, {"": b""}, {}
 
     def encode(self, texts: list[str]) -> list[bytes]:
         """For each text its ids as little-endian integers of self.dtype."""
         parts = [t.replace("\n", " ").split(" ") for t in texts]
-        if len(self.known) > self.kept:
-            self.known = {"": b""}
-        fresh = list(set().union(*parts) - self.known.keys())
+        if len(self.known) > self.kept // 2:  # words not used since the last time are forgotten
+            self.old, self.known = self.known, {"": b""}
+        fresh = set().union(*parts).difference(self.known)
+        if self.old:
+            back = {w: self.old[w] for w in fresh & self.old.keys()}
+            self.known |= back
+            fresh -= back.keys()
+        fresh = list(fresh)
         for at in range(0, len(fresh), 4096):
             some = fresh[at : at + 4096]
             for w, e in zip(some, self.library.encode_batch_fast(some, add_special_tokens=False), strict=True):
@@ -92,13 +98,19 @@ class WordEncoder:
         return [b"".join(map(self.known.__getitem__, p)) for p in parts]
 
 
+@lru_cache(maxsize=2)
+def encoder_of(path: str) -> WordEncoder:
+    """One encoder for each Python worker and file: what it remembers outlives a task."""
+    return WordEncoder(path)
+
+
 def digest(data: bytes) -> bytes:
     return hashlib.blake2b(data, digest_size=20).digest()
 
 
 def _encode(path: str, end_id: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encoder = WordEncoder(path)
+        encoder = encoder_of(path)
         end = np.array([end_id], dtype=encoder.dtype).tobytes()
         width, seen = encoder.dtype.itemsize, set()
 
