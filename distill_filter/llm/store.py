@@ -17,7 +17,7 @@ from functools import lru_cache
 import numpy as np
 import pyarrow as pa
 from pyspark import TaskContext
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
@@ -25,8 +25,8 @@ from .shared import remove
 
 WINDOW, LEAST, MOST, MEAN_BITS = 16, 64, 2048, 8
 FANOUT = 1024
-#: Words that a Python worker remembers, in two halves: about 200 bytes each.
-WORDS_KEPT = 900_000
+#: Pieces, and words inside them, that a Python worker remembers: about 200 bytes each.
+PIECES_KEPT, WORDS_KEPT = 400_000, 900_000
 #: Code points of text that are worked on at a time.
 BITE = 1 << 20
 ENCODED = "doc_id long, n_tokens long, digests array<binary>, data array<binary>"
@@ -67,10 +67,26 @@ def cut_points(ids: np.ndarray, ends: np.ndarray) -> list[list[int]]:
     return out
 
 
+class Kept(dict):
+    """A dictionary of two halves: when one is full, what was not used since the last time is forgotten."""
+
+    def __init__(self, most: int):
+        self.half, self.old = most // 2, {}
+
+    def trim(self) -> None:
+        if len(self) > self.half:
+            self.old = dict(self)
+            self.clear()
+
+
 class WordEncoder:
-    """The public library's ids, by pieces between spaces: its rules never look across one. Pieces are remembered."""
+    """The public library's ids, by pieces between spaces: its rules never look across one. Pieces are remembered.
 
-    def __init__(self, path: str, kept: int = WORDS_KEPT):
+    A new piece that is a word and one closing mark is taken apart, and Latin-1 words are looked up in lower case, as the
+    library would do itself: so most new pieces are made of words known already.
+    """
+
+    def __init__(self, path: str, pieces_kept: int = PIECES_KEPT, words_kept: int = WORDS_KEPT):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
@@ -78,24 +94,58 @@ class WordEncoder:
         self.library.no_padding()
         self.library.no_truncation()
         self.dtype = np.dtype("<u2" if self.library.get_vocab_size() < 1 << 16 else "<u4")
-        self.kept, self.known, self.old = kept, {"": b""}, {}
+        self.pieces, self.words = Kept(pieces_kept), Kept(words_kept)
 
     def encode(self, texts: list[str]) -> list[bytes]:
         """For each text its ids as little-endian integers of self.dtype."""
+        self.pieces.trim()
+        self.words.trim()
         parts = [t.replace("\n", " ").split(" ") for t in texts]
-        if len(self.known) > self.kept // 2:  # words not used since the last time are forgotten
-            self.old, self.known = self.known, {"": b""}
-        fresh = set().union(*parts).difference(self.known)
-        if self.old:
-            back = {w: self.old[w] for w in fresh & self.old.keys()}
-            self.known |= back
-            fresh -= back.keys()
-        fresh = list(fresh)
-        for at in range(0, len(fresh), 4096):
-            some = fresh[at : at + 4096]
+        found = [list(map(self.pieces.get, p)) for p in parts]
+        fresh: dict[str, tuple[str, str] | None] = {}
+        for p, f in zip(parts, found, strict=True):
+            if None in f:
+                for i, x in enumerate(f):
+                    if x is None:
+                        fresh[p[i]] = None
+        missing: set[str] = set()
+        pieces, words, old_pieces, old_words = self.pieces, self.words, self.pieces.old, self.words.old
+        for piece in fresh:
+            if (known := old_pieces.get(piece)) is not None:
+                pieces[piece] = known
+                continue
+            fresh[piece] = word, mark = self._apart(piece)
+            for w in (word, mark) if mark else (word,):
+                if w not in words:
+                    if (known := old_words.get(w)) is not None:
+                        words[w] = known
+                    else:
+                        missing.add(w)
+        self._look_up(list(missing))
+        for piece, of in fresh.items():
+            if of is not None:
+                pieces[piece] = words[of[0]] + words[of[1]] if of[1] else words[of[0]]
+        for p, f in zip(parts, found, strict=True):
+            if None in f:
+                for i, x in enumerate(f):
+                    if x is None:
+                        f[i] = pieces[p[i]]
+        return [b"".join(f) for f in found]
+
+    @staticmethod
+    def _apart(piece: str) -> tuple[str, str]:
+        word, mark = (piece[:-1], piece[-1]) if len(piece) > 1 and piece[-1] in ".,;:!?" and piece[-2].isalpha() else (piece, "")
+        try:
+            word.encode("latin-1")
+        except UnicodeEncodeError:
+            return word, mark
+        return (word.lower(), mark) if word.isalpha() else (word, mark)
+
+    def _look_up(self, words: list[str]) -> None:
+        for at in range(0, len(words), 4096):
+            some = words[at : at + 4096]
             for w, e in zip(some, self.library.encode_batch_fast(some, add_special_tokens=False), strict=True):
-                self.known[w] = np.array(e.ids, dtype=self.dtype).tobytes()
-        return [b"".join(map(self.known.__getitem__, p)) for p in parts]
+                self.words[w] = np.array(e.ids, dtype=self.dtype).tobytes()
 
 
 @lru_cache(maxsize=2)
@@ -151,20 +201,19 @@ def _encode(path: str, end_id: int):
     return run
 
 
-def leaf(doc_id: int | None, n_tokens: int, digests: list[bytes]) -> str:
-    return hashlib.sha256(f"{doc_id}:{n_tokens}:".encode() + b"".join(digests)).hexdigest()
+def leaf() -> Column:
+    """A recipe's hash: over its document's id, its length and its digests in order."""
+    named = F.concat_ws(":", F.coalesce(F.col("doc_id").cast("string"), F.lit("null")), F.col("n_tokens").cast("string"))
+    return F.sha2(F.concat_ws(":", named, F.array_join(F.transform("digests", F.hex), "")), 256)
 
 
 def _lay_out(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     part, pos, at = TaskContext.get().partitionId(), 0, 0
     for b in batches:
         n = b.column(1).to_numpy()
-        starts = at + np.concatenate([[0], np.cumsum(n)[:-1]]) if len(n) else n
-        leaves = [leaf(i, x, d) for i, x, d in zip(b.column(0).to_pylist(), n.tolist(), b.column(2).to_pylist(), strict=True)]
-        yield pa.RecordBatch.from_arrays(
-            [pa.array([part] * len(n), pa.int32()), pa.array(range(pos, pos + len(n)), pa.int64()), b.column(0), pa.array(starts, pa.int64()), b.column(1), b.column(2), pa.array(leaves, pa.string())],
-            names=["part", "pos", "doc_id", "rel_start", "n_tokens", "digests", "leaf"],
-        )
+        starts = at + np.cumsum(n) - n
+        own = [pa.array(np.full(len(n), part, np.int32)), pa.array(np.arange(pos, pos + len(n))), b.column(0), pa.array(starts.astype(np.int64)), *(b.column(i) for i in (1, 2, 3))]
+        yield pa.RecordBatch.from_arrays(own, names=["part", "pos", "doc_id", "rel_start", "n_tokens", "digests", "leaf"])
         pos, at = pos + len(n), at + int(n.sum())
 
 
@@ -203,43 +252,48 @@ def write_store(docs: DataFrame, path: str, tokenizer: str, end_id: int = 2, id_
     table = spark.read.schema(ENCODED).parquet(encoded)
     chunks = table.select(F.explode(F.arrays_zip("digests", "data")).alias("c")).select("c.digests", "c.data").where("data is not null").toDF("digest", "data")
     chunks.dropDuplicates(["digest"]).write.option("compression", "zstd").parquet(f"{path}/chunks")
-    ordered = table.select("doc_id", "n_tokens", "digests").repartitionByRange(F.col("doc_id").asc_nulls_first()).sortWithinPartitions(F.col("doc_id").asc_nulls_first(), "digests")
+    ordered = table.select("doc_id", "n_tokens", "digests", leaf().alias("leaf")).repartitionByRange(F.col("doc_id").asc_nulls_first()).sortWithinPartitions(F.col("doc_id").asc_nulls_first(), "digests")
     ordered.mapInArrow(_lay_out, RECIPES).write.option("compression", "zstd").parquet(f"{path}/recipes")
     remove(encoded, spark)
     merkle_nodes(spark.read.schema(RECIPES).parquet(f"{path}/recipes")).coalesce(1).write.parquet(f"{path}/manifest")
     return merkle_root(spark.read.parquet(f"{path}/manifest"))
 
 
-@lru_cache(maxsize=8192)
-def _shift(n: int) -> tuple[int, ...]:
-    """What appending n zero bytes does to each bit of a CRC-32."""
-    if n == 0:
-        return tuple(1 << b for b in range(32))
-    if n == 1:
-        return tuple(_step(1 << b) for b in range(32))
-    half = _shift(n // 2)
-    twice = tuple(_apply(half, x) for x in half)
-    return tuple(_apply(_shift(1), x) for x in twice) if n % 2 else twice
-
+@lru_cache(maxsize=1)
+def _zero_tables() -> list[np.ndarray]:
+    """For each k: what appending 2^k zero bytes does to a CRC-32, as a table for each of its four bytes."""
 
-def _step(crc: int) -> int:
-    for _ in range(8):
-        crc = crc >> 1 ^ (0xEDB88320 if crc & 1 else 0)
-    return crc
+    def step(crc: int) -> int:
+        for _ in range(8):
+            crc = crc >> 1 ^ (0xEDB88320 if crc & 1 else 0)
+        return crc
 
+    def tables(bits: np.ndarray) -> np.ndarray:
+        return np.array([[np.bitwise_xor.reduce(bits[8 * i : 8 * i + 8][[j for j in range(8) if v >> j & 1]], initial=np.uint32(0)) for v in range(256)] for i in range(4)], dtype=np.uint32)
 
-def _apply(table: tuple[int, ...], crc: int) -> int:
-    out = 0
-    while crc:
-        low = crc & -crc
-        out ^= table[low.bit_length() - 1]
-        crc ^= low
+    bits, out = np.array([step(1 << b) for b in range(32)], dtype=np.uint32), []
+    for _ in range(40):
+        out.append(tables(bits))
+        bits = _through(out[-1], bits)
     return out
 
 
-def crc32_combine(first: int, second: int, n: int) -> int:
-    """The CRC-32 of two joined strings, from theirs and the second one's length."""
-    return _apply(_shift(n), first) ^ second
+def _through(table: np.ndarray, crc: np.ndarray) -> np.ndarray:
+    return table[0][crc & 255] ^ table[1][crc >> 8 & 255] ^ table[2][crc >> 16 & 255] ^ table[3][crc >> 24]
+
+
+def crc32_join(crc: np.ndarray, length: np.ndarray, first: np.ndarray) -> np.ndarray:
+    """CRC-32 of strings that are joined from parts, from the parts' own and their lengths in bytes; first: where each
+    string's parts begin. A part counts as itself with the bytes behind it as zeros, and those add up by exclusive or."""
+    upto = np.cumsum(length)
+    ends = upto[np.concatenate([first[1:], [len(length)]]) - 1]
+    behind = np.repeat(ends, np.diff(np.concatenate([first, [len(length)]]))) - upto
+    crc = crc.astype(np.uint32)
+    for k, table in enumerate(_zero_tables()):
+        if not (behind >> k).any():
+            break
+        crc = np.where(behind >> k & 1, _through(table, crc), crc)
+    return np.bitwise_xor.reduceat(crc, first)
 
 
 def _check_chunks(width: int):
@@ -256,13 +310,13 @@ def _check_chunks(width: int):
 
 
 def _combined(chunks: pa.Array) -> pa.Array:
-    out = []
-    for row in chunks.to_pylist():
-        crc = n = 0
-        for c in row:
-            crc, n = crc32_combine(crc, c["crc"], 4 * c["n"]), n + c["n"]
-        out.append({"crc": crc, "n": n})
-    return pa.array(out, pa.struct([("crc", pa.int64()), ("n", pa.int64())]))
+    """Each list has a chunk at least: every document ends with an id of its own."""
+    flat, first = chunks.flatten(), chunks.offsets.to_numpy()[:-1] - chunks.offsets.to_numpy()[0]
+    n, crc = flat.field("n").to_numpy(), flat.field("crc").to_numpy()
+    if not len(first):
+        return pa.array([], pa.struct([("crc", pa.int64()), ("n", pa.int64())]))
+    whole = crc32_join(crc, 4 * n, first)
+    return pa.StructArray.from_arrays([pa.array(whole.astype(np.int64)), pa.array(np.add.reduceat(n, first))], names=["crc", "n"])
 
 
 _combined.__annotations__ = {"chunks": pa.Array, "return": pa.Array}
@@ -271,13 +325,8 @@ _combined.__annotations__ = {"chunks": pa.Array, "return": pa.Array}
 def verify_store(spark: SparkSession, path: str, root: str) -> None:
     """Rebuild the Merkle tree from the recipes' contents; raises if it does not lead to root."""
 
-    def leaves(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            found = [leaf(i, n, d) for i, n, d in zip(*(b.column(k).to_pylist() for k in (2, 3, 4)), strict=True)]
-            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(found, pa.string()), b.column(3)], names=["part", "pos", "leaf", "n_tokens"])
-
-    recipes = spark.read.schema(RECIPES).parquet(f"{path}/recipes").select("part", "pos", "doc_id", "n_tokens", "digests")
-    if merkle_root(merkle_nodes(recipes.mapInArrow(leaves, "part int, pos long, leaf string, n_tokens long"))) != root:
+    recipes = spark.read.schema(RECIPES).parquet(f"{path}/recipes")
+    if merkle_root(merkle_nodes(recipes.select("part", "pos", "n_tokens", leaf().alias("leaf")))) != root:
         raise ValueError("the recipes do not lead to the Merkle root")
 
 

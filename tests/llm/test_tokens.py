@@ -12,7 +12,7 @@ from tokenizers import Tokenizer
 from distill_filter.llm.bpe import Decoder, Encoder, LongWord, MergeTable, bpe_round_trip, sufficient_lookahead
 from distill_filter.llm.counts import PrefixCounter, count_tokens, prefix_counts
 from distill_filter.llm.shared import new_path
-from distill_filter.llm.store import LEAST, MOST, WordEncoder, crc32_combine, cut_points, read_documents, read_ids, verify_store, write_store
+from distill_filter.llm.store import LEAST, MOST, WordEncoder, crc32_join, cut_points, read_documents, read_ids, verify_store, write_store
 
 BYTES, WORDS, PIECES = (public_tokenizers.path(n) for n in ("byte_bpe_50k.json", "word_bpe_49k.json", "piece_bpe_32k.model"))
 ODD = [
@@ -106,7 +106,7 @@ def test_counts_equal_library(texts):
 
 
 def test_word_encoder_equals_library(texts):
-    encoder, library = WordEncoder(WORDS, kept=1000), Tokenizer.from_file(WORDS)
+    encoder, library = WordEncoder(WORDS, 1000, 1000), Tokenizer.from_file(WORDS)
     for at in range(0, len(texts), 100):
         for t, got in zip(texts[at : at + 100], encoder.encode(texts[at : at + 100])):
             assert ids(got, "<u2") == library.encode(t, add_special_tokens=False).ids, t
@@ -124,9 +124,10 @@ def test_cuts_and_crc():
         chunks.append({d[a - start : b - start].tobytes() for a, b in zip([start, *c], c)})
         start = c[-1]
     assert len(chunks[4] & chunks[7]) > 0.8 * len(chunks[4])  # a passage moved along is cut alike
-    for _ in range(50):
-        a, b = rnd.bytes(int(rnd.integers(0, 50))), rnd.bytes(int(rnd.integers(0, 5000)))
-        assert crc32_combine(zlib.crc32(a), zlib.crc32(b), len(b)) == zlib.crc32(a + b)
+    groups = [[rnd.bytes(int(rnd.integers(0, 3000))) for _ in range(rnd.integers(1, 9))] for _ in range(60)]
+    parts = [p for g in groups for p in g]
+    first = np.cumsum([0] + [len(g) for g in groups[:-1]])
+    assert crc32_join(np.array([zlib.crc32(p) for p in parts]), np.array([len(p) for p in parts]), first).tolist() == [zlib.crc32(b"".join(g)) for g in groups]
 
 
 def test_store(spark):
