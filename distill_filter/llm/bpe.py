@@ -19,13 +19,15 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .shared import tidy
+
 #: Fixed value: the pre-token pattern of the byte-level vocabulary.
 PRETOKEN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
 #: Chars past a match that can change it: two after a quote, one after white space.
 PATTERN_LOOKAHEAD = 3
 RUNS = {"L": regex.compile(r"\p{L}*"), "N": regex.compile(r"\p{N}*"), "P": regex.compile(r"[^\s\p{L}\p{N}]*"), "S": regex.compile(r"\s*")}
 CHUNK = 1 << 16
-WORDS_KEPT = 800_000
+WORDS_KEPT = 400_000
 
 
 @lru_cache(maxsize=1)
@@ -266,23 +268,31 @@ def encoder_of(path: str) -> Encoder:
     return Encoder(table_of(path))
 
 
-KINDS = "struct<ids: binary, decoded: string>"
+def _decoded(table: MergeTable, ids: bytes) -> str:
+    decoder, tokens = Decoder(table), np.frombuffer(ids, "<u4")
+    return "".join(decoder.feed(tokens[at : at + CHUNK].tolist()) for at in range(0, len(tokens), CHUNK)) + decoder.finish()
+
 
+def bpe_codec(path: str, with_text: bool = True) -> Callable:
+    """A column function: text to struct(ids, decoded), or struct(ids, decodes boolean) without the text.
 
-def bpe_codec(path: str) -> Callable:
-    """A column function: text to struct(ids, decoded); ids are little-endian unsigned 32-bit integers. Null counts as empty."""
+    ids are little-endian unsigned 32-bit integers. Null counts as empty.
+    """
+    last = ("decoded", pa.string()) if with_text else ("decodes", pa.bool_())
 
     def run(texts: pa.Array) -> pa.Array:
         encoder, ids, back = encoder_of(path), [], []
-        for t in texts.to_pylist():
-            ids.append(encoder.encode(t or ""))
-            decoder = Decoder(encoder.table)
-            tokens = np.frombuffer(ids[-1], "<u4")
-            back.append("".join(decoder.feed(tokens[at : at + CHUNK].tolist()) for at in range(0, len(tokens), CHUNK)) + decoder.finish())
-        return pa.StructArray.from_arrays([pa.array(ids, pa.binary()), pa.array(back, pa.string())], names=["ids", "decoded"])
+        for t in texts:
+            t = t.as_py() or ""
+            ids.append(encoder.encode(t))
+            text = _decoded(encoder.table, ids[-1])
+            back.append(text if with_text else text == t)
+        out = pa.StructArray.from_arrays([pa.array(ids, pa.binary()), pa.array(back, last[1])], names=["ids", last[0]])
+        tidy()
+        return out
 
     run.__annotations__ = {"texts": pa.Array, "return": pa.Array}
-    return lambda text: F.arrow_udf(run, KINDS)(text)
+    return lambda text: F.arrow_udf(run, f"struct<ids: binary, {last[0]}: {'string' if with_text else 'boolean'}>")(text)
 
 
 def bpe_round_trip(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

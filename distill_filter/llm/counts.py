@@ -18,9 +18,11 @@ import sentencepiece
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .shared import tidy
+
 MARK = "▁"
 SEGMENT = re.compile(f"{MARK}*[^{MARK}]+|{MARK}+")
-SEGMENTS_KEPT = 600_000
+SEGMENTS_KEPT = 500_000
 
 
 class PrefixCounter:
@@ -156,6 +158,7 @@ def token_counter(path: str, limit: int) -> Callable:
     def run(texts: pa.Array) -> pa.Array:
         counter = counter_of(path)
         rows = texts.to_pylist()
+        tidy()
         n = [counter.count(t) for t in rows]
         fits = [len(t or "") if x <= limit else counter.longest_prefix(t, limit) for t, x in zip(rows, n, strict=True)]
         return pa.StructArray.from_arrays([pa.array(n, pa.int64()), pa.array(fits, pa.int64())], names=["n_tokens", "fits_chars"])

@@ -65,11 +65,18 @@ def regroup(batches: Iterator[pa.RecordBatch], rows: int = 20_000) -> Iterator[p
         yield pa.Table.from_batches(held)
 
 
+def tidy() -> None:
+    """Give memory that Arrow holds for later back: workers live on, and several share an executor."""
+    pa.default_memory_pool().release_unused()
+
+
 def per_text(work: Callable[[str | None], object], kind: str, arrow: pa.DataType) -> Callable[[Column], Column]:
     """A column function that applies `work` to each text of an Arrow batch; the result has the types given."""
 
     def run(texts: pa.Array) -> pa.Array:
-        return pa.array([work(t) for t in texts.to_pylist()], arrow)
+        out = pa.array([work(t) for t in texts.to_pylist()], arrow)
+        tidy()
+        return out
 
     run.__annotations__ = {"texts": pa.Array, "return": pa.Array}
     return lambda text: F.arrow_udf(run, kind)(text)

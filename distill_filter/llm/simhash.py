@@ -21,7 +21,7 @@ from pyspark.sql import functions as F
 
 from . import golay
 from .components import connected_components
-from .shared import binary, materialise
+from .shared import binary, materialise, tidy
 
 MAX_BITS = 3
 SEGMENTS = ((42, 22), (21, 21), (0, 21))
@@ -51,6 +51,7 @@ def fingerprints(docs: DataFrame, width: int = 3, seed: int = 42, id_col: str =
         for b in batches:
             fps = np.array([fingerprint(t, width, seed) for t in binary(b, "text")], dtype=np.uint64).view(np.int64)
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(fps, pa.int64())], names=["id", "fp"])
+            tidy()
 
     return docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("text")).mapInArrow(run, "id long, fp long")
 

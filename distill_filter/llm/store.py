@@ -26,9 +26,9 @@ from .shared import remove
 WINDOW, LEAST, MOST, MEAN_BITS = 16, 64, 2048, 8
 FANOUT = 1024
 #: Pieces, and words inside them, that a Python worker remembers: about 200 bytes each.
-PIECES_KEPT, WORDS_KEPT = 400_000, 900_000
+PIECES_KEPT, WORDS_KEPT = 300_000, 700_000
 #: Code points of text that are worked on at a time.
-BITE = 1 << 20
+BITE = 1 << 21
 ENCODED = "doc_id long, n_tokens long, digests array<binary>, data array<binary>"
 RECIPES = "part int, pos long, doc_id long, rel_start long, n_tokens long, digests array<binary>, leaf string"
 
