@@ -1,7 +1,7 @@
 """The registered queries: engine methods, measures, workloads and the operators around them."""
 
-from . import methods, relational
+from . import methods, relational, workloads
 from .methods import flagship
 from .registry import ORACLES, QUERIES
 
-__all__ = ["ORACLES", "QUERIES", "flagship", "methods", "relational"]
+__all__ = ["ORACLES", "QUERIES", "flagship", "methods", "relational", "workloads"]
