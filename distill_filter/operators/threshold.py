@@ -114,11 +114,12 @@ class Counts:
     """The same update on arrays: for a round whose scores fit in the driver as numbers, never text."""
 
     def __init__(self, unlabelled: str = "implied"):
-        self.unlabelled, self.margins, self.labels = unlabelled, [], []
+        self.unlabelled, self.margins, self.labels, self.top = unlabelled, [], [], ZERO
 
     def add(self, margins: np.ndarray, labels: np.ndarray) -> None:
         """labels: 0, 1, or -1 for unknown."""
         self.margins.append(margins)
+        self.top = max(self.top, int(margins.max())) if len(margins) else self.top
         self.labels.append(labels)
 
     def update(self, t: int, n: int, delta: float, scale: float, kind: str = "bernstein") -> tuple[int, int, int, float]:

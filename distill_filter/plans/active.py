@@ -63,8 +63,13 @@ class Band:
     hi: int = OPEN_HI
 
 
-def _narrow(band: Band, lo: int, hi: int, nested: bool) -> None:
-    band.lo, band.hi = (max(band.lo, lo), min(band.hi, hi)) if nested else (lo, hi)
+def narrowed(lo: int, hi: int, band: Band, top: int, nested: bool) -> Band:
+    """The band after an update that found [lo, hi] among scores up to top.
+
+    Nested bands never widen, so an upper end at the highest score seen must not close the band to scores not seen yet:
+    cuts from there on up say the same of what was seen, and the end stays where it was.
+    """
+    return Band(max(band.lo, lo), band.hi if hi == top else min(band.hi, hi)) if nested else Band(lo, hi)
 
 
 def local_round(pos: np.ndarray, margin: np.ndarray, label: np.ndarray, need: int, n: int, config: RunConfig, trace: list, round_no: int = 1) -> tuple[np.ndarray, int]:
@@ -88,7 +93,7 @@ def local_round(pos: np.ndarray, margin: np.ndarray, label: np.ndarray, need: in
         counts.add(m, known)
         if first + len(m) - 1 == last:
             lo, hi, s_hat, loss = counts.update(last, n, config.delta, config.radius_scale, config.radius)
-            _narrow(band, lo, hi, config.nested)
+            band = narrowed(lo, hi, band, counts.top, config.nested)
             trace.append((round_no, last, band.lo, band.hi, s_hat, loss, threshold.beta(last + 1, n, config.delta, config.radius_scale), len(bought)))
     return np.array(bought, dtype=np.int64), len(pos)
 
@@ -113,7 +118,7 @@ def frame_round(scored: DataFrame, head: int, need: int, n: int, config: RunConf
             rows = spark.createDataFrame(counts, "margin_micro bigint, label int, n bigint")
             curve = threshold.loss_curve(rows.select("margin_micro", "label", F.explode(F.sequence(F.lit(1).cast("bigint"), "n"))), config.unlabelled)
             b = threshold.band(curve, last, n, config.delta, config.radius_scale, config.radius).first()
-            _narrow(band, b.lo, b.hi, config.nested)
+            band = narrowed(b.lo, b.hi, band, max(m for m, _, _ in counts), config.nested)
             trace.append((round_no, last, band.lo, band.hi, b.s_hat, b.loss, threshold.beta(last + 1, n, config.delta, config.radius_scale), len(bought)))
     return bought, n
 

@@ -128,7 +128,7 @@ def one_round(rows: str, head: int, need: str, n: str, delta: float, scale: floa
         parts.append(f"{name}_a{k} AS MATERIALIZED ({seen})")
         parts.append(curve(f"{name}_a{k}", f"{name}_c{k}"))
         parts.append(band(f"{name}_c{k}", f"{name}_n{k}", str(last), n, delta, scale))
-        parts.append(f"{name}_b{k} AS MATERIALIZED (SELECT greatest(n.lo, b.lo) AS lo, least(n.hi, b.hi) AS hi, n.s_hat, n.loss FROM {name}_n{k} n, {before} b)")
+        parts.append(f"{name}_b{k} AS MATERIALIZED (SELECT greatest(n.lo, b.lo) AS lo, CASE WHEN n.hi = (SELECT max(cut) FROM {name}_c{k}) THEN b.hi ELSE least(n.hi, b.hi) END AS hi, n.s_hat, n.loss FROM {name}_n{k} n, {before} b)")
         before = f"{name}_b{k}"
     every = " UNION ALL ".join(f"SELECT * FROM {name}_k{k}" for k in range(len(blocks)))
     parts.append(f"{name}_bought AS MATERIALIZED (SELECT stream_pos, snippet_id, label, row_number() OVER (ORDER BY stream_pos) AS ord FROM ({every}) WHERE inside QUALIFY ord <= {need})")

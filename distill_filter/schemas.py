@@ -3,13 +3,21 @@
 from __future__ import annotations
 
 from pyspark.sql import DataFrame
-from pyspark.sql.types import StructType
+from pyspark.sql.types import ByteType, DoubleType, IntegerType, LongType, StringType, StructField, StructType
 
-DOCUMENTS = StructType.fromDDL("doc_id bigint, text string, lang string, source string, n_chars bigint")
-SNIPPETS = StructType.fromDDL("snippet_id string, doc_id bigint, seq int, text string, n_tokens int")
-VERDICTS = StructType.fromDDL("spec string, teacher_id string, snippet_id string, call_no int, verdict tinyint, reason string, n_in_tokens int, n_out_tokens int")
-BAND_TRACE = StructType.fromDDL("policy string, round int, t bigint, lo double, hi double, s_hat double, loss double, beta double, bought int")
-LABELS = StructType.fromDDL("policy string, round int, ord int, snippet_id string, stream_pos bigint, verdict int")
+KINDS = {"bigint": LongType(), "int": IntegerType(), "tinyint": ByteType(), "string": StringType(), "double": DoubleType()}
+
+
+def declared(columns: str) -> StructType:
+    """A schema from `name type, ...`, without a session."""
+    return StructType([StructField(name, KINDS[kind]) for name, kind in (c.split() for c in columns.split(","))])
+
+
+DOCUMENTS = declared("doc_id bigint, text string, lang string, source string, n_chars bigint")
+SNIPPETS = declared("snippet_id string, doc_id bigint, seq int, text string, n_tokens int")
+VERDICTS = declared("spec string, teacher_id string, snippet_id string, call_no int, verdict tinyint, reason string, n_in_tokens int, n_out_tokens int")
+BAND_TRACE = declared("policy string, round int, t bigint, lo double, hi double, s_hat double, loss double, beta double, bought int")
+LABELS = declared("policy string, round int, ord int, snippet_id string, stream_pos bigint, verdict int")
 
 
 def require_columns(df: DataFrame, schema: StructType, what: str = "table") -> DataFrame:

@@ -19,7 +19,7 @@ from pyspark.sql import functions as F
 from ..config import RunConfig
 from ..operators import students, threshold
 from ..operators.teacher import verdict
-from ..plans.active import OPEN_HI, OPEN_LO
+from ..plans.active import OPEN_HI, OPEN_LO, Band, narrowed
 from ..sources.tables import shared_dir
 
 
@@ -54,7 +54,8 @@ class Collector:
             self.seen += len(m)
             if self.seen == update + 1 and self.bought < self.need:
                 lo, hi, *_ = self.counts.update(update, self.n, self.config.delta, self.config.radius_scale, self.config.radius)
-                self.lo, self.hi = (max(self.lo, lo), min(self.hi, hi)) if self.config.nested else (lo, hi)
+                band = narrowed(lo, hi, Band(self.lo, self.hi), self.counts.top, self.config.nested)
+                self.lo, self.hi = band.lo, band.hi
             at = end
         return np.array(out, dtype=np.int64)
 
