@@ -100,11 +100,14 @@ def a16(spark, sf):
 @query("w01_five_filters")
 def w01(spark, sf):
     """Per filter: balanced accuracy against one teacher call of a second call, the weak teacher, and the distilled student; calls and costs."""
-    eps = {"topic_hostile": 0.017, "topic_legal": 0.022, "topic_private": 0.022, "quality": 0.06}
+    eps = {"topic_hostile": 0.02, "topic_legal": 0.025, "topic_private": 0.025, "quality": 0.07}
+    prior = stream(spark, sf).agg(*(F.avg(c).alias(c) for c in TOPICS)).first()
     out = []
     for spec in TOPICS:
-        noisy = TeacherConfig().noisy(eps[spec])
-        weak = TeacherConfig("weak").noisy(3 * eps[spec])
+        # errors in proportion to the classes, so that a call repeated agrees about equally well on both
+        up, down = (eps[spec] * min(1.0, (1 - prior[spec]) / max(prior[spec], 1e-6)), eps[spec] * min(1.0, prior[spec] / max(1 - prior[spec], 1e-6)))
+        noisy = TeacherConfig(mode="noisy", eps_pos=up, eps_neg=down)
+        weak = TeacherConfig("weak", "noisy", 3 * up, 3 * down)
         run = run_of(spark, sf, "band", spec, WORK, StudentConfig(), noisy)
         rows = students.score(test_split(spark, sf), run.model)
         sid, text = F.col("snippet_id"), F.col("text")
@@ -349,7 +352,22 @@ query("s04_unlabelled")(lambda spark, sf: sweep(spark, sf, "unlabelled", ["impli
 query("s05_nested")(lambda spark, sf: sweep(spark, sf, "nested", [True, False], lambda x: ("band", "quality", replace(SMALL, nested=x))))
 query("s06_focal_gamma")(lambda spark, sf: sweep(spark, sf, "focal_gamma", [0.0, 2.0, 5.0], lambda x: ("random", "quality", SMALL, StudentConfig(kind="focal", focal_gamma=x))))
 query("s08_teacher_noise")(lambda spark, sf: sweep(spark, sf, "eps", [0.0, 0.05, 0.15], lambda x: ("band", "quality", SMALL, StudentConfig(), TeacherConfig().noisy(x))))
-query("s10_seed")(lambda spark, sf: sweep(spark, sf, "seed_policy", ["band", "random"], lambda x: (x, "quality", SMALL)))
+
+
+@query("s10_seed")
+def s10(spark, sf):
+    """The band and random choice over five stream orders: mean and spread of the student's accuracy and of the labels' balance."""
+    out = []
+    for seed in range(5):
+        rows = snippets.order(train_stream(spark, sf).select("snippet_id", "text"), seed).select("snippet_id", "stream_pos", "text")
+        for policy in ("band", "random"):
+            run = active.distil(rows, "quality", replace(SMALL, policy=policy))
+            fails = sum(1 - v for *_, v in run.labels)
+            eot = engine.decision_cut(active._labelled(rows, run), run.model, "eot")
+            out.append((policy, len(run.labels), fails / len(run.labels), accuracy(spark, sf, run.model, "quality"), accuracy(spark, sf, run.model, "quality", eot)))
+    df = spark.createDataFrame(out, "policy string, calls bigint, fail_share double, half double, eot double")
+    spread = [e for c in ("fail_share", "half", "eot") for e in (F.avg(c).alias(c), F.min(c).alias(f"{c}_min"), F.max(c).alias(f"{c}_max"))]
+    return df.groupBy("policy").agg(F.count("*").alias("runs"), F.avg("calls").alias("calls"), *spread)
 
 
 @query("s07_width", " UNION ALL ".join(f"SELECT {w}::INT AS width, count(*) AS snippets, sum(n_tokens)::BIGINT AS tokens FROM (WITH {twins.snippets(w)} SELECT * FROM snips)" for w in (64, 128, 256, 1024)))
