@@ -22,7 +22,9 @@ from .shared import tidy
 
 MARK = "▁"
 SEGMENT = re.compile(f"{MARK}*[^{MARK}]+|{MARK}+")
-SEGMENTS_KEPT = 500_000
+SEGMENTS_KEPT = 400_000
+#: The prefix tables of this many first characters of segments are kept, for so many different ones.
+HEAD, HEADS_KEPT = 6, 120_000
 
 
 class PrefixCounter:
@@ -35,9 +37,14 @@ class PrefixCounter:
         if any(MARK in p.lstrip(MARK) for p in self.score):
             raise ValueError("a piece has a space mark after another character: segments would not be independent")
         self.pieces = {p for p in self.score if len(p) == 1 or self._merge(p) == [p]}
-        self.endings = {p[i:] for p in self.pieces for i in range(len(p))}
+        self.ids = {p: i for i, p in enumerate(sorted(self.pieces))}
+        self.names = list(self.ids)
+        #: Every end of a piece, with the piece's number if it is one itself and -1 if not.
+        self.endings = {p[i:]: self.ids.get(p[i:], -1) for p in self.pieces for i in range(len(p))}
         self.joined = {p[i : i + 2] for p in self.pieces for i in range(len(p) - 1)}
-        self.apart: dict[tuple[str, str], bool] = {}
+        #: Whether two pieces side by side stay two, by both numbers in one.
+        self.apart: dict[int, bool] = {}
+        self.heads: dict[str, tuple[tuple[int, ...], tuple[int, ...]]] = {}
         self.totals = _Totals(self.total, kept)
         self.words = _Totals(lambda word: self.total(MARK + word), kept)
 
@@ -51,41 +58,54 @@ class PrefixCounter:
             parts[i : i + 2] = [parts[i] + parts[i + 1]]
         return parts
 
-    def _stays_apart(self, a: str, b: str) -> bool:
-        key = (a, b)
-        known = self.apart.get(key)
-        if known is None:
-            if len(self.apart) > 400_000:
-                self.apart.clear()
-            known = self.apart[key] = self._merge(a + b) == [a, b]
-        return known
+    def _stays_apart(self, key: int) -> bool:
+        if len(self.apart) > 600_000:
+            self.apart.clear()
+        a, b = self.names[key >> 20], self.names[key & 0xFFFFF]
+        found = self.apart[key] = self._merge(a + b) == [a, b]
+        return found
 
     def segment(self, s: str) -> list[int]:
         """The token count of every prefix of a segment, by code points."""
-        pieces, endings, apart, known = self.pieces, self.endings, self._stays_apart, self.apart.get
-        last: list[str] = [""]
-        counts = [0]
-        for i in range(1, len(s) + 1):
+        if len(s) <= HEAD:
+            return self._extend(s, [-1], [0])[1][1:]
+        head = s[:HEAD]  # nothing that follows changes what a prefix has, and many words begin alike
+        known = self.heads.get(head)
+        if known is None:
+            if len(self.heads) > HEADS_KEPT:
+                self.heads.clear()
+            known = self.heads[head] = tuple(map(tuple, self._extend(head, [-1], [0])))
+        return self._extend(s, list(known[0]), list(known[1]))[1][1:]
+
+    def _extend(self, s: str, last: list[int], counts: list[int]) -> tuple[list[int], list[int]]:
+        """The number of each prefix's last piece, -1 for none, and its count: from those of a shorter prefix on."""
+        ending, known, apart = self.endings.get, self.apart.get, self._stays_apart
+        for i in range(len(last), len(s) + 1):
             found = []
             for j in range(i - 1, -1, -1):
-                piece = s[j:i]
-                if piece not in endings:
-                    break
-                if piece in pieces:
-                    found.append(j)
-            for j in reversed(found):
-                before, piece = last[j], s[j:i]
-                if not before or ((k := known((before, piece))) if (k := known((before, piece))) is not None else apart(before, piece)):
-                    last.append(piece)
-                    counts.append(counts[j] + 1)
+                n = ending(s[j:i])
+                if n is None:
                     break
+                if n >= 0:
+                    found.append((j, n))
+            for j, n in reversed(found):
+                before = last[j]
+                if before >= 0:
+                    ok = known(key := before << 20 | n)
+                    if not (apart(key) if ok is None else ok):
+                        continue
+                last.append(n)
+                counts.append(counts[j] + 1)
+                break
             else:  # a character of no piece: its bytes, and nothing merges across them
-                last.append("")
+                last.append(-1)
                 counts.append(counts[i - 1] + len(s[i - 1].encode("utf-8", "surrogatepass")))
-        return counts[1:]
+        return last, counts
 
     def total(self, word: str) -> int:
         """A segment's count. Two neighbours that no piece holds side by side part it: the sides are counted alone, and remembered."""
+        if word.lstrip(MARK).isalpha():
+            return self.segment(word)[-1]
         joined, cuts = self.joined, [0]
         cuts += [i for i in range(1, len(word)) if word[i - 1 : i + 1] not in joined]
         if len(cuts) == 1:
