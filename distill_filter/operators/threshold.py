@@ -114,24 +114,27 @@ class Counts:
     """The same update on arrays: for a round whose scores fit in the driver as numbers, never text."""
 
     def __init__(self, unlabelled: str = "implied"):
-        self.unlabelled, self.margins, self.labels, self.top = unlabelled, [], [], ZERO
+        self.unlabelled, self.top = unlabelled, ZERO
+        #: Distinct (margin, label) pairs, as 3 * margin + label + 1, and how often each was added.
+        self.pairs, self.times = np.zeros(0, np.int64), np.zeros(0, np.int64)
 
     def add(self, margins: np.ndarray, labels: np.ndarray) -> None:
         """labels: 0, 1, or -1 for unknown."""
-        self.margins.append(margins)
+        pairs, times = np.unique(margins * 3 + labels + 1, return_counts=True)
+        self.pairs, place = np.unique(np.concatenate([self.pairs, pairs]), return_inverse=True)
+        self.times = np.bincount(place, np.concatenate([self.times, times]), len(self.pairs)).astype(np.int64)
         self.top = max(self.top, int(margins.max())) if len(margins) else self.top
-        self.labels.append(labels)
 
     def update(self, t: int, n: int, delta: float, scale: float, kind: str = "bernstein") -> tuple[int, int, int, float]:
         """(lo, hi, s_hat, loss) over all that was added."""
-        m, y = np.concatenate(self.margins), np.concatenate(self.labels)
-        cuts, place = np.unique(m, return_inverse=True)
-        n0, n1 = (np.bincount(place, y == k, len(cuts)) for k in (0, 1))
+        y = self.pairs % 3 - 1
+        cuts, place = np.unique((self.pairs - y - 1) // 3, return_inverse=True)
+        n0, n1, unknown = (np.bincount(place, self.times * (y == k), len(cuts)) for k in (0, 1, -1))
         cuts = np.concatenate([[ZERO], cuts])
         wrong = np.concatenate([[0], np.cumsum(n1)]) + n0.sum() - np.concatenate([[0], np.cumsum(n0)])
-        known = (y >= 0).sum()
-        wrong = wrong + (len(y) - known) * (self.unlabelled == "constant")
-        loss = wrong / max(1, known if self.unlabelled == "labelled_only" else len(y))
+        total = self.times.sum()
+        wrong = wrong + unknown.sum() * (self.unlabelled == "constant")
+        loss = wrong / max(1, total - unknown.sum() if self.unlabelled == "labelled_only" else total)
         home = int(np.argmin(loss))
         b = beta(t + 1, n, delta, scale)
         distance = np.abs(np.arange(len(cuts)) - home)

@@ -7,7 +7,9 @@ numbers: the band, the place in the round and counts by margin. A batch is cut w
 
 from __future__ import annotations
 
+import copy
 import json
+import pickle
 import uuid
 from dataclasses import dataclass, field
 
@@ -70,16 +72,22 @@ def collect_live(arrivals: DataFrame, model: students.Student, spec: str, n: int
     base = state_dir or f"{shared_dir(spark)}/live-{uuid.uuid4().hex}"
     held: dict[int, Collector] = {}
 
-    def take(batch: DataFrame, batch_id: int) -> None:
-        import copy
+    def state_of(batch_id: int) -> Collector:
+        if batch_id < 0:
+            return Collector(n, need, config, counts=threshold.Counts(config.unlabelled))
+        if batch_id not in held:  # the driver was started anew
+            held[batch_id] = pickle.loads(spark.read.parquet(f"{base}/state/batch={batch_id}").first().state)
+        return held[batch_id]
 
-        now = copy.deepcopy(held.get(batch_id - 1) or Collector(n, need, config, counts=threshold.Counts(config.unlabelled)))
+    def take(batch: DataFrame, batch_id: int) -> None:
+        now = copy.deepcopy(state_of(batch_id - 1))
         rows = students.score(batch, model).withColumn("label", verdict(spec, F.col("text"), F.col("snippet_id")))
         table = rows.select("stream_pos", "snippet_id", "margin_micro", "label").orderBy("stream_pos").toPandas()
         at = now.feed(table.margin_micro.to_numpy(), table.label.to_numpy()) if len(table) else np.zeros(0, np.int64)
         bought = table.iloc[at][["snippet_id", "stream_pos", "label"]]
         out = [(r.snippet_id, int(r.stream_pos), int(r.label), int(batch_id)) for r in bought.itertuples()]
         spark.createDataFrame(out, "snippet_id string, stream_pos bigint, verdict int, batch_id bigint").write.mode("overwrite").parquet(f"{base}/labels/batch={batch_id}")
+        spark.createDataFrame([(bytearray(pickle.dumps(now)),)], "state binary").coalesce(1).write.mode("overwrite").parquet(f"{base}/state/batch={batch_id}")
         held[batch_id] = now
         held.pop(batch_id - 2, None)
 
