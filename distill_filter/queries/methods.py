@@ -177,7 +177,7 @@ def m10(spark, sf):
     return threshold.loss_curve(scored(spark, sf)).withColumn("loss", F.round("loss", 6))
 
 
-GRID = "SELECT t, n, d AS delta, round({b}, 6) AS beta FROM (SELECT unnest([3, 17, 257, 1025, 1048577]) AS t), (SELECT unnest([6593, 67706, 100000000000]) AS n), (SELECT unnest([0.01, 0.1]::DOUBLE[]) AS d)"
+GRID = "SELECT t, n, d AS delta, round({b}, 6) AS beta FROM (SELECT unnest([3, 17, 257, 1025, 1048577]::BIGINT[]) AS t), (SELECT unnest([6593, 67706, 100000000000]) AS n), (SELECT unnest([0.01, 0.1]::DOUBLE[]) AS d)"
 
 
 @query("m11_radius", GRID.format(b="sqrt(2 * ln(2 * pow(log2(t), 2) * pow(n::DOUBLE, 2) / d) / t)"))

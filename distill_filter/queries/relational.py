@@ -588,7 +588,7 @@ def f04(spark, sf):
     )
 
 
-@query("f05_array", f"SELECT snippet_id, len(tk) AS a, array_to_string(list_slice(tk, 1, 3), ' ') AS b, len(list_distinct(tk)) AS c, list_contains(tk, 'the') AS d, coalesce(list_position(tk, 'of'), 0) AS e, len(list_intersect(tk, ['the', 'of', 'and'])) AS f, (list_reduce(list_transform(tk, lambda x: length(x)), lambda a, b: a + b))::BIGINT AS g, array_to_string(list_slice(list_sort(tk), 1, 2), ' ') AS h FROM (SELECT snippet_id, string_split(text, ' ') AS tk FROM (WITH {SNIPS} SELECT * FROM snips))")
+@query("f05_array", f"SELECT snippet_id, len(tk) AS a, array_to_string(list_slice(tk, 1, 3), ' ') AS b, len(list_distinct(tk)) AS c, list_contains(tk, 'the') AS d, coalesce(list_position(tk, 'of'), 0)::BIGINT AS e, len(list_intersect(tk, ['the', 'of', 'and'])) AS f, (list_reduce(list_transform(tk, lambda x: length(x)), lambda a, b: a + b))::BIGINT AS g, array_to_string(list_slice(list_sort(tk), 1, 2), ' ') AS h FROM (SELECT snippet_id, string_split(text, ' ') AS tk FROM (WITH {SNIPS} SELECT * FROM snips))")
 def f05(spark, sf):
     k = F.split("text", " ")
     total = F.aggregate(F.transform(k, F.length), F.lit(0), lambda a, b: a + b)
@@ -598,7 +598,7 @@ def f05(spark, sf):
     )
 
 
-@query("f06_map", "SELECT doc_id, cardinality(m) AS n, coalesce(m['quality'], -1)::INT AS q, array_to_string(list_sort(map_keys(m)), ',') AS keys, list_sum(map_values(m))::BIGINT AS total FROM (SELECT doc_id, MAP(['quality', 'toxic'], [quality, toxic]) AS m FROM labels)")
+@query("f06_map", "SELECT doc_id, cardinality(m)::BIGINT AS n, coalesce(m['quality'], -1)::INT AS q, array_to_string(list_sort(map_keys(m)), ',') AS keys, list_sum(map_values(m))::BIGINT AS total FROM (SELECT doc_id, MAP(['quality', 'toxic'], [quality, toxic]) AS m FROM labels)")
 def f06(spark, sf):
     m = F.map_from_arrays(F.array(F.lit("quality"), F.lit("toxic")), F.array("quality", "toxic"))
     total = F.aggregate(F.map_values("m"), F.lit(0), lambda a, b: a + b)
