@@ -44,14 +44,15 @@ class LogOdds:
 
     weights: dict[str, int]
     prior: int = 0
+    clip: int = CLIP
 
     def margin(self, text: Column) -> Column:
-        weights, prior = self.weights, self.prior
+        weights, prior, clip = self.weights, self.prior, self.clip
 
         def run(lines: pa.Array) -> pa.Array:
             get = weights.get
             sums = [prior + sum(get(t, 0) for t in set((x or "").split(" "))) for x in lines.to_pylist()]
-            return pa.array(np.clip(sums, -CLIP, CLIP) if sums else [], pa.int64())
+            return pa.array(np.clip(sums, -clip, clip) if sums else [], pa.int64())
 
         run.__annotations__ = {"lines": pa.Array, "return": pa.Array}
         return F.arrow_udf(run, "bigint")(feature_line(text))

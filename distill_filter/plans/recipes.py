@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from dataclasses import replace
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
@@ -29,9 +31,13 @@ def preset_detectors(text: Column) -> Column:
 
 def ngram_classifier(docs: DataFrame, positives: DataFrame, negatives: DataFrame, keep_share: float, config: StudentConfig = StudentConfig(prior=False)) -> DataFrame:
     """docs(doc_id, text) with margin_micro and kept: a linear classifier of reference texts against random ones, whose
-    highest share is kept. The cut is an exact order statistic over scores, so ties at the cut are all kept."""
+    highest share is kept. The cut is an exact order statistic over scores, so ties at the cut are all kept; margins are
+    not clipped, as over half of long texts could tie at the clip."""
     labels = positives.select("text", F.lit(1).alias("verdict")).union(negatives.select("text", F.lit(0).alias("verdict")))
-    scored = students.score(docs, students.fit(labels, config))
+    model = students.fit(labels, config)
+    if isinstance(model, students.LogOdds):
+        model = replace(model, clip=1 << 62)
+    scored = students.score(docs, model)
     cut = scored.agg(F.percentile_approx("margin_micro", 1 - keep_share, 100_000).alias("cut"))
     return scored.crossJoin(F.broadcast(cut)).withColumn("kept", (F.col("margin_micro") >= F.col("cut")).cast("int")).drop("cut")
 

@@ -162,8 +162,8 @@ def pool(spark, sf) -> DataFrame:
 
 def ngram_selection(spark, sf, share: float = 0.5) -> DataFrame:
     def build():
-        positives = table(spark, sf, "conversations").where("role = 'assistant'").select("text").limit(2000)
-        negatives = table(spark, sf, "documents").where(F.col("doc_id") % 4 == 1).select("text").limit(2000)
+        positives = table(spark, sf, "conversations").where("role = 'assistant'").select("text")
+        negatives = table(spark, sf, "documents").select("text")
         return recipes.ngram_classifier(pool(spark, sf), positives, negatives, share)
 
     return kept(spark, sf, "ngram-selection", build)
@@ -176,7 +176,7 @@ def b10(spark, sf):
 
 def score_selection(spark, sf) -> DataFrame:
     def build():
-        graded = table(spark, sf, "documents").where(F.col("doc_id") % 4 == 2).select("text", recipes.grade(F.col("text")).alias("grade"))
+        graded = table(spark, sf, "documents").select("text", recipes.grade(F.col("text")).alias("grade"))
         return recipes.annotated_score(pool(spark, sf), graded)
 
     return kept(spark, sf, "score-selection", build)
