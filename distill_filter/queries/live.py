@@ -75,6 +75,15 @@ def t08(spark, sf):
     return live.drain(a.join(b, F.expr("u = v and s > t and s <= t + interval 10 minutes")).select("a", "b"))
 
 
+@query("t08b_stream_stream_all")
+def t08b(spark, sf):
+    """The interval join of all events with all events; the SQL of t08 states a seventh of the left side, so it has no twin."""
+    rows = event_stream(spark, sf).withColumn("ts", F.col("ts").cast("timestamp"))
+    a = rows.select(F.col("event_id").alias("a"), F.col("user_id").alias("u"), F.col("ts").alias("t")).withWatermark("t", "1 day")
+    b = rows.select(F.col("event_id").alias("b"), F.col("user_id").alias("v"), F.col("ts").alias("s")).withWatermark("s", "1 day")
+    return live.drain(a.join(b, F.expr("u = v and s > t and s <= t + interval 10 minutes")).select("a", "b"))
+
+
 @query("m18_live_round", round_sql("SELECT snippet_id, stream_pos, label AS verdict FROM r_bought"))
 def m18(spark, sf):
     """The round of m13 over micro-batches: files of the stream in order of position, a few to a batch."""

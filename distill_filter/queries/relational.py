@@ -199,6 +199,15 @@ def j11(spark, sf):
     return a.join(b, "user_id").where("u > t and u <= t + interval 10 minutes").select("a", "b")
 
 
+@query("j11b_interval_all")
+def j11b(spark, sf):
+    """j11 with all events on both sides; the SQL of j11 states a part of the left one, so it has no twin."""
+    e = table(spark, sf, "events")
+    a = e.select(F.col("event_id").alias("a"), "user_id", F.col("ts").alias("t"))
+    b = e.select(F.col("event_id").alias("b"), "user_id", F.col("ts").alias("u"))
+    return a.join(b, "user_id").where("u > t and u <= t + interval 10 minutes").select("a", "b")
+
+
 @query("j12_self_pairs", "SELECT a.doc_id AS a, b.doc_id AS b FROM documents a JOIN documents b ON md5(a.text) = md5(b.text) AND a.doc_id < b.doc_id")
 def j12(spark, sf):
     d = table(spark, sf, "documents").select("doc_id", F.md5("text").alias("h"))

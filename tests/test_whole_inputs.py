@@ -1,5 +1,9 @@
 """Queries use every row of their inputs."""
 
+import datetime
+import random
+import shutil
+
 import pytest
 
 from distill_filter import queries
@@ -29,3 +33,19 @@ def test_recipes_learn_from_all_rows(spark, recipe_tables):
 def test_recipe_keeps_its_share(spark):
     rows = queries.QUERIES["b10_ngram_recipe"](spark, "/root/testdata/sf0.01").collect()
     assert 0.45 * len(rows) <= sum(r.kept for r in rows) <= 0.55 * len(rows)
+
+
+@pytest.mark.parametrize("name", ["t08b_stream_stream_all", "j11b_interval_all"])
+def test_interval_joins_pair_all_events(spark, tmp_path, name):
+    rng = random.Random(6)
+    start = datetime.datetime(2026, 1, 1)
+    rows = [(i, start + datetime.timedelta(seconds=rng.randrange(7200)), rng.randrange(4), rng.choice(["view", "click", "buy"]), 1.0) for i in range(120)]
+    rows += [(120, start, 9, "click", 1.0), (121, start + datetime.timedelta(minutes=10), 9, "buy", 1.0), (122, start + datetime.timedelta(minutes=10, seconds=1), 9, "buy", 1.0)]
+    spark.createDataFrame(rows, "event_id long, ts timestamp_ntz, user_id long, event_type string, value double").coalesce(1).write.parquet(f"{tmp_path}/events.parquet/part")
+    for f in (tmp_path / "events.parquet/part").glob("*.parquet"):
+        f.rename(tmp_path / "all.parquet")
+    shutil.rmtree(tmp_path / "events.parquet")
+    (tmp_path / "all.parquet").rename(tmp_path / "events.parquet")
+    limit = datetime.timedelta(minutes=10)
+    want = sorted((a[0], b[0]) for a in rows for b in rows if a[2] == b[2] and a[1] < b[1] <= a[1] + limit)
+    assert sorted(map(tuple, queries.QUERIES[name](spark, str(tmp_path)).collect())) == want and (120, 121) in want
