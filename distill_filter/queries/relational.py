@@ -502,6 +502,13 @@ def k08(spark, sf):
     return rows.orderBy(F.asc_nulls_last("quality"), "doc_id").limit(450)
 
 
+@query("k08b_nulls_order_all", "SELECT doc_id, quality FROM documents LEFT JOIN labels USING (doc_id)")
+def k08b(spark, sf):
+    """All documents in k08's order: unlabelled last."""
+    rows = table(spark, sf, "documents", ["doc_id"]).join(table(spark, sf, "labels"), "doc_id", "left").select("doc_id", "quality")
+    return rows.orderBy(F.asc_nulls_last("quality"), "doc_id")
+
+
 # sets
 
 
@@ -576,6 +583,12 @@ def f01(spark, sf):
     )
 
 
+@query("f01b_replace_all", "SELECT doc_id, regexp_replace(text, '[aeiou]', '_', 'g') AS c FROM documents")
+def f01b(spark, sf):
+    """f01's replacement over whole texts."""
+    return table(spark, sf, "documents").select("doc_id", F.regexp_replace("text", "[aeiou]", "_").alias("c"))
+
+
 @query("f02_hash", f"SELECT doc_id, md5(text) AS a, sha256(text) AS b, {twins.hash_int(Q + '7' + Q, 'doc_id')} AS c FROM documents")
 def f02(spark, sf):
     return table(spark, sf, "documents").select("doc_id", F.md5("text").alias("a"), F.sha2("text", 256).alias("b"), hash_int("7", F.col("doc_id")).alias("c"))

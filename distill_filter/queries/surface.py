@@ -43,6 +43,16 @@ def x02(spark, sf):
     return verdicts.annotate_remote(rows, call).select("snippet_id", "verdict")
 
 
+@query("x02b_remote_teacher_all", with_sql(STREAM, "SELECT snippet_id, contains(text, '***')::INT AS verdict FROM stream"))
+def x02b(spark, sf):
+    """x02 over the whole stream."""
+
+    def call(texts: list[str]) -> list[int]:
+        return [int("***" in t) for t in texts]
+
+    return verdicts.annotate_remote(stream(spark, sf), call).select("snippet_id", "verdict")
+
+
 @query("x03_grouped_aggregate", with_sql(SCORED, "SELECT doc_id % 3 AS part, round(max(score) - min(score), 6) AS spread FROM scored GROUP BY 1"))
 def x03(spark, sf):
     @F.pandas_udf(DoubleType())

@@ -49,3 +49,14 @@ def test_interval_joins_pair_all_events(spark, tmp_path, name):
     limit = datetime.timedelta(minutes=10)
     want = sorted((a[0], b[0]) for a in rows for b in rows if a[2] == b[2] and a[1] < b[1] <= a[1] + limit)
     assert sorted(map(tuple, queries.QUERIES[name](spark, str(tmp_path)).collect())) == want and (120, 121) in want
+
+
+def test_unlabelled_come_last_and_none_is_dropped(spark):
+    sf = "/root/testdata/sf0.1"  # more labels than the 450 rows that k08 returns
+    rows = [(r.quality is None, r.quality or 0, r.doc_id) for r in queries.QUERIES["k08b_nulls_order_all"](spark, sf).collect()]
+    assert rows == sorted(rows) and len(rows) == spark.read.parquet(f"{sf}/documents.parquet").count() and rows[-1][0]
+
+
+def test_replacement_and_annotation_cover_all(spark):
+    assert not any(set("aeiou") & set(r.c or "") for r in queries.QUERIES["f01b_replace_all"](spark, SF).collect())
+    assert queries.QUERIES["x02b_remote_teacher_all"](spark, SF).count() == queries.QUERIES["m02_stream_order"](spark, SF).count() > 300
