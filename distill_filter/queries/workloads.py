@@ -15,7 +15,7 @@ from ..plans import active, engine, recipes
 from ..sources.html import pages_as_documents
 from ..sources.tables import kept, table
 from . import twins
-from .methods import SCORED, SEED, TOPICS, a_run, first_student, scored, snips, stream, test_rows, with_sql
+from .methods import SCORED, SEED, a_run, first_student, scored, snips, stream, test_rows, with_sql
 from .registry import query
 
 #: Runs of the workloads: a test split of a fifth by text is never bought; the radius is scaled for the small tables.
@@ -32,6 +32,11 @@ def train_stream(spark, sf) -> DataFrame:
     return kept(spark, sf, "train-stream", build)
 
 
+def common_words(spark, sf) -> list[str]:
+    """The tokens that the mainstream rule goes by: a small list."""
+    return sorted(r.token for r in teacher.common_tokens(table(spark, sf, "documents")).collect())
+
+
 def test_split(spark, sf) -> DataFrame:
     return stream(spark, sf).where(snippets.held_out(F.col("text")))
 
@@ -41,9 +46,9 @@ def accuracy(spark, sf, model, spec: str, cut: int = 0) -> float:
     return metrics.balanced_accuracy(rows, spec, "pred").first().balanced_accuracy
 
 
-def run_of(spark, sf, policy: str, spec: str, config: RunConfig = WORK, student: StudentConfig = StudentConfig(), teacher_: TeacherConfig = TeacherConfig()) -> active.Run:
+def run_of(spark, sf, policy: str, spec: str, config: RunConfig = WORK, student: StudentConfig = StudentConfig(), teacher_: TeacherConfig = TeacherConfig(), common: list[str] | None = None) -> active.Run:
     rows = train_stream(spark, sf).select("snippet_id", "stream_pos", "text")
-    return active.distil(rows, spec, replace(config, policy=policy), student, teacher_, n=rows.count())
+    return active.distil(rows, spec, replace(config, policy=policy), student, teacher_, common, n=rows.count())
 
 
 def curve(spark, sf, spec: str, policies=("band", "random", "uncertainty"), config: RunConfig = WORK) -> DataFrame:
@@ -100,18 +105,19 @@ def a16(spark, sf):
 @query("w01_five_filters")
 def w01(spark, sf):
     """Per filter: balanced accuracy against one teacher call of a second call, the weak teacher, and the distilled student; calls and costs."""
-    eps = {"topic_hostile": 0.02, "topic_legal": 0.025, "topic_private": 0.025, "quality": 0.07}
-    prior = stream(spark, sf).agg(*(F.avg(c).alias(c) for c in TOPICS)).first()
+    eps = {"topic_hostile": 0.02, "topic_legal": 0.025, "topic_private": 0.025, "mainstream": 0.07, "quality": 0.07}
+    common = common_words(spark, sf)
+    prior = stream(spark, sf).agg(*(F.avg(teacher.rule(s, F.col("text"), common=common)).alias(s) for s in eps)).first()
     out = []
-    for spec in TOPICS:
+    for spec in eps:
         # errors in proportion to the classes, so that a call repeated agrees about equally well on both
         up, down = (eps[spec] * min(1.0, (1 - prior[spec]) / max(prior[spec], 1e-6)), eps[spec] * min(1.0, prior[spec] / max(1 - prior[spec], 1e-6)))
         noisy = TeacherConfig(mode="noisy", eps_pos=up, eps_neg=down)
         weak = TeacherConfig("weak", "noisy", 3 * up, 3 * down)
-        run = run_of(spark, sf, "band", spec, WORK, StudentConfig(), noisy)
+        run = run_of(spark, sf, "band", spec, WORK, StudentConfig(), noisy, common)
         rows = students.score(test_split(spark, sf), run.model)
         sid, text = F.col("snippet_id"), F.col("text")
-        calls = [teacher.verdict(spec, text, sid, noisy, 10).alias("truth"), teacher.verdict(spec, text, sid, noisy, 11).alias("teacher"), teacher.verdict(spec, text, sid, weak, 10).alias("weak"), engine.passes(F.col("margin_micro")).alias("student")]
+        calls = [teacher.verdict(spec, text, sid, noisy, 10, common).alias("truth"), teacher.verdict(spec, text, sid, noisy, 11, common).alias("teacher"), teacher.verdict(spec, text, sid, weak, 10, common).alias("weak"), engine.passes(F.col("margin_micro")).alias("student")]
         r = rows.select(*calls)
         n = stream(spark, sf).count()
         for method, billed in (("teacher", n), ("weak", n), ("student", len(run.labels))):
@@ -249,10 +255,19 @@ def w06(spark, sf):
 
 @query("w07_human_eval")
 def w07(spark, sf):
-    rows = scored(spark, sf).select("snippet_id", F.col("label").alias("truth"), engine.passes(F.col("margin_micro")).alias("student"), teacher.verdict("quality", F.col("text"), F.col("snippet_id"), TeacherConfig().noisy(0.06)).alias("teacher"))
-    groups = metrics.human_preference(rows, "teacher", "student", "truth", "quality")
-    pooled = groups.agg(F.lit(0).alias("group_no"), F.sum("n_snippets").alias("n_snippets"), F.sum("student_wins").alias("student_wins"))
-    return groups.union(pooled.withColumn("preference", F.col("student_wins") / F.col("n_snippets")))
+    """The panel's preference on mainstream and quality; group 0 is both groups pooled."""
+    common, out = common_words(spark, sf), None
+    text, sid = F.col("text"), F.col("snippet_id")
+    for spec in ("mainstream", "quality"):
+        truth = teacher.rule(spec, text, common=common)
+        first = stream(spark, sf).where(F.col("stream_pos") < SEED).select("text", truth.alias("verdict"))
+        rows = students.score(stream(spark, sf), students.fit(first))
+        rows = rows.select("snippet_id", truth.alias("truth"), engine.passes(F.col("margin_micro")).alias("student"), teacher.verdict(spec, text, sid, TeacherConfig().noisy(0.06), 0, common).alias("teacher"))
+        groups = metrics.human_preference(rows, "teacher", "student", "truth", spec)
+        pooled = groups.agg(F.lit(0).alias("group_no"), F.sum("n_snippets").alias("n_snippets"), F.sum("student_wins").alias("student_wins"))
+        both = groups.union(pooled.withColumn("preference", F.col("student_wins") / F.col("n_snippets"))).select(F.lit(spec).alias("spec"), "*")
+        out = both if out is None else out.union(both)
+    return out
 
 
 @query("w08_cost_table")

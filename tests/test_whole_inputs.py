@@ -60,3 +60,9 @@ def test_unlabelled_come_last_and_none_is_dropped(spark):
 def test_replacement_and_annotation_cover_all(spark):
     assert not any(set("aeiou") & set(r.c or "") for r in queries.QUERIES["f01b_replace_all"](spark, SF).collect())
     assert queries.QUERIES["x02b_remote_teacher_all"](spark, SF).count() == queries.QUERIES["m02_stream_order"](spark, SF).count() > 300
+
+
+def test_mainstream_is_among_the_filters(spark):
+    rows = queries.QUERIES["w01_five_filters"](spark, SF).collect()
+    assert {r.spec for r in rows} == {"topic_hostile", "topic_legal", "topic_private", "mainstream", "quality"} and len(rows) == 15
+    assert {(r.spec, r.group_no) for r in queries.QUERIES["w07_human_eval"](spark, SF).collect()} == {(s, g) for s in ("mainstream", "quality") for g in (0, 1, 2)}
