@@ -41,7 +41,8 @@ class TeacherConfig:
 
 @dataclass(frozen=True)
 class StudentConfig:
-    """kind: logodds, focal, mllib or vector. smoothing, min_df and z_min are the log-odds student's."""
+    """kind: logodds, focal, mllib or vector. smoothing, min_df and z_min are the log-odds student's; warm_start (an
+    ablation) lets a focal student begin where the last round's ended; a log-odds one has no state to begin from."""
 
     kind: str = "logodds"
     smoothing: float = 0.5
@@ -53,6 +54,7 @@ class StudentConfig:
     epochs: int = 60
     rate: float = 0.5
     bits: int = 18
+    warm_start: bool = False
 
 
 @dataclass(frozen=True)
@@ -61,7 +63,8 @@ class RunConfig:
 
     batch: labels bought each round; budget: labels in all. radius_scale 1 is the published radius; smaller values are
     for small inputs and are shown in every trace. policy: band, random, uncertainty, pool_uncertainty or pool_cut.
-    unlabelled: implied, constant or labelled_only. cut of the final student: half, eot, balanced, or a pass share.
+    unlabelled: implied, constant or labelled_only. nested: False takes both ends of each update as they are; True only
+    narrows. on_exhausted: stop or wrap; on_single_class: prior or grow_seed. cut of the final student: half, eot, balanced, or a pass share.
     """
 
     width: int = 64
@@ -71,12 +74,13 @@ class RunConfig:
     delta: float = 0.1
     radius_scale: float = 1.0
     unlabelled: str = "implied"
-    nested: bool = True
+    nested: bool = False
     radius: str = "bernstein"
     policy: str = "band"
     uncertainty_width: float = 0.4
     budget_mode: str = "total"
     on_exhausted: str = "stop"
+    on_single_class: str = "prior"
     cut: str | float = "half"
 
     @property

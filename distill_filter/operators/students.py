@@ -113,8 +113,8 @@ def hashed_features(text: str | None, size: int) -> np.ndarray:
     return np.unique([zlib.crc32(x.encode()) % size for x in [*words, *forms, *map("_".join, zip(words, words[1:]))]]).astype(np.int64)
 
 
-def fit_focal(labels: DataFrame, config: StudentConfig = StudentConfig()) -> Hashed:
-    """A linear head by full-batch gradient descent with focal loss. Labels come to the driver: MOST_LABELS at most, or it raises."""
+def fit_focal(labels: DataFrame, config: StudentConfig = StudentConfig(), start: Hashed | None = None) -> Hashed:
+    """From zero, or from `start`: a linear head by full-batch gradient descent with focal loss. Labels come to the driver: MOST_LABELS at most, or it raises."""
     rows = labels.select("text", "verdict").limit(MOST_LABELS + 1).collect()
     if len(rows) > MOST_LABELS:
         raise ValueError(f"more than {MOST_LABELS} labels; fit on fewer")
@@ -126,7 +126,7 @@ def fit_focal(labels: DataFrame, config: StudentConfig = StudentConfig()) -> Has
     flat, owner = (np.concatenate(places) if places else np.zeros(0, np.int64)), np.repeat(np.arange(len(rows)), lengths)
     scale = 1 / np.maximum(1.0, np.sqrt(lengths))
     weight = balanced_weights(y) if config.class_weight else np.ones(len(y))
-    w, bias = np.zeros(size), 0.0
+    w, bias = (start.weights.copy(), start.bias) if start else (np.zeros(size), 0.0)
     for _ in range(config.epochs):
         margin = np.bincount(owner, w[flat], len(rows)) * scale + bias
         g = focal_gradient(margin, y, config.focal_gamma, weight) / max(1, len(rows))
@@ -190,10 +190,10 @@ def fit_vectors(labels: DataFrame, config: StudentConfig = StudentConfig(class_w
     return VectorHead(tuple(w), float(bias))
 
 
-def fit(labels: DataFrame, config: StudentConfig = StudentConfig()) -> Student:
+def fit(labels: DataFrame, config: StudentConfig = StudentConfig(), start: Student | None = None) -> Student:
     """labels(text, verdict) to a student of config.kind. The weights table is bounded by the labels' tokens."""
     if config.kind == "focal":
-        return fit_focal(labels, config)
+        return fit_focal(labels, config, start)
     if config.kind != "logodds":
         raise ValueError(f"{config.kind}: use fit_library or fit_vectors")
     found = {r.token: r.w_micro for r in logodds_weights(labels, config).select("token", "w_micro").collect()}

@@ -1,27 +1,61 @@
 """Stream-based distillation: buy labels inside a band of scores, refit, go on at the stream's head.
 
 Within a round the student is fixed and the band changes only after 2, 4, 8, ... snippets. So a round is a sequence of
-blocks of the stream, each a range of positions with one band, and the only thing that hangs on order inside a block is
-where the cap falls: the first rows in the band, by position. A block is a filtered scan of the ordered stream; labels
-of a block can be bought in parallel.
+blocks of the stream in which the band is constant, and the only thing that hangs on order inside a block is where the
+cap falls: the first rows in the band, by position. The stream is read from its head in pieces, each as long as what is
+still to be bought or as all that the round has read so far, whichever is more: the rows scored are at most twice the
+rows read. Of a piece the driver gets positions and margins, PIECE_ROWS at most, never text; of a round it keeps counts
+by distinct margin, which the student's clip bounds. The same steps run at every size, in batches and on live arrivals.
 """
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+import bisect
+import uuid
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass, field
+from typing import Protocol
 
 import numpy as np
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..config import RunConfig, StudentConfig, TeacherConfig
 from ..operators import students, threshold
 from ..operators.teacher import verdict
+from ..sources.tables import shared_dir
 
-#: A round whose prefix has fewer rows works on numbers in the driver (24 bytes a row, no text); above, on DataFrames.
-LOCAL_ROWS = 1_000_000
+#: Rows of which the driver takes (position, margin) at a time: 16 bytes each.
+PIECE_ROWS = 1 << 22
 OPEN_LO, OPEN_HI = -(1 << 61), 1 << 61
+LABELS = "ord bigint, round int, snippet_id string, stream_pos bigint, text string, verdict int"
+
+
+class Annotator(Protocol):
+    """What the loop asks: requests(snippet_id, stream_pos, text) to (snippet_id, stream_pos, verdict), a row for each.
+
+    `column` may give the verdict as an expression where it costs nothing to compute it before it is known what is
+    bought; else None, and only what is bought is asked for.
+    """
+
+    def column(self, text: Column, snippet_id: Column) -> Column | None: ...
+
+    def ask(self, requests: DataFrame) -> DataFrame: ...
+
+
+@dataclass(frozen=True)
+class RuleAnnotator:
+    """A simulated teacher: its verdict is an expression over the text."""
+
+    spec: str
+    teacher: TeacherConfig = TeacherConfig()
+    common: tuple[str, ...] | None = None
+
+    def column(self, text: Column, snippet_id: Column) -> Column:
+        return verdict(self.spec, text, snippet_id, self.teacher, 0, list(self.common) if self.common else None)
+
+    def ask(self, requests: DataFrame) -> DataFrame:
+        return requests.select("snippet_id", "stream_pos", self.column(F.col("text"), F.col("snippet_id")).alias("verdict"))
 
 
 def blocks(cap: int) -> Iterator[tuple[int, int]]:
@@ -34,7 +68,11 @@ def blocks(cap: int) -> Iterator[tuple[int, int]]:
 
 @dataclass
 class Run:
-    """What a run leaves: labels bought in order, a trace row for each band update, and a student for each round."""
+    """What a run leaves: labels bought in order, a trace row for each band update, a student for each round, counters.
+
+    seen: the stream's rows up to the last one read; scored: rows that a student scored on the way; passes: those of
+    whole-pool scans; calls: verdicts asked for. The labels' texts lie in tables below `paths`.
+    """
 
     config: RunConfig
     labels: list[tuple[int, int, str, int, int]] = field(default_factory=list)
@@ -43,6 +81,9 @@ class Run:
     seen: int = 0
     exhausted: bool = False
     passes: int = 0
+    scored: int = 0
+    calls: int = 0
+    paths: list[str] = field(default_factory=list)
 
     @property
     def model(self) -> students.Student:
@@ -56,6 +97,11 @@ class Run:
         rows = [(self.config.policy, self.config.radius_scale, *t) for t in self.trace]
         return spark.createDataFrame(rows, "policy string, radius_scale double, round int, t bigint, lo bigint, hi bigint, s_hat bigint, loss double, beta double, bought int")
 
+    def labelled(self, spark: SparkSession, upto: int | None = None) -> DataFrame:
+        """(text, verdict) of the first `upto` labels, from the tables that were written as they were bought."""
+        rows = spark.read.schema(LABELS).parquet(*self.paths)
+        return (rows if upto is None else rows.where(F.col("ord") < upto)).select("text", "verdict")
+
 
 @dataclass
 class Band:
@@ -64,7 +110,7 @@ class Band:
 
 
 def narrowed(lo: int, hi: int, band: Band, top: int, nested: bool) -> Band:
-    """The band after an update that found [lo, hi] among scores up to top.
+    """The band after an update that found [lo, hi] among scores up to top: those two ends.
 
     Nested bands never widen, so an upper end at the highest score seen must not close the band to scores not seen yet:
     cuts from there on up say the same of what was seen, and the end stays where it was.
@@ -72,118 +118,226 @@ def narrowed(lo: int, hi: int, band: Band, top: int, nested: bool) -> Band:
     return Band(max(band.lo, lo), band.hi if hi == top else min(band.hi, hi)) if nested else Band(lo, hi)
 
 
+@dataclass
+class Collector:
+    """One round, fed with margins in stream order, cut anywhere: labels are looked at only where bought."""
+
+    n: int
+    need: int
+    config: RunConfig
+    seen: int = 0
+    lo: int = OPEN_LO
+    hi: int = OPEN_HI
+    bought: int = 0
+    counts: threshold.Counts | None = None
+    round_no: int = 1
+    trace: list = field(default_factory=list)
+
+    def __post_init__(self) -> None:
+        self.counts = self.counts or threshold.Counts(self.config.unlabelled)
+
+    def feed(self, margins: np.ndarray, labels: np.ndarray | Callable[[np.ndarray], np.ndarray]) -> np.ndarray:
+        """Places in this piece whose labels are bought; labels: one for each margin, or what says those of given places."""
+        ask = labels if callable(labels) else lambda at: labels[at]
+        out, at = [], 0
+        while at < len(margins) and self.bought < self.need:
+            update = 2 if self.seen <= 2 else 1 << (self.seen - 1).bit_length()
+            end = min(len(margins), at + update - self.seen + 1)
+            m = margins[at:end]
+            inside = np.flatnonzero((m >= self.lo) & (m <= self.hi))[: self.need - self.bought]
+            out += (at + inside).tolist()
+            self.bought += len(inside)
+            known = np.full(len(m), -1)
+            if len(inside):
+                known[inside] = ask(at + inside)
+            if self.bought == self.need:
+                self.seen += int(inside[-1]) + 1 if len(inside) else 0
+                break
+            if self.config.unlabelled == "implied":
+                known = np.where(known >= 0, known, np.where(m < self.lo, 0, 1))
+            self.counts.add(m, known)
+            self.seen += len(m)
+            if self.seen == update + 1:
+                c = self.config
+                lo, hi, s_hat, loss = self.counts.update(update, self.n, c.delta, c.radius_scale, c.radius)
+                band = narrowed(lo, hi, Band(self.lo, self.hi), self.counts.top, c.nested)
+                self.lo, self.hi = band.lo, band.hi
+                self.trace.append((self.round_no, update, band.lo, band.hi, s_hat, loss, threshold.beta(update + 1, self.n, c.delta, c.radius_scale), self.bought))
+            at = end
+        return np.array(out, dtype=np.int64)
+
+
 def local_round(pos: np.ndarray, margin: np.ndarray, label: np.ndarray, need: int, n: int, config: RunConfig, trace: list, round_no: int = 1) -> tuple[np.ndarray, int]:
-    """(places bought, places read) of one round over arrays in stream order; label is looked at only where bought.
+    """(places bought, places read) of one round over arrays in stream order."""
+    c = Collector(n, need, config, round_no=round_no, trace=trace)
+    return c.feed(margin, label), c.seen if c.bought == need else len(pos)
 
-    The same steps as `frame_round`, on numbers.
-    """
-    band, counts, bought = Band(), threshold.Counts(config.unlabelled), []
-    for first, last in blocks(len(pos)):
-        m, y = margin[first : last + 1], label[first : last + 1].astype(np.int64)
-        inside = np.flatnonzero((m >= band.lo) & (m <= band.hi))
-        room = need - len(bought)
-        if len(inside) >= room:
-            bought += (first + inside[:room]).tolist()
-            return np.array(bought, dtype=np.int64), bought[-1] + 1
-        bought += (first + inside).tolist()
-        known = np.full(len(m), -1)
-        known[inside] = y[inside]
-        if config.unlabelled == "implied":
-            known = np.where(known >= 0, known, np.where(m < band.lo, 0, 1))
-        counts.add(m, known)
-        if first + len(m) - 1 == last:
-            lo, hi, s_hat, loss = counts.update(last, n, config.delta, config.radius_scale, config.radius)
-            band = narrowed(lo, hi, band, counts.top, config.nested)
-            trace.append((round_no, last, band.lo, band.hi, s_hat, loss, threshold.beta(last + 1, n, config.delta, config.radius_scale), len(bought)))
-    return np.array(bought, dtype=np.int64), len(pos)
-
-
-def frame_round(scored: DataFrame, head: int, need: int, n: int, config: RunConfig, trace: list, round_no: int = 1) -> tuple[list, int]:
-    """The same over scored(stream_pos, snippet_id, margin_micro, label), a few jobs for each block and none that
-    collects more than it buys. Returns the rows bought and the next head."""
-    spark = scored.sparkSession
-    band, bought, counts = Band(), [], None
-    for first, last in blocks(n - head):
-        block = scored.where(F.col("stream_pos").between(head + first, head + last))
-        inside = block.where(F.col("margin_micro").between(band.lo, band.hi))
-        got = inside.select("stream_pos", "snippet_id", "label").orderBy("stream_pos").limit(need - len(bought)).collect()
-        bought += got
-        if len(bought) == need:
-            return bought, bought[-1].stream_pos + 1
-        own = F.when(F.col("margin_micro").between(band.lo, band.hi), F.col("label"))
-        done = threshold.completed(config.unlabelled, F.lit(band.lo), F.lit(band.hi), F.col("margin_micro"), own)
-        new = [(r.margin_micro, r.label, r.n) for r in block.groupBy("margin_micro", done.alias("label")).agg(F.count("*").alias("n")).collect()]
-        counts = new if counts is None else counts + new
-        if last < n - head:
-            rows = spark.createDataFrame(counts, "margin_micro bigint, label int, n bigint")
-            curve = threshold.loss_curve(rows.select("margin_micro", "label", F.explode(F.sequence(F.lit(1).cast("bigint"), "n"))), config.unlabelled)
-            b = threshold.band(curve, last, n, config.delta, config.radius_scale, config.radius).first()
-            band = narrowed(b.lo, b.hi, band, max(m for m, _, _ in counts), config.nested)
-            trace.append((round_no, last, band.lo, band.hi, b.s_hat, b.loss, threshold.beta(last + 1, n, config.delta, config.radius_scale), len(bought)))
-    return bought, n
-
-
-def _labelled(stream: DataFrame, run: Run) -> DataFrame:
-    """(text, verdict) of the labels bought so far: a broadcast of at most `budget` ids against the stream."""
-    mine = run.labels_df(stream.sparkSession).select("snippet_id", "verdict")
-    return stream.select("snippet_id", "text").join(F.broadcast(mine), "snippet_id").select("text", "verdict")
-
-
-def distil(stream: DataFrame, spec: str, config: RunConfig = RunConfig(), student: StudentConfig = StudentConfig(), teacher: TeacherConfig = TeacherConfig(), common: list[str] | None = None, n: int | None = None) -> Run:
+
+def frame_round(scored: DataFrame, head: int, need: int, n: int, config: RunConfig, trace: list, round_no: int = 1, piece_rows: int = PIECE_ROWS) -> tuple[list, int]:
+    """A round over a table scored(stream_pos, snippet_id, margin_micro, label). Returns the rows bought and the next head."""
+    c, at, bought = Collector(n, need, config, round_no=round_no, trace=trace), head, {}
+    while at < n and c.bought < need:
+        size = min(piece_rows, max(need - c.bought, c.seen), n - at)
+        pos, margin, label = _numbers(scored.where(F.col("stream_pos").between(at, at + size - 1)), "label")
+        bought |= {int(pos[i]): int(label[i]) for i in c.feed(margin, label)}
+        at += size
+    places = scored.sparkSession.createDataFrame([(p,) for p in bought], "stream_pos bigint")
+    rows = scored.join(F.broadcast(places), "stream_pos").select("stream_pos", "snippet_id", "label").orderBy("stream_pos").collect()
+    return rows, rows[-1].stream_pos + 1 if c.bought == need else n
+
+
+def _numbers(rows: DataFrame, *more: str) -> list[np.ndarray]:
+    """stream_pos, margin_micro and other whole numbers of rows, in the order of stream_pos: a bounded piece."""
+    table = rows.select("stream_pos", "margin_micro", *more).toPandas().sort_values("stream_pos")
+    return [table[c].to_numpy(dtype=np.int64) for c in table.columns]
+
+
+class Places:
+    """Ranks of rows that are not bought to positions in the stream, for a second way round it."""
+
+    def __init__(self, bought: list[int], head: int):
+        self.gaps, self.head = sorted(p for p in bought if p >= head), head
+
+    def position(self, rank: int) -> int:
+        """Where the row of this rank lies: the smallest p with rank rows before it that are not bought."""
+        low, high = 0, len(self.gaps)
+        while low < high:  # the number of gaps before it
+            mid = (low + high) // 2
+            low, high = (mid + 1, high) if self.gaps[mid] - self.head - mid <= rank else (low, mid)
+        return self.head + rank + low
+
+    def left(self, n: int) -> int:
+        return max(0, n - self.head - bisect.bisect_left(self.gaps, n))
+
+
+def _buy(stream: DataFrame, run: Run, annotator: Annotator, positions: list[int], verdicts: dict[int, int], round_no: int) -> int:
+    """Write the rows at positions with their verdicts, asking for those that are not known yet; returns how many."""
+    if not positions:
+        return 0
+    spark, path = stream.sparkSession, f"{shared_dir(stream.sparkSession)}/labels-{uuid.uuid4().hex}"
+    order = spark.createDataFrame([(p, len(run.labels) + i, verdicts.get(p)) for i, p in enumerate(positions)], "stream_pos bigint, ord bigint, known int")
+    rows = stream.where(F.col("stream_pos").between(min(positions), max(positions))).join(F.broadcast(order), "stream_pos")
+    rows = rows.select("ord", F.lit(round_no).alias("round"), "snippet_id", "stream_pos", "text", "known")
+    if len(verdicts) < len(positions):
+        said = annotator.ask(rows.select("snippet_id", "stream_pos", "text"))
+        rows = rows.drop("known").join(said.select("stream_pos", "verdict"), "stream_pos")
+    else:
+        rows = rows.withColumnRenamed("known", "verdict")
+    rows.select(*(c.split()[0] for c in LABELS.split(", "))).coalesce(1 + len(positions) // 50_000).write.parquet(path)
+    run.paths.append(path)
+    got = spark.read.schema(LABELS).parquet(path).select("ord", "snippet_id", "stream_pos", "verdict").orderBy("ord").collect()
+    run.labels += [(round_no, int(g.ord), g.snippet_id, int(g.stream_pos), int(g.verdict)) for g in got]
+    run.calls += len(got)
+    return len(got)
+
+
+def _band_round(stream: DataFrame, run: Run, model: students.Student, annotator: Annotator, places: Places, need: int, n: int, round_no: int) -> tuple[list[int], dict[int, int], int]:
+    """(positions bought, their verdicts, next head) of one round of the band policy."""
+    inline = annotator.column(F.col("text"), F.col("snippet_id"))
+    c = Collector(n, need, run.config, round_no=round_no, trace=run.trace)
+    rank, left, positions, verdicts = 0, places.left(n), [], {}
+    taken = stream.sparkSession.createDataFrame([(p,) for p in places.gaps], "stream_pos bigint") if places.gaps else None
+    while rank < left and c.bought < need:
+        size = min(PIECE_ROWS, max(need - c.bought, c.seen), left - rank)
+        piece = stream.where(F.col("stream_pos").between(places.position(rank), places.position(rank + size - 1)))
+        if taken is not None:
+            piece = piece.join(F.broadcast(taken), "stream_pos", "left_anti")
+        if inline is not None:
+            piece = piece.withColumn("label", inline)
+        pos, margin, *label = _numbers(students.score(piece, model), *(["label"] if inline is not None else []))
+        run.scored += len(pos)
+
+        def ask(at: np.ndarray) -> np.ndarray:
+            """Blocks of a piece are asked one after the other, each at once: the next block's band hangs on the answers."""
+            got = label[0][at] if label else _asked(stream, annotator, pos[at])
+            verdicts.update(zip(pos[at].tolist(), got.tolist(), strict=True))
+            return got
+
+        positions += pos[c.feed(margin, ask)].tolist()
+        rank += size
+    return positions, verdicts, positions[-1] + 1 if c.bought == need else n
+
+
+def _asked(stream: DataFrame, annotator: Annotator, positions: np.ndarray) -> np.ndarray:
+    want = stream.sparkSession.createDataFrame([(int(p),) for p in positions], "stream_pos bigint")
+    rows = stream.where(F.col("stream_pos").between(int(positions.min()), int(positions.max()))).join(F.broadcast(want), "stream_pos")
+    got = {r.stream_pos: r.verdict for r in annotator.ask(rows.select("snippet_id", "stream_pos", "text")).select("stream_pos", "verdict").collect()}
+    return np.array([got[int(p)] for p in positions], dtype=np.int64)
+
+
+def _scanned(stream: DataFrame, run: Run, model: students.Student, need: int, n: int, head: int, wrapped: bool) -> tuple[list[int], int]:
+    """(positions, next head) of one round of a policy other than the band. Verdicts are not looked at."""
+    policy, mine = run.config.policy, stream.sparkSession.createDataFrame([(p,) for _, _, _, p, _ in run.labels], "stream_pos bigint")
+    pool = policy.startswith("pool")
+    rows = stream if pool else stream.where(F.col("stream_pos") >= head)
+    if pool or wrapped:
+        rows = rows.join(F.broadcast(mine), "stream_pos", "left_anti")
+    if policy == "random":
+        got = rows.select("stream_pos").orderBy("stream_pos").limit(need).collect()
+        return [r.stream_pos for r in got], got[-1].stream_pos + 1 if len(got) == need else n
+    scored, centre = students.score(rows, model).select("stream_pos", "snippet_id", "score"), F.lit(0.5)
+    if policy == "pool_cut":
+        curve = threshold.loss_curve(students.score(run.labelled(stream.sparkSession).withColumnRenamed("verdict", "label"), model))
+        centre = students.score_of(F.greatest(F.lit(threshold.empirical_cut(curve).first().s_hat), F.lit(-students.CLIP)))
+    apart = F.abs(F.col("score") - centre)
+    if pool:
+        run.passes += n
+        run.scored += n - len(run.labels)
+        return [r.stream_pos for r in scored.orderBy(apart, "snippet_id").limit(need).select("stream_pos").collect()], head
+    positions, at = [], head
+    while at < n and len(positions) < need:
+        size = min(PIECE_ROWS, max(need - len(positions), at - head), n - at)
+        near = scored.where(F.col("stream_pos").between(at, at + size - 1) & (apart <= run.config.uncertainty_width))
+        positions += sorted(r.stream_pos for r in near.select("stream_pos").collect())
+        run.scored += size
+        at += size
+    positions = positions[:need]
+    return positions, positions[-1] + 1 if len(positions) == need else n
+
+
+def distil(stream: DataFrame, spec: str, config: RunConfig = RunConfig(), student: StudentConfig = StudentConfig(), teacher: TeacherConfig = TeacherConfig(), common: list[str] | None = None, n: int | None = None, annotator: Annotator | None = None) -> Run:
     """Run a policy over stream(snippet_id, stream_pos, text) until the budget or the stream ends.
 
-    The seed is the first `batch` snippets, bought whatever they are. Each round fits a student on all labels so far,
-    from its base state, then buys `batch` more. A stream that ends stops the run, or with on_exhausted="wrap" goes
-    round once more over what was not bought. If the seed holds one class only the student scores all alike and the
-    band policies read on in order.
+    Verdicts come from `annotator`, or from the simulated `teacher` of `spec`; a remote one is asked only for what is
+    bought. The seed is the first `batch` snippets, bought whatever they are. Each round fits a student on all labels so
+    far, from its base state (or the last round's, with warm_start), then buys `batch` more. A stream that ends stops
+    the run, or with on_exhausted="wrap" goes round once more over what was not bought. If the seed holds one class only
+    the student scores all alike and the band policies read on in order; on_single_class="grow_seed" buys more in order
+    of the stream first, until both classes are there.
     """
     n = stream.count() if n is None else n
     run = Run(config)
-    stream = stream.withColumn("label", verdict(spec, F.col("text"), F.col("snippet_id"), teacher, 0, common))
-    for r in stream.where(F.col("stream_pos") < config.batch).select("stream_pos", "snippet_id", "label").orderBy("stream_pos").collect():
-        run.labels.append((0, 0, r.snippet_id, r.stream_pos, r.label))
+    stream = stream.select("snippet_id", "stream_pos", "text")
+    annotator = annotator or RuleAnnotator(spec, teacher, tuple(common) if common else None)
+    most = config.budget + config.batch * (config.budget_mode == "extra")
     head = run.seen = min(config.batch, n)
-    wrapped = False
+    _buy(stream, run, annotator, list(range(head)), {}, 0)
+    while config.on_single_class == "grow_seed" and len({v for *_, v in run.labels}) == 1 and head < min(n, most):
+        upto = min(head + config.batch, n, most)
+        _buy(stream, run, annotator, list(range(head, upto)), {}, 0)
+        head = run.seen = upto
+    wrapped, spark, model = False, stream.sparkSession, None
     for round_no in range(1, config.rounds + 1):
-        model = students.fit(_labelled(stream, run), student)
+        if not run.paths:
+            break
+        model = students.fit(run.labelled(spark), student, model if student.warm_start else None)
         run.models.append((len(run.labels), model))
-        need = min(config.batch, (config.budget + config.batch * (config.budget_mode == "extra")) - len(run.labels))
+        need = min(config.batch, most - len(run.labels))
         if need <= 0:
             break
-        pool = config.policy.startswith("pool")
-        rows = stream if pool or wrapped else stream.where(F.col("stream_pos") >= head)
-        if pool or wrapped:
-            rows = rows.join(F.broadcast(run.labels_df(stream.sparkSession).select("snippet_id")), "snippet_id", "left_anti")
-        if config.policy == "random":
-            got = rows.select("stream_pos", "snippet_id", "label").orderBy("stream_pos").limit(need).collect()
-            head = got[-1].stream_pos + 1 if got else n
+        if config.policy == "band":
+            bought = [p for _, _, _, p, _ in run.labels] if wrapped else []
+            positions, verdicts, head = _band_round(stream, run, model, annotator, Places(bought, head), need, n, round_no)
         else:
-            scored = students.score(rows, model).select("stream_pos", "snippet_id", "margin_micro", "score", "label")
-            run.passes += n if pool else 0
-            if config.policy == "band" and n - head > LOCAL_ROWS:
-                got, head = frame_round(scored, head, need, n, config, run.trace, round_no)
-            elif config.policy == "band":
-                table = scored.select("stream_pos", "snippet_id", "margin_micro", "label").orderBy("stream_pos").toPandas()
-                at, read = local_round(table.stream_pos.to_numpy(), table.margin_micro.to_numpy(), table.label.to_numpy(), need, n, config, run.trace, round_no)
-                got = list(table.iloc[at][["stream_pos", "snippet_id", "label"]].itertuples(index=False))
-                head = int(table.stream_pos.iloc[read - 1]) + 1 if read else n
-            else:
-                centre = F.lit(0.5)
-                if config.policy == "pool_cut":
-                    curve = threshold.loss_curve(students.score(_labelled(stream, run).withColumnRenamed("verdict", "label"), model))
-                    centre = students.score_of(F.greatest(F.lit(threshold.empirical_cut(curve).first().s_hat), F.lit(-students.CLIP)))
-                apart = F.abs(F.col("score") - centre)
-                if pool:
-                    got = scored.orderBy(apart, "snippet_id").limit(need).select("stream_pos", "snippet_id", "label").collect()
-                else:
-                    got = scored.where(apart <= config.uncertainty_width).orderBy("stream_pos").limit(need).select("stream_pos", "snippet_id", "label").collect()
-                    head = got[-1].stream_pos + 1 if len(got) == need else n
-        run.labels += [(round_no, round_no, g.snippet_id, int(g.stream_pos), int(g.label)) for g in got]
+            positions, head = _scanned(stream, run, model, need, n, head, wrapped)
+            verdicts = {}
+        _buy(stream, run, annotator, positions, verdicts, round_no)
         run.seen = max(run.seen, head)
-        if len(got) < need:
+        if len(positions) < need:
             run.exhausted = True
             if config.on_exhausted != "wrap" or wrapped:
                 break
             wrapped, head = True, 0
-    run.models.append((len(run.labels), students.fit(_labelled(stream, run), student)))
+    if run.paths:
+        run.models.append((len(run.labels), students.fit(run.labelled(spark), student, model if student.warm_start else None)))
     return run

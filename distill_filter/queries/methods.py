@@ -211,7 +211,7 @@ def m12c(spark, sf):
 
 
 #: One round that the SQL twins unroll: the radius is scaled down for the small tables.
-ROUND = RunConfig(batch=SEED, budget=2 * SEED, radius_scale=0.25)
+ROUND = RunConfig(batch=SEED, budget=2 * SEED, radius_scale=0.25, nested=True)
 BLOCKS = list(active.blocks(8192))
 
 

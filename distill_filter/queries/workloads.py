@@ -58,17 +58,13 @@ def curve(spark, sf, spec: str, policies=("band", "random", "uncertainty"), conf
         run = run_of(spark, sf, policy, spec, config)
         verdicts = [v for *_, v in run.labels]
         for calls, model in run.models:
-            labelled = active._labelled(train_stream(spark, sf), _first(run, calls))
+            labelled = run.labelled(spark, calls)
             eot = engine.decision_cut(labelled, model, "eot")
             ones = sum(verdicts[:calls])
             out.append((spec, policy, calls, ones, calls - ones, accuracy(spark, sf, model, spec), accuracy(spark, sf, model, spec, eot)))
     return spark.createDataFrame(out, "spec string, policy string, calls bigint, n_pass bigint, n_fail bigint, balanced_accuracy double, balanced_accuracy_eot double").dropDuplicates(["policy", "calls"])
 
 
-def _first(run: active.Run, n: int) -> active.Run:
-    return active.Run(run.config, run.labels[:n])
-
-
 @query("a07_accuracy_curve")
 def a07(spark, sf):
     return curve(spark, sf, "quality")
@@ -378,7 +374,7 @@ def s10(spark, sf):
         for policy in ("band", "random"):
             run = active.distil(rows, "quality", replace(SMALL, policy=policy))
             fails = sum(1 - v for *_, v in run.labels)
-            eot = engine.decision_cut(active._labelled(rows, run), run.model, "eot")
+            eot = engine.decision_cut(run.labelled(spark), run.model, "eot")
             out.append((policy, len(run.labels), fails / len(run.labels), accuracy(spark, sf, run.model, "quality"), accuracy(spark, sf, run.model, "quality", eot)))
     df = spark.createDataFrame(out, "policy string, calls bigint, fail_share double, half double, eot double")
     spread = [e for c in ("fail_share", "half", "eot") for e in (F.avg(c).alias(c), F.min(c).alias(f"{c}_min"), F.max(c).alias(f"{c}_max"))]

@@ -11,7 +11,6 @@ import copy
 import json
 import pickle
 import uuid
-from dataclasses import dataclass, field
 
 import numpy as np
 import pandas as pd
@@ -21,47 +20,10 @@ from pyspark.sql import functions as F
 from ..config import RunConfig
 from ..operators import students, threshold
 from ..operators.teacher import verdict
-from ..plans.active import OPEN_HI, OPEN_LO, Band, narrowed
+from ..plans.active import Collector
 from ..sources.tables import shared_dir
 
 
-@dataclass
-class Collector:
-    """One round over arrivals: feed (margin, label) in order; labels are looked at only where bought."""
-
-    n: int
-    need: int
-    config: RunConfig
-    seen: int = 0
-    lo: int = OPEN_LO
-    hi: int = OPEN_HI
-    bought: int = 0
-    counts: threshold.Counts = field(default_factory=threshold.Counts)
-
-    def feed(self, margins: np.ndarray, labels: np.ndarray) -> np.ndarray:
-        """Places in this batch whose labels are bought."""
-        out, at = [], 0
-        while at < len(margins) and self.bought < self.need:
-            update = 2 if self.seen <= 2 else 1 << (self.seen - 1).bit_length()
-            end = min(len(margins), at + update - self.seen + 1)
-            m, y = margins[at:end], labels[at:end].astype(np.int64)
-            inside = np.flatnonzero((m >= self.lo) & (m <= self.hi))[: self.need - self.bought]
-            out += (at + inside).tolist()
-            self.bought += len(inside)
-            known = np.full(len(m), -1)
-            known[inside] = y[inside]
-            if self.config.unlabelled == "implied":
-                known = np.where(known >= 0, known, np.where(m < self.lo, 0, 1))
-            self.counts.add(m, known)
-            self.seen += len(m)
-            if self.seen == update + 1 and self.bought < self.need:
-                lo, hi, *_ = self.counts.update(update, self.n, self.config.delta, self.config.radius_scale, self.config.radius)
-                band = narrowed(lo, hi, Band(self.lo, self.hi), self.counts.top, self.config.nested)
-                self.lo, self.hi = band.lo, band.hi
-            at = end
-        return np.array(out, dtype=np.int64)
-
-
 def collect_live(arrivals: DataFrame, model: students.Student, spec: str, n: int, need: int, config: RunConfig, state_dir: str | None = None) -> DataFrame:
     """Run one round over a stream of (snippet_id, stream_pos, text) to its present end; returns the labels bought.
 
