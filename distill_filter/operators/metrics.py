@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from ..functions.hashing import hash_int
+from .threshold import running_sums
 
 
 def confusion(df: DataFrame, truth: str, pred: str, by: list[str] | None = None) -> DataFrame:
@@ -24,11 +25,11 @@ def balanced_accuracy(df: DataFrame, truth: str, pred: str, by: list[str] | None
     return confusion(df, truth, pred, by).select(*(by or []), "balanced_accuracy")
 
 
-def auc(df: DataFrame, score: str, truth: str) -> DataFrame:
-    """(auc): the share of pass-fail pairs in right order, ties one half; from counts by distinct score, no pairs."""
+def auc(df: DataFrame, score: str, truth: str, width: float = 1 / 4096) -> DataFrame:
+    """(auc): the share of pass-fail pairs in right order, ties one half; from counts by distinct score, in bins of `width`, no pairs."""
     counts = df.groupBy(score).agg(F.sum(F.col(truth)).alias("n1"), F.sum(1 - F.col(truth)).alias("n0"))
-    below = F.coalesce(F.sum("n0").over(Window.orderBy(score).rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
-    rows = counts.select("n1", "n0", (F.col("n1") * (below + F.col("n0") / 2)).alias("u"))
+    rows = running_sums(counts, score, ["n0"], width)
+    rows = rows.select("n1", "n0", (F.col("n1") * (F.col("n0_upto") - F.col("n0") / 2)).alias("u"))
     return rows.agg(F.try_divide(F.sum("u"), (F.sum("n1") * F.sum("n0")).cast("double")).alias("auc"))
 
 

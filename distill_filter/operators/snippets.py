@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
@@ -24,13 +26,23 @@ def cut(docs: DataFrame, width: int = 64, overlap: int = 0, min_tokens: int = 1,
     return rows.where(F.col("n_tokens") >= min_tokens) if min_tokens > 1 else rows
 
 
-def order(snippets: DataFrame, seed: int = 7) -> DataFrame:
-    """snippets with stream_key, stream_bucket (256 of them) and stream_pos, the place in the order of md5(seed:snippet_id).
+#: Rows that a bucket of the stream should hold: it is one task's sort.
+BUCKET_ROWS = 1 << 18
+
+
+def bucket_digits(rows: int) -> int:
+    """Hex digits of the key that name a bucket, so that one holds BUCKET_ROWS rows or fewer: 2 at least."""
+    return max(2, math.ceil(math.log(max(1, rows / BUCKET_ROWS), 16)))
+
+
+def order(snippets: DataFrame, seed: int = 7, digits: int = 2) -> DataFrame:
+    """snippets with stream_key, stream_bucket (16^digits of them) and stream_pos, the place in the order of md5(seed:snippet_id).
 
-    A rank in two steps: rows are ranked inside their bucket, and bucket offsets, 256 rows at most, are broadcast. Only
+    A rank in two steps: rows are ranked inside their bucket, and bucket offsets, one row each, are broadcast. Only
     ids and keys need to move where the text is wanted later: see `order_ids`.
     """
-    keyed = snippets.withColumn("stream_key", F.md5(F.concat_ws(":", F.lit(seed), "snippet_id"))).withColumn("stream_bucket", F.conv(F.substring("stream_key", 1, 2), 16, 10).cast("int"))
+    bucket = F.conv(F.substring("stream_key", 1, digits), 16, 10).cast("int")
+    keyed = snippets.withColumn("stream_key", F.md5(F.concat_ws(":", F.lit(seed), "snippet_id"))).withColumn("stream_bucket", bucket)
     sizes = keyed.groupBy("stream_bucket").agg(F.count("*").alias("n"))
     before = F.coalesce(F.sum("n").over(Window.orderBy("stream_bucket").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
     offsets = sizes.select("stream_bucket", before.alias("before"))
@@ -39,9 +51,9 @@ def order(snippets: DataFrame, seed: int = 7) -> DataFrame:
     return ranked.join(F.broadcast(offsets), "stream_bucket").withColumn("stream_pos", (F.col("before") + F.col("inside") - 1).cast("bigint")).drop("before", "inside")
 
 
-def order_ids(snippets: DataFrame, seed: int = 7) -> DataFrame:
+def order_ids(snippets: DataFrame, seed: int = 7, digits: int = 2) -> DataFrame:
     """(snippet_id, stream_pos) alone: the text is not shuffled."""
-    return order(snippets.select("snippet_id"), seed).select("snippet_id", "stream_pos")
+    return order(snippets.select("snippet_id"), seed, digits).select("snippet_id", "stream_pos")
 
 
 def prefix(snippets: DataFrame, seed: int = 7, share: float = 0.1) -> DataFrame:

@@ -8,6 +8,8 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+from ..sources.tables import materialise
+
 
 def eta_from_calls(calls: DataFrame, z: float = 1.96) -> DataFrame:
     """(snippet_id, k, eta, eta_lo, eta_hi): the probability of class 0 from repeat calls, with Wilson's interval."""
@@ -17,18 +19,31 @@ def eta_from_calls(calls: DataFrame, z: float = 1.96) -> DataFrame:
     return rows.select("snippet_id", "k", "eta", (middle - half).alias("eta_lo"), (middle + half).alias("eta_hi"))
 
 
+def in_ranges(df: DataFrame, *order: str) -> DataFrame:
+    """df in ranges of `order`, written: with __part and __at, a row's place inside its part. A score that many rows share
+    is cut by the later columns, so no part grows with one value."""
+    rows = df.repartitionByRange(*order).withColumn("__part", F.spark_partition_id())
+    rows = materialise(rows, "ranges")  # ranges come from a sample: fixed once, for both uses
+    return rows.withColumn("__at", F.row_number().over(Window.partitionBy("__part").orderBy(*order)))
+
+
 def rank_linear(df: DataFrame, score: str = "score", slope: float = 1.0, centre: float = 0.5) -> DataFrame:
     """df with place (1 to n by score, id) and an eta that falls evenly along it, clipped to [0, 1]."""
-    w = Window.orderBy(score, "snippet_id")
-    n = F.count("*").over(Window.partitionBy())
-    rows = df.withColumn("place", F.row_number().over(w)).withColumn("n", n)
+    rows = in_ranges(df, score, "snippet_id")
+    sizes = rows.groupBy("__part").agg(F.count("*").alias("__n"))
+    earlier = Window.orderBy("__part").rowsBetween(Window.unboundedPreceding, -1)
+    sizes = sizes.select("__part", F.coalesce(F.sum("__n").over(earlier), F.lit(0)).alias("__before"), F.sum("__n").over(Window.partitionBy()).alias("n"))
+    rows = rows.join(F.broadcast(sizes), "__part").withColumn("place", F.col("__before") + F.col("__at")).drop("__part", "__at", "__before")
     return rows.withColumn("eta", F.greatest(F.lit(0.0), F.least(F.lit(1.0), F.lit(0.5) - slope * ((F.col("place") - 0.5) / F.col("n") - centre))))
 
 
 def smoothness(df: DataFrame, score: str = "score", eta: str = "eta") -> DataFrame:
-    """(smoothness): the largest step of eta between neighbours in score order."""
-    step = F.abs(F.col(eta) - F.lag(eta).over(Window.orderBy(score, "snippet_id")))
-    return df.select(step.alias("step")).agg(F.coalesce(F.max("step"), F.lit(0.0)).alias("smoothness"))
+    """(smoothness): the largest step of eta between neighbours in score order, inside parts and from part to part."""
+    rows = in_ranges(df.select(score, eta, "snippet_id"), score, "snippet_id")
+    inside = F.abs(F.col(eta) - F.lag(eta).over(Window.partitionBy("__part").orderBy(score, "snippet_id")))
+    ends = rows.withColumn("__step", inside).groupBy("__part").agg(F.max("__step").alias("step"), F.min_by(eta, "__at").alias("first"), F.max_by(eta, "__at").alias("last"))
+    across = F.abs(F.col("first") - F.lag("last").over(Window.orderBy("__part")))
+    return ends.select(F.greatest("step", across).alias("step")).agg(F.coalesce(F.max("step"), F.lit(0.0)).alias("smoothness"))
 
 
 def interval_balance(df: DataFrame, lo: float, hi: float, score: str = "score", eta: str = "eta") -> DataFrame:

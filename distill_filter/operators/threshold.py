@@ -14,6 +14,8 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 ZERO = -(1 << 62)
+#: Running sums go by bins of so many micro-units of margin: clipped margins have 916 bins of 65,536 distinct values at most.
+BIN = 1 << 16
 #: Both sides of the band's test are doubles; they count as equal this close.
 CLOSE = 1e-12
 
@@ -44,18 +46,15 @@ def loss_curve(scored: DataFrame, unlabelled: str = "implied", cut: str = "margi
     """(cut, n0, n1, n1_le, n0_gt, loss) for the candidate 0 and each distinct score of scored(cut, label).
 
     A null label: an error on either side (constant), or not counted (labelled_only); completed labels have none. Rows
-    are aggregated to distinct scores before the window, whose one partition holds those only: see `running_sums` for more.
+    are aggregated to distinct scores first, and sums run in two levels: see `running_sums`.
     """
     counts = scored.groupBy(F.col(cut).alias("cut")).agg(
         F.coalesce(F.sum((F.col(label) == 0).cast("bigint")), F.lit(0)).alias("n0"), F.coalesce(F.sum((F.col(label) == 1).cast("bigint")), F.lit(0)).alias("n1"), F.sum(F.col(label).isNull().cast("bigint")).alias("nn")
     )
     zero = scored.sparkSession.range(1).select(F.lit(ZERO).alias("cut"), *(F.lit(0).cast("bigint").alias(c) for c in ("n0", "n1", "nn")))
-    upto = Window.orderBy("cut").rangeBetween(Window.unboundedPreceding, Window.currentRow)
-    all_ = Window.orderBy("cut").rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
-    rows = counts.union(zero)
-    n1_le, n0_gt = F.sum("n1").over(upto), F.sum("n0").over(all_) - F.sum("n0").over(upto)
-    unknown, total = F.sum("nn").over(all_), F.sum(F.col("n0") + F.col("n1") + F.col("nn")).over(all_)
-    rows = rows.select("cut", "n0", "n1", n1_le.alias("n1_le"), n0_gt.alias("n0_gt"), unknown.alias("unknown"), total.alias("total"))
+    rows = running_sums(counts.union(zero), "cut", ["n0", "n1"], BIN, ["n0", "n1", "nn"])
+    total = F.col("n0_all") + F.col("n1_all") + F.col("nn_all")
+    rows = rows.select("cut", "n0", "n1", F.col("n1_upto").alias("n1_le"), (F.col("n0_all") - F.col("n0_upto")).alias("n0_gt"), F.col("nn_all").alias("unknown"), total.alias("total"))
     wrong, of = F.col("n1_le") + F.col("n0_gt"), F.col("total")
     if unlabelled == "constant":
         wrong = wrong + F.col("unknown")
@@ -64,18 +63,19 @@ def loss_curve(scored: DataFrame, unlabelled: str = "implied", cut: str = "margi
     return rows.select("cut", "n0", "n1", "n1_le", "n0_gt", F.try_divide(wrong.cast("double"), of).alias("loss"))
 
 
-def running_sums(df: DataFrame, order: str, columns: list[str], width: int) -> DataFrame:
-    """df with c_upto for each column: sums over all rows with `order` up to the row's, in two levels.
+def running_sums(df: DataFrame, order: str, columns: list[str], width: float, totals: list[str] | None = None) -> DataFrame:
+    """df with c_upto for each column: sums over all rows with `order` up to the row's, in two levels; c_all for totals.
 
     Rows fall in bins of `width` values; bin totals are summed up in one small window and broadcast, and each bin has a
     window of its own. Nothing needs all rows in one task. The bins' number is the range of `order` over width: choose it.
     """
-    binned = df.withColumn("__bin", F.floor(F.col(order) / width).cast("bigint"))
-    totals = binned.groupBy("__bin").agg(*(F.sum(c).alias(f"__{c}") for c in columns))
-    earlier = Window.orderBy("__bin").rowsBetween(Window.unboundedPreceding, -1)
-    before = totals.select("__bin", *(F.coalesce(F.sum(f"__{c}").over(earlier), F.lit(0)).alias(f"__{c}") for c in columns))
+    totals = totals or []
+    binned = df.withColumn("__bin", F.floor(F.col(order) / F.lit(width)).cast("bigint"))
+    sums = binned.groupBy("__bin").agg(*(F.sum(c).alias(f"__{c}") for c in dict.fromkeys([*columns, *totals])))
+    earlier, all_ = Window.orderBy("__bin").rowsBetween(Window.unboundedPreceding, -1), Window.partitionBy()
+    before = sums.select("__bin", *(F.coalesce(F.sum(f"__{c}").over(earlier), F.lit(0)).alias(f"__{c}") for c in columns), *(F.sum(f"__{c}").over(all_).alias(f"{c}_all") for c in totals))
     inside = Window.partitionBy("__bin").orderBy(order).rangeBetween(Window.unboundedPreceding, Window.currentRow)
-    rows = binned.join(before, "__bin")
+    rows = binned.join(F.broadcast(before), "__bin")
     for c in columns:
         rows = rows.withColumn(f"{c}_upto", F.sum(c).over(inside) + F.col(f"__{c}"))
     return rows.drop("__bin", *(f"__{c}" for c in columns))
@@ -90,7 +90,7 @@ def empirical_cut(curve: DataFrame) -> DataFrame:
 def band(curve: DataFrame, t: int, n: int, delta: float, scale: float = 1.0, kind: str = "bernstein") -> DataFrame:
     """(lo, hi, s_hat, loss): the smallest and largest cut whose excess loss is within the slack of its distance in candidates."""
     best = empirical_cut(curve)
-    ranked = curve.select("cut", F.col("loss").alias("own"), F.row_number().over(Window.orderBy("cut")).alias("place"))
+    ranked = running_sums(curve.select("cut", F.col("loss").alias("own"), F.lit(1).cast("bigint").alias("one")), "cut", ["one"], BIN).withColumnRenamed("one_upto", "place")
     rows = ranked.crossJoin(F.broadcast(best))
     at = rows.where("cut = s_hat").select(F.col("place").alias("home"))
     rows = rows.crossJoin(F.broadcast(at))
@@ -100,14 +100,12 @@ def band(curve: DataFrame, t: int, n: int, delta: float, scale: float = 1.0, kin
     return good.agg(F.min("cut").alias("lo"), F.max("cut").alias("hi"), F.first("s_hat").alias("s_hat"), F.first("loss").alias("loss"))
 
 
-def true_cut(df: DataFrame, score: str = "score", eta: str = "eta") -> DataFrame:
-    """(cut, risk) at the candidate 0 and each score, where eta is the probability of class 0."""
+def true_cut(df: DataFrame, score: str = "score", eta: str = "eta", width: float = 1 / 4096) -> DataFrame:
+    """(cut, risk) at the candidate 0 and each score, where eta is the probability of class 0; scores in bins of `width`."""
     counts = df.groupBy(F.col(score).alias("cut")).agg(F.sum(1 - F.col(eta)).alias("c1"), F.sum(eta).alias("c0"), F.count("*").alias("n"))
     rows = counts.union(df.sparkSession.range(1).selectExpr("cast(0 as double)", "0.0D", "0.0D", "0L"))
-    upto = Window.orderBy("cut").rangeBetween(Window.unboundedPreceding, Window.currentRow)
-    all_ = Window.orderBy("cut").rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
-    risk = (F.sum("c1").over(upto) + F.sum("c0").over(all_) - F.sum("c0").over(upto)) / F.sum("n").over(all_)
-    return rows.select("cut", risk.alias("risk"))
+    rows = running_sums(rows, "cut", ["c1", "c0"], width, ["c0", "n"])
+    return rows.select("cut", ((F.col("c1_upto") + F.col("c0_all") - F.col("c0_upto")) / F.col("n_all")).alias("risk"))
 
 
 class Counts:

@@ -9,7 +9,7 @@ from ..config import SPECS, RunConfig, StudentConfig, TeacherConfig
 from ..functions.hashing import hash_below
 from ..operators import cost, metrics, snippets, students, teacher, theory, threshold
 from ..plans import active, engine
-from ..sources.tables import kept, table
+from ..sources.tables import folder_state, kept, table
 from . import twins
 from .registry import query
 
@@ -21,14 +21,23 @@ def snips(spark: SparkSession, sf_dir: str) -> DataFrame:
     return snippets.cut(table(spark, sf_dir, "documents", ["doc_id", "text"]))
 
 
+FIVE = (*TOPICS[:3], "mainstream", "quality")
+
+
+def common_words(spark: SparkSession, sf_dir: str) -> list[str]:
+    """The tokens that the mainstream rule goes by: a small list, bounded by the share of documents that each must reach."""
+    rows = kept(spark, sf_dir, "common-tokens", lambda: teacher.common_tokens(table(spark, sf_dir, "documents")))
+    return sorted(r.token for r in rows.collect())
+
+
 def stream(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """snippets with stream_pos and an exact verdict column for each rule over the text, written once."""
+    """snippets with stream_pos and an exact verdict column for each filter, written once."""
 
     def build() -> DataFrame:
-        rows = snippets.order(snips(spark, sf_dir)).drop("stream_key", "stream_bucket")
-        for spec in TOPICS:
-            rows = rows.withColumn(spec, teacher.rule(spec, F.col("text")))
-        return rows
+        chars = table(spark, sf_dir, "documents", ["n_chars"]).agg(F.sum("n_chars")).first()[0] or 0
+        rows = snippets.order(snips(spark, sf_dir), digits=snippets.bucket_digits(chars // 256)).drop("stream_key", "stream_bucket")
+        common = common_words(spark, sf_dir)
+        return rows.withColumns({spec: teacher.rule(spec, F.col("text"), common=common) for spec in FIVE})
 
     return kept(spark, sf_dir, "stream", build)
 
@@ -228,6 +237,45 @@ def m13(spark, sf):
     return spark.createDataFrame([(g.snippet_id, g.stream_pos, g.label, i + 1) for i, g in enumerate(got)], "snippet_id string, stream_pos bigint, verdict int, ord bigint")
 
 
+#: The same by the printed update, and a run of several rounds with a wider radius.
+LITERAL = RunConfig(batch=SEED, budget=2 * SEED, radius_scale=0.25)
+ENGINE = RunConfig(batch=SEED, budget=4 * SEED, radius_scale=0.5)
+
+
+@query("m13b_printed_update", with_sql(f"{SCORED}, {twins.one_round('scored', SEED, str(SEED), '(SELECT count(*) FROM stream)', 0.1, 0.25, BLOCKS, 'r', False)}", "SELECT snippet_id, stream_pos, label AS verdict, ord FROM r_bought"))
+def m13b(spark, sf):
+    rows = scored(spark, sf)
+    got, _ = active.frame_round(rows.select("stream_pos", "snippet_id", "margin_micro", "label"), SEED, SEED, rows.count(), LITERAL, [])
+    return spark.createDataFrame([(g.snippet_id, g.stream_pos, g.label, i + 1) for i, g in enumerate(got)], "snippet_id string, stream_pos bigint, verdict int, ord bigint")
+
+
+_RUNS: dict[tuple, active.Run] = {}
+
+
+def engine_run(spark, sf, spec: str = "quality", config: RunConfig = ENGINE) -> active.Run:
+    """A whole run of the engine on a filter; a session's queries share it as they share the stream."""
+    key = (spark.sparkContext.applicationId, sf, folder_state(spark, sf), spec, config)
+    if key not in _RUNS:
+        rows = stream(spark, sf)
+        common = common_words(spark, sf) if spec == "mainstream" else None
+        _RUNS[key] = active.distil(rows, spec, config, common=common, n=rows.count())
+    return _RUNS[key]
+
+
+def engine_sql(select: str, spec: str = "quality", config: RunConfig = ENGINE) -> str:
+    return with_sql(twins.engine(config, BLOCKS, spec), select)
+
+
+@query("m14b_labels_of_three_rounds", engine_sql("SELECT round::INT AS round, snippet_id, stream_pos, verdict FROM e_lab"))
+def m14b(spark, sf):
+    return engine_run(spark, sf).labels_df(spark).select("round", "snippet_id", "stream_pos", "verdict")
+
+
+@query("m14c_student_of_three_rounds", engine_sql("SELECT snippet_id, margin_micro FROM last"))
+def m14c(spark, sf):
+    return students.score(stream(spark, sf), engine_run(spark, sf).model).select("snippet_id", "margin_micro")
+
+
 def distil_sql() -> str:
     all_labels = f"two AS (SELECT text, verdict FROM seed UNION ALL SELECT s.text, r.label FROM r_bought r JOIN stream s USING (snippet_id))"
     chain = f"{SCORED}, {twins.one_round('scored', SEED, str(SEED), '(SELECT count(*) FROM stream)', 0.1, 0.25, BLOCKS, 'r')}, {all_labels}, {twins.student('two', 'fin')}, {twins.margins('stream', 'fin', 'last')}"
@@ -247,9 +295,9 @@ def m14(spark, sf):
     return students.score(stream(spark, sf), run.model).select("snippet_id", "margin_micro", engine.passes(F.col("margin_micro")).alias("verdict"))
 
 
-@query("m15_filter_all", with_sql(SCORED, "SELECT snippet_id, doc_id, n_tokens FROM scored WHERE margin_micro > 0"))
+@query("m15_filter_all", engine_sql("SELECT snippet_id, doc_id, n_tokens FROM last WHERE margin_micro > 0"))
 def m15(spark, sf):
-    return engine.filter_corpus(stream(spark, sf), first_student(spark, sf)).select("snippet_id", "doc_id", "n_tokens")
+    return engine.filter_corpus(snips(spark, sf), engine_run(spark, sf).model).select("snippet_id", "doc_id", "n_tokens")
 
 
 @query("m15b_cuts", with_sql(f"{SCORED}, y AS (SELECT margin_micro, label AS y FROM scored WHERE stream_pos < {SEED}), {twins.curve('y', 'lc')}, t AS (SELECT sum(y) AS t1, sum(1 - y) AS t0 FROM y)", "SELECT 'half' AS kind, 0::BIGINT AS cut UNION ALL SELECT 'eot', (SELECT cut FROM lc ORDER BY loss, cut LIMIT 1) UNION ALL SELECT 'balanced', (SELECT cut FROM lc, t ORDER BY n1_le / t1::DOUBLE + n0_gt / t0::DOUBLE, cut LIMIT 1)"))
@@ -266,18 +314,19 @@ def m16(spark, sf):
 
 
 def many_sql() -> str:
-    parts = [STREAM.replace("AS label FROM snips", f"AS label, {', '.join(twins.rule(s) + ' AS r_' + s for s in TOPICS)} FROM snips")]
-    for s in TOPICS:
-        parts.append(f"seed_{s} AS (SELECT text, r_{s} AS verdict FROM stream WHERE stream_pos < {SEED})")
-        parts += [twins.student(f"seed_{s}", s), twins.margins("stream", s, f"m_{s}")]
-    picks = ", ".join(f"(m_{s}.margin_micro > 0)::INT AS pass_{s}" for s in TOPICS)
-    joins = " ".join(f"JOIN m_{s} USING (snippet_id)" for s in TOPICS[1:])
-    return with_sql(", ".join(parts), f"SELECT snippet_id, {picks} FROM m_{TOPICS[0]} {joins}")
+    """One active round for each of the five filters, then all five students on every snippet."""
+    parts = [twins.stream("mainstream").replace(" AS label FROM snips", f" AS label, {', '.join(twins.rule(x) + ' AS r_' + x for x in FIVE)} FROM snips")]
+    for x in FIVE:
+        parts.append(f"st_{x} AS MATERIALIZED (SELECT snippet_id, stream_pos, text, r_{x} AS label FROM stream)")
+        parts += [twins.rounds(LITERAL, BLOCKS, x, f"st_{x}"), twins.margins("stream", f"{x}_f", f"p_{x}")]
+    picks = ", ".join(f"(p_{x}.margin_micro > 0)::INT AS pass_{x}" for x in FIVE)
+    joins = " ".join(f"JOIN p_{x} USING (snippet_id)" for x in FIVE[1:])
+    return with_sql(", ".join(parts), f"SELECT snippet_id, {picks} FROM p_{FIVE[0]} {joins}")
 
 
 @query("m17_multi_filter", many_sql())
 def m17(spark, sf):
-    models = {s: (first_student(spark, sf, s), 0) for s in TOPICS}
+    models = {x: (engine_run(spark, sf, x, LITERAL).model, 0) for x in FIVE}
     return engine.filter_many(stream(spark, sf).select("snippet_id", "text"), models).drop("text")
 
 
@@ -389,14 +438,15 @@ def a02(spark, sf):
     return out.select("tp", "fp", "tn", "fn", *(F.round(c, 6).alias(c) for c in ("accuracy", "precision", "recall", "f1")))
 
 
-CONSISTENCY = " UNION ALL ".join(f"SELECT '{s}' AS spec, {noisy_sql(s, 'teacher', 0, 0.03, 0.03)} AS c0, {noisy_sql(s, 'teacher', 1, 0.03, 0.03)} AS c1 FROM snips" for s in TOPICS)
+WITH_COMMON = f"{SNIPS}, {twins.COMMON}, sn AS (SELECT * FROM snips, (SELECT list(token) AS cm FROM common))"
+CONSISTENCY = " UNION ALL ".join(f"SELECT '{s}' AS spec, {noisy_sql(s, 'teacher', 0, 0.03, 0.03)} AS c0, {noisy_sql(s, 'teacher', 1, 0.03, 0.03)} AS c1 FROM sn" for s in FIVE)
 
 
-@query("a03_self_consistency", with_sql(f"{SNIPS}, calls AS ({CONSISTENCY})", "SELECT spec, round((sum(c0 * c1) / sum(c0)::DOUBLE + sum((1 - c0) * (1 - c1)) / sum(1 - c0)::DOUBLE) / 2, 6) AS balanced_accuracy, round(avg((c0 = c1)::INT), 6) AS agreement FROM calls GROUP BY spec"))
+@query("a03_self_consistency", with_sql(f"{WITH_COMMON}, calls AS ({CONSISTENCY})", "SELECT spec, round((sum(c0 * c1) / sum(c0)::DOUBLE + sum((1 - c0) * (1 - c1)) / sum(1 - c0)::DOUBLE) / 2, 6) AS balanced_accuracy, round(avg((c0 = c1)::INT), 6) AS agreement FROM calls GROUP BY spec"))
 def a03(spark, sf):
-    out = None
-    for s in TOPICS:
-        c = [teacher.verdict(s, F.col("text"), F.col("snippet_id"), NOISY, k).alias(f"c{k}") for k in (0, 1)]
+    out, common = None, common_words(spark, sf)
+    for s in FIVE:
+        c = [teacher.verdict(s, F.col("text"), F.col("snippet_id"), NOISY, k, common).alias(f"c{k}") for k in (0, 1)]
         rows = snips(spark, sf).select(F.lit(s).alias("spec"), *c)
         out = rows if out is None else out.union(rows)
     found = metrics.confusion(out, "c0", "c1", ["spec"])
@@ -426,10 +476,10 @@ def a05(spark, sf):
     return metrics.imbalance(rows, ["policy"]).select("ord", "n_pass", "n_fail", F.round("imbalance", 6).alias("imbalance"))
 
 
-@query("a06_class_prior", with_sql(SNIPS, " UNION ALL ".join(f"SELECT '{s}' AS spec, round(avg({twins.rule(s)}), 6) AS pass_share FROM snips" for s in TOPICS)))
+@query("a06_class_prior", with_sql(WITH_COMMON, " UNION ALL ".join(f"SELECT '{s}' AS spec, round(avg({twins.rule(s)}), 6) AS pass_share FROM sn" for s in FIVE)))
 def a06(spark, sf):
-    rows = stream(spark, sf).agg(*(F.round(F.avg(s), 6).alias(s) for s in TOPICS))
-    return rows.unpivot([], list(TOPICS), "spec", "pass_share")
+    rows = stream(spark, sf).agg(*(F.round(F.avg(s), 6).alias(s) for s in FIVE))
+    return rows.unpivot([], list(FIVE), "spec", "pass_share")
 
 
 CALLS5 = " UNION ALL ".join(f"SELECT snippet_id, {noisy_sql('quality', 'teacher', k, 0.1, 0.1)} AS verdict FROM snips" for k in range(5))

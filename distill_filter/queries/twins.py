@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from ..config import StudentConfig
+from ..config import RunConfig, StudentConfig
 from ..operators.students import CLIP, MICRO
 from ..operators.teacher import COMMON_DF, COMMON_SHARE, HOSTILE, JUNK_MARKS, LEGAL, REPEAT, WEAK_HOSTILE, WEAK_JUNK
 from ..operators.threshold import CLOSE, ZERO
@@ -65,6 +65,8 @@ def rule(spec: str, text: str = "text", weak: bool = False) -> str:
 
 def stream(spec: str = "quality", seed: int = 7) -> str:
     """snips and stream(snippet_id, doc_id, text, stream_pos, label)."""
+    if spec == "mainstream":
+        return f"""{snippets()}, {COMMON}, stream AS (SELECT snippet_id, doc_id, seq, n_tokens, text, row_number() OVER (ORDER BY md5(concat('{seed}:', snippet_id)), snippet_id) - 1 AS stream_pos, {rule(spec)} AS label FROM snips, (SELECT list(token) AS cm FROM common))"""
     return f"""{snippets()}, stream AS (SELECT snippet_id, doc_id, seq, n_tokens, text, row_number() OVER (ORDER BY md5(concat('{seed}:', snippet_id)), snippet_id) - 1 AS stream_pos, {rule(spec)} AS label FROM snips)"""
 
 
@@ -112,10 +114,10 @@ def band(curve_name: str, name: str, t: str, n: str, delta: float, scale: float
         WHERE loss - best <= {b} * {b} / 2 + {b} * sqrt(abs(place - (SELECT place FROM {name}_r, {name}_b WHERE cut = s_hat)) / ({t})::DOUBLE) + {CLOSE})"""
 
 
-def one_round(rows: str, head: int, need: str, n: str, delta: float, scale: float, blocks: list[tuple[int, int]], name: str) -> str:
+def one_round(rows: str, head: int | str, need: str, n: str, delta: float, scale: float, blocks: list[tuple[int, int]], name: str, nested: bool = True) -> str:
     """A round unrolled: per block k the CTEs <name>_k<k> (rows with y, inside, bought) and <name>_b<k> (band after it).
 
-    rows(stream_pos, snippet_id, margin_micro, label). The cap is taken by position at the end: labels bought beyond it
+    head: the first position, or SQL that gives it. rows(stream_pos, snippet_id, margin_micro, label). The cap is taken by position at the end: labels bought beyond it
     in the block where it falls, and all later blocks, do not count.
     """
     parts, before = [], f"(SELECT -(1::BIGINT << 61) AS lo, (1::BIGINT << 61) AS hi)"
@@ -123,13 +125,34 @@ def one_round(rows: str, head: int, need: str, n: str, delta: float, scale: floa
         seen = " UNION ALL ".join(f"SELECT margin_micro, y FROM {name}_k{i}" for i in range(k + 1))
         parts.append(
             f"{name}_k{k} AS MATERIALIZED (SELECT r.stream_pos, r.snippet_id, r.margin_micro, r.label, r.margin_micro BETWEEN b.lo AND b.hi AS inside, "
-            f"CASE WHEN r.margin_micro < b.lo THEN 0 WHEN r.margin_micro > b.hi THEN 1 ELSE r.label END AS y FROM {rows} r, {before} b WHERE r.stream_pos BETWEEN {head + first} AND {head + last})"
+            f"CASE WHEN r.margin_micro < b.lo THEN 0 WHEN r.margin_micro > b.hi THEN 1 ELSE r.label END AS y FROM {rows} r, {before} b WHERE r.stream_pos BETWEEN {head} + {first} AND {head} + {last})"
         )
         parts.append(f"{name}_a{k} AS MATERIALIZED ({seen})")
         parts.append(curve(f"{name}_a{k}", f"{name}_c{k}"))
         parts.append(band(f"{name}_c{k}", f"{name}_n{k}", str(last), n, delta, scale))
-        parts.append(f"{name}_b{k} AS MATERIALIZED (SELECT greatest(n.lo, b.lo) AS lo, CASE WHEN n.hi = (SELECT max(cut) FROM {name}_c{k}) THEN b.hi ELSE least(n.hi, b.hi) END AS hi, n.s_hat, n.loss FROM {name}_n{k} n, {before} b)")
+        ends = f"greatest(n.lo, b.lo) AS lo, CASE WHEN n.hi = (SELECT max(cut) FROM {name}_c{k}) THEN b.hi ELSE least(n.hi, b.hi) END AS hi" if nested else "n.lo, n.hi"
+        parts.append(f"{name}_b{k} AS MATERIALIZED (SELECT {ends}, n.s_hat, n.loss FROM {name}_n{k} n, {before} b)")
         before = f"{name}_b{k}"
     every = " UNION ALL ".join(f"SELECT * FROM {name}_k{k}" for k in range(len(blocks)))
     parts.append(f"{name}_bought AS MATERIALIZED (SELECT stream_pos, snippet_id, label, row_number() OVER (ORDER BY stream_pos) AS ord FROM ({every}) WHERE inside QUALIFY ord <= {need})")
     return ", ".join(parts)
+
+
+def rounds(config: RunConfig, blocks: list[tuple[int, int]], name: str = "e", rows: str = "stream") -> str:
+    """A whole run of the band policy unrolled over rows(snippet_id, stream_pos, text, label): <name>_lab (text, verdict,
+    stream_pos, round) are the labels bought, <name>_h<r> the head after round r, <name>_f_w the final student."""
+    b, n = config.batch, f"(SELECT count(*) FROM {rows})"
+    parts = [f"{name}_l0 AS MATERIALIZED (SELECT text, label AS verdict, stream_pos, snippet_id, 0 AS round FROM {rows} WHERE stream_pos < {b})", f"{name}_h0 AS (SELECT least({b}, {n}) AS head)"]
+    for r in range(1, config.rounds + 1):
+        head = f"(SELECT head FROM {name}_h{r - 1})"
+        parts += [student(f"{name}_l{r - 1}", f"{name}_s{r}"), margins(f"(SELECT * FROM {rows} WHERE stream_pos >= {head})", f"{name}_s{r}", f"{name}_m{r}").replace(f"{name}_m{r} AS (", f"{name}_m{r} AS MATERIALIZED (")]
+        parts.append(one_round(f"{name}_m{r}", head, str(b), n, config.delta, config.radius_scale, blocks, f"{name}_r{r}", config.nested))
+        parts.append(f"{name}_l{r} AS MATERIALIZED (SELECT * FROM {name}_l{r - 1} UNION ALL SELECT s.text, b.label, s.stream_pos, s.snippet_id, {r} FROM {name}_r{r}_bought b JOIN {rows} s USING (snippet_id))")
+        parts.append(f"{name}_h{r} AS MATERIALIZED (SELECT CASE WHEN count(*) = {b} THEN max(stream_pos) + 1 ELSE {n} END AS head FROM {name}_r{r}_bought)")
+    last = config.rounds
+    return ", ".join([*parts, f"{name}_lab AS (SELECT * FROM {name}_l{last})", student(f"{name}_l{last}", f"{name}_f")])
+
+
+def engine(config: RunConfig, blocks: list[tuple[int, int]], spec: str = "quality", name: str = "last") -> str:
+    """The whole run over the stream of a spec, and <name>: the stream with the final student's margin_micro."""
+    return f"{stream(spec)}, {rounds(config, blocks)}, {margins('stream', 'e_f', name)}"

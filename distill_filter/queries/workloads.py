@@ -32,11 +32,6 @@ def train_stream(spark, sf) -> DataFrame:
     return kept(spark, sf, "train-stream", build)
 
 
-def common_words(spark, sf) -> list[str]:
-    """The tokens that the mainstream rule goes by: a small list."""
-    return sorted(r.token for r in teacher.common_tokens(table(spark, sf, "documents")).collect())
-
-
 def test_split(spark, sf) -> DataFrame:
     return stream(spark, sf).where(snippets.held_out(F.col("text")))
 

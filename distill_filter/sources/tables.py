@@ -15,9 +15,11 @@ def table(spark: SparkSession, sf_dir: str, name: str, columns: list[str] | None
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """spark.checkpoint.dir, which driver and executors share; a local folder only where it is unset."""
+    """spark.checkpoint.dir, which driver and executors share. Where it is unset, a folder of this machine if all runs on it; else an error."""
     found = spark.sparkContext.getConf().get("spark.checkpoint.dir") or spark.sparkContext.getCheckpointDir()
     if not found:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
         found = "file://" + tempfile.mkdtemp(prefix="distill-work-")
         spark.sparkContext.setCheckpointDir(found)
     return found.rstrip("/")
@@ -31,12 +33,19 @@ def materialise(df: DataFrame, name: str, partition_by: list[str] | None = None)
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
-_KEPT: dict[tuple[str, str, str], DataFrame] = {}
+_KEPT: dict[tuple, DataFrame] = {}
 
 
 def kept(spark: SparkSession, sf_dir: str, name: str, build) -> DataFrame:
-    """A derived table that several queries of one session share, built and written once for each input folder."""
-    key = (spark.sparkContext.applicationId, sf_dir, name)
+    """A derived table that several queries of one session share, written once for each state of the input folder's files."""
+    key = (spark.sparkContext.applicationId, sf_dir, name, folder_state(spark, sf_dir))
     if key not in _KEPT:
         _KEPT[key] = materialise(build(), name)
     return _KEPT[key]
+
+
+def folder_state(spark: SparkSession, path: str) -> int:
+    """A hash of the names, sizes and times of a folder's files: it changes when the data does."""
+    where = spark._jvm.org.apache.hadoop.fs.Path(path)
+    files = where.getFileSystem(spark._jsc.hadoopConfiguration()).listStatus(where)
+    return hash(tuple(sorted((f.getPath().getName(), f.getLen(), f.getModificationTime()) for f in files)))

@@ -5,13 +5,14 @@ from __future__ import annotations
 import random
 import time
 from collections.abc import Callable, Iterator
+from dataclasses import dataclass
 from typing import Protocol
 
 import pandas as pd
 import pyarrow as pa
 import pyarrow.fs
 import pyarrow.parquet as pq
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
 
@@ -100,6 +101,45 @@ def annotate_remote(requests: DataFrame, call: Teacher, batch: int = 32, retries
     return requests.select("snippet_id", "text").mapInPandas(run, "snippet_id string, verdict int, tries int")
 
 
+@dataclass(frozen=True)
+class CachedAnnotator:
+    """A remote annotator for the loop whose calls are paid once: verdicts go to a cache below `path` as they come, and
+    only what the cache lacks is asked for, also by a run that begins anew after a failure.
+
+    A call that fails to the end stops the run with an error, after all that was answered is in the cache.
+    """
+
+    call: Teacher
+    path: str
+    spec: str
+    teacher_id: str = "teacher"
+    call_no: int = 0
+    batch: int = 32
+    retries: int = 3
+    parallel: int = 8
+    per_second: float | None = None
+    pause: Callable[[float], None] = time.sleep
+
+    def column(self, text: Column, snippet_id: Column) -> None:
+        return None
+
+    def known(self, spark: SparkSession) -> DataFrame:
+        """(snippet_id, verdict) of the calls in the cache; its files are listed anew each time."""
+        append(spark.createDataFrame([], CACHE), self.path)  # makes the folder where it is not there yet
+        mine = (F.col("spec") == self.spec) & (F.col("teacher_id") == self.teacher_id) & (F.col("call_no") == self.call_no)
+        return distinct_calls(spark.read.schema(CACHE).parquet(self.path).where(mine)).select("snippet_id", "verdict")
+
+    def ask(self, requests: DataFrame) -> DataFrame:
+        spark = requests.sparkSession
+        missing = requests.dropDuplicates(["snippet_id"]).join(self.known(spark).select("snippet_id"), "snippet_id", "left_anti")
+        said = annotate_remote(missing.repartition(self.parallel), self.call, self.batch, self.retries, self.per_second, self.pause).where("verdict is not null")
+        append(said.select(F.lit(self.spec).alias("spec"), F.lit(self.teacher_id).alias("teacher_id"), "snippet_id", F.lit(self.call_no).alias("call_no"), "verdict"), self.path)
+        out = requests.select("snippet_id", "stream_pos").join(self.known(spark), "snippet_id", "left")
+        if failed := out.where("verdict is null").count():
+            raise RuntimeError(f"{failed} calls got no answer; run again to ask for them")
+        return out
+
+
 def human_labels(spark: SparkSession, path: str) -> DataFrame:
     """Votes from a labelling tool's CSV export (snippet_id, annotator, vote): declared schema, bad rows kept apart as nulls."""
     rows = spark.read.schema("snippet_id string, annotator int, vote string").option("header", True).csv(path)
