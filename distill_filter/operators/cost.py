@@ -3,10 +3,14 @@
 from __future__ import annotations
 
 from dataclasses import dataclass
+from typing import TYPE_CHECKING
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+if TYPE_CHECKING:
+    from ..plans.active import Run
+
 
 @dataclass(frozen=True)
 class CostModel:
@@ -27,13 +31,31 @@ def published(spark: SparkSession) -> DataFrame:
     return spark.createDataFrame([tuple(map(lambda x: x if isinstance(x, str) else int(x), r)) for r in PUBLISHED], "filter string, calls bigint, student_usd bigint, total_usd bigint")
 
 
-def totals(rows: DataFrame, model: CostModel = CostModel()) -> DataFrame:
-    """rows(calls, student_usd) with teacher_usd, total, ratio to full annotation, a below-one-percent flag and student runs per call."""
+def totals(rows: DataFrame, model: CostModel = CostModel(), full_usd: float = float(FULL_TEACHER_USD)) -> DataFrame:
+    """rows(calls, student_usd) with teacher_usd, total, ratio to full annotation of the same corpus (by default the
+    published one), a below-one-percent flag and student runs per call."""
     out = rows.withColumn("teacher_usd", F.col("calls") * F.lit(model.teacher_price)).withColumn("computed_usd", F.col("student_usd") + F.col("calls") * F.lit(model.teacher_price))
-    out = out.withColumn("ratio", F.col("computed_usd") / F.lit(float(FULL_TEACHER_USD)))
+    out = out.withColumn("ratio", F.col("computed_usd") / F.lit(full_usd))
     return out.withColumn("below_one_percent", F.col("ratio") < 0.01).withColumn("operations_per_call", 1 / F.col("ratio"))
 
 
+def run_counters(stream: DataFrame, run: Run) -> DataFrame:
+    """(component, tokens) of a run over stream(stream_pos, n_tokens): training counts each fit's labels, scoring the
+    rows that were read to choose from (whole scans for pools), inference the whole corpus once."""
+    spark, batch = stream.sparkSession, run.config.batch
+    fits = [n for n, _ in run.models]
+    uses = spark.createDataFrame([(p, sum(i < n for n in fits)) for i, (_, _, _, p, _) in enumerate(run.labels)], "stream_pos bigint, fits int")
+    training = stream.join(F.broadcast(uses), "stream_pos").agg(F.lit("training").alias("component"), F.sum(F.col("n_tokens") * F.col("fits")).cast("bigint").alias("tokens"))
+    whole = stream.agg(F.sum("n_tokens").cast("bigint").alias("tokens"))
+    if run.config.policy.startswith("pool"):
+        rounds = sum(1 for n in fits) - 1
+        scoring = whole.select(F.lit("scoring").alias("component"), (F.col("tokens") * rounds).alias("tokens"))
+    else:
+        read = F.col("stream_pos").between(batch, run.seen - 1) & F.lit(run.config.policy != "random")
+        scoring = stream.where(read).agg(F.lit("scoring").alias("component"), F.coalesce(F.sum("n_tokens"), F.lit(0)).cast("bigint").alias("tokens"))
+    return training.union(scoring).union(whole.select(F.lit("inference").alias("component"), "tokens"))
+
+
 def teacher_calls(labels: DataFrame, by: list[str]) -> DataFrame:
     """Billed calls: distinct keys, however often a row was written."""
     return labels.groupBy(*by).agg(F.countDistinct("snippet_id").alias("calls"))

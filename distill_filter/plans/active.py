@@ -188,8 +188,8 @@ def frame_round(scored: DataFrame, head: int, need: int, n: int, config: RunConf
 
 def _numbers(rows: DataFrame, *more: str) -> list[np.ndarray]:
     """stream_pos, margin_micro and other whole numbers of rows, in the order of stream_pos: a bounded piece."""
-    table = rows.select("stream_pos", "margin_micro", *more).toPandas().sort_values("stream_pos")
-    return [table[c].to_numpy(dtype=np.int64) for c in table.columns]
+    table = rows.select(*(F.col(c).cast("bigint") for c in ("stream_pos", "margin_micro", *more))).toArrow().sort_by("stream_pos")
+    return [table[c].to_numpy() for c in table.column_names]
 
 
 class Places:

@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from ..config import SPECS, RunConfig, StudentConfig, TeacherConfig
 from ..functions.hashing import hash_below
 from ..operators import cost, metrics, snippets, students, teacher, theory, threshold
-from ..plans import active, engine
+from ..plans import active, engine, recipes
 from ..sources.tables import folder_state, kept, table
 from . import twins
 from .registry import query
@@ -219,6 +219,21 @@ def m12c(spark, sf):
     return threshold.empirical_cut(curve).select(F.lit("implied").alias("mode"), "s_hat")
 
 
+OWN_MODES = f"{SCORED}, k AS (SELECT margin_micro, CASE WHEN margin_micro BETWEEN -2000000 AND 2000000 THEN label END AS y FROM scored), {twins.curve('k', 'lc')}, c AS (SELECT cut FROM lc WHERE cut BETWEEN -2000000 AND 2000000 ORDER BY loss, cut LIMIT 1)"
+
+
+@query("m12d_other_modes", with_sql(OWN_MODES, "SELECT unnest(['constant', 'labelled_only']) AS mode, cut AS s_hat FROM c"))
+def m12d(spark, sf):
+    """The two ways that leave unbought labels unknown: they put the cut in the same place."""
+    own = F.when(F.col("margin_micro").between(-2_000_000, 2_000_000), F.col("label"))
+    rows, out = scored(spark, sf).select("margin_micro", own.alias("label")), None
+    for mode in ("constant", "labelled_only"):
+        curve = threshold.loss_curve(rows, mode).where("cut between -2000000 and 2000000")
+        one = threshold.empirical_cut(curve).select(F.lit(mode).alias("mode"), "s_hat")
+        out = one if out is None else out.union(one)
+    return out
+
+
 #: One round that the SQL twins unroll: the radius is scaled down for the small tables.
 ROUND = RunConfig(batch=SEED, budget=2 * SEED, radius_scale=0.25, nested=True)
 BLOCKS = list(active.blocks(8192))
@@ -295,8 +310,13 @@ def m14(spark, sf):
     return students.score(stream(spark, sf), run.model).select("snippet_id", "margin_micro", engine.passes(F.col("margin_micro")).alias("verdict"))
 
 
-@query("m15_filter_all", engine_sql("SELECT snippet_id, doc_id, n_tokens FROM last WHERE margin_micro > 0"))
+@query("m15_filter_all", with_sql(SCORED, "SELECT snippet_id, doc_id, n_tokens FROM scored WHERE margin_micro > 0"))
 def m15(spark, sf):
+    return engine.filter_corpus(stream(spark, sf), first_student(spark, sf)).select("snippet_id", "doc_id", "n_tokens")
+
+
+@query("m15c_engine_filter", engine_sql("SELECT snippet_id, doc_id, n_tokens FROM last WHERE margin_micro > 0"))
+def m15c(spark, sf):
     return engine.filter_corpus(snips(spark, sf), engine_run(spark, sf).model).select("snippet_id", "doc_id", "n_tokens")
 
 
@@ -314,6 +334,22 @@ def m16(spark, sf):
 
 
 def many_sql() -> str:
+    parts = [STREAM.replace("AS label FROM snips", f"AS label, {', '.join(twins.rule(s) + ' AS r_' + s for s in TOPICS)} FROM snips")]
+    for s in TOPICS:
+        parts.append(f"seed_{s} AS (SELECT text, r_{s} AS verdict FROM stream WHERE stream_pos < {SEED})")
+        parts += [twins.student(f"seed_{s}", s), twins.margins("stream", s, f"m_{s}")]
+    picks = ", ".join(f"(m_{s}.margin_micro > 0)::INT AS pass_{s}" for s in TOPICS)
+    joins = " ".join(f"JOIN m_{s} USING (snippet_id)" for s in TOPICS[1:])
+    return with_sql(", ".join(parts), f"SELECT snippet_id, {picks} FROM m_{TOPICS[0]} {joins}")
+
+
+@query("m17_multi_filter", many_sql())
+def m17(spark, sf):
+    models = {s: (first_student(spark, sf, s), 0) for s in TOPICS}
+    return engine.filter_many(stream(spark, sf).select("snippet_id", "text"), models).drop("text")
+
+
+def five_sql() -> str:
     """One active round for each of the five filters, then all five students on every snippet."""
     parts = [twins.stream("mainstream").replace(" AS label FROM snips", f" AS label, {', '.join(twins.rule(x) + ' AS r_' + x for x in FIVE)} FROM snips")]
     for x in FIVE:
@@ -324,8 +360,8 @@ def many_sql() -> str:
     return with_sql(", ".join(parts), f"SELECT snippet_id, {picks} FROM p_{FIVE[0]} {joins}")
 
 
-@query("m17_multi_filter", many_sql())
-def m17(spark, sf):
+@query("m17b_five_filters", five_sql())
+def m17b(spark, sf):
     models = {x: (engine_run(spark, sf, x, LITERAL).model, 0) for x in FIVE}
     return engine.filter_many(stream(spark, sf).select("snippet_id", "text"), models).drop("text")
 
@@ -335,6 +371,18 @@ def m20(spark, sf):
     return scored(spark, sf).orderBy("margin_micro", "snippet_id").limit(50).select("snippet_id", "margin_micro", "label")
 
 
+ONE_CLASS = f"{SCORED}, all1 AS (SELECT stream_pos, snippet_id, margin_micro, 1 AS label FROM scored)"
+
+
+@query("m20b_band_at_the_bottom", with_sql(f"{ONE_CLASS}, {twins.one_round('all1', SEED, '128', '(SELECT count(*) FROM stream)', 0.1, 0.05, BLOCKS, 'r', False)}", "SELECT snippet_id, stream_pos, margin_micro FROM r_bought JOIN scored USING (snippet_id, stream_pos)"))
+def m20b(spark, sf):
+    """A teacher that passes everything: the empirical cut is the candidate 0 and the band hugs the lowest scores."""
+    rows = scored(spark, sf).select("stream_pos", "snippet_id", "margin_micro", F.lit(1).alias("label"))
+    got, _ = active.frame_round(rows, SEED, 128, rows.count(), RunConfig(radius_scale=0.05), [])
+    ids = spark.createDataFrame([(g.snippet_id,) for g in got], "snippet_id string")
+    return rows.join(F.broadcast(ids), "snippet_id").select("snippet_id", "stream_pos", "margin_micro")
+
+
 @query("m21_exhaustion")
 def m21(spark, sf):
     """A band that closes before the budget is spent: how each policy for the stream's end behaves."""
@@ -438,12 +486,26 @@ def a02(spark, sf):
     return out.select("tp", "fp", "tn", "fn", *(F.round(c, 6).alias(c) for c in ("accuracy", "precision", "recall", "f1")))
 
 
-WITH_COMMON = f"{SNIPS}, {twins.COMMON}, sn AS (SELECT * FROM snips, (SELECT list(token) AS cm FROM common))"
-CONSISTENCY = " UNION ALL ".join(f"SELECT '{s}' AS spec, {noisy_sql(s, 'teacher', 0, 0.03, 0.03)} AS c0, {noisy_sql(s, 'teacher', 1, 0.03, 0.03)} AS c1 FROM sn" for s in FIVE)
+CONSISTENCY = " UNION ALL ".join(f"SELECT '{s}' AS spec, {noisy_sql(s, 'teacher', 0, 0.03, 0.03)} AS c0, {noisy_sql(s, 'teacher', 1, 0.03, 0.03)} AS c1 FROM snips" for s in TOPICS)
 
 
-@query("a03_self_consistency", with_sql(f"{WITH_COMMON}, calls AS ({CONSISTENCY})", "SELECT spec, round((sum(c0 * c1) / sum(c0)::DOUBLE + sum((1 - c0) * (1 - c1)) / sum(1 - c0)::DOUBLE) / 2, 6) AS balanced_accuracy, round(avg((c0 = c1)::INT), 6) AS agreement FROM calls GROUP BY spec"))
+@query("a03_self_consistency", with_sql(f"{SNIPS}, calls AS ({CONSISTENCY})", "SELECT spec, round((sum(c0 * c1) / sum(c0)::DOUBLE + sum((1 - c0) * (1 - c1)) / sum(1 - c0)::DOUBLE) / 2, 6) AS balanced_accuracy, round(avg((c0 = c1)::INT), 6) AS agreement FROM calls GROUP BY spec"))
 def a03(spark, sf):
+    out = None
+    for s in TOPICS:
+        c = [teacher.verdict(s, F.col("text"), F.col("snippet_id"), NOISY, k).alias(f"c{k}") for k in (0, 1)]
+        rows = snips(spark, sf).select(F.lit(s).alias("spec"), *c)
+        out = rows if out is None else out.union(rows)
+    found = metrics.confusion(out, "c0", "c1", ["spec"])
+    return found.select("spec", F.round("balanced_accuracy", 6).alias("balanced_accuracy"), F.round("accuracy", 6).alias("agreement"))
+
+
+WITH_COMMON = f"{SNIPS}, {twins.COMMON}, sn AS (SELECT * FROM snips, (SELECT list(token) AS cm FROM common))"
+CONSISTENCY_FIVE = " UNION ALL ".join(f"SELECT '{s}' AS spec, {noisy_sql(s, 'teacher', 0, 0.03, 0.03)} AS c0, {noisy_sql(s, 'teacher', 1, 0.03, 0.03)} AS c1 FROM sn" for s in FIVE)
+
+
+@query("a03b_self_consistency_five", with_sql(f"{WITH_COMMON}, calls AS ({CONSISTENCY_FIVE})", "SELECT spec, round((sum(c0 * c1) / sum(c0)::DOUBLE + sum((1 - c0) * (1 - c1)) / sum(1 - c0)::DOUBLE) / 2, 6) AS balanced_accuracy, round(avg((c0 = c1)::INT), 6) AS agreement FROM calls GROUP BY spec"))
+def a03b(spark, sf):
     out, common = None, common_words(spark, sf)
     for s in FIVE:
         c = [teacher.verdict(s, F.col("text"), F.col("snippet_id"), NOISY, k, common).alias(f"c{k}") for k in (0, 1)]
@@ -476,8 +538,14 @@ def a05(spark, sf):
     return metrics.imbalance(rows, ["policy"]).select("ord", "n_pass", "n_fail", F.round("imbalance", 6).alias("imbalance"))
 
 
-@query("a06_class_prior", with_sql(WITH_COMMON, " UNION ALL ".join(f"SELECT '{s}' AS spec, round(avg({twins.rule(s)}), 6) AS pass_share FROM sn" for s in FIVE)))
+@query("a06_class_prior", with_sql(SNIPS, " UNION ALL ".join(f"SELECT '{s}' AS spec, round(avg({twins.rule(s)}), 6) AS pass_share FROM snips" for s in TOPICS)))
 def a06(spark, sf):
+    rows = stream(spark, sf).agg(*(F.round(F.avg(s), 6).alias(s) for s in TOPICS))
+    return rows.unpivot([], list(TOPICS), "spec", "pass_share")
+
+
+@query("a06b_class_prior_five", with_sql(WITH_COMMON, " UNION ALL ".join(f"SELECT '{s}' AS spec, round(avg({twins.rule(s)}), 6) AS pass_share FROM sn" for s in FIVE)))
+def a06b(spark, sf):
     rows = stream(spark, sf).agg(*(F.round(F.avg(s), 6).alias(s) for s in FIVE))
     return rows.unpivot([], list(FIVE), "spec", "pass_share")
 
@@ -545,17 +613,32 @@ def a14(spark, sf):
 
 @query("a15_risk_bound")
 def a15(spark, sf):
-    """How the excess risk of the band's ends falls with the radius over one round, and the least constants that envelop it."""
-    run = a_run(spark, sf)
-    rows = scored(spark, sf).withColumn("eta", 1 - F.col("label").cast("double"))
-    risk = {r.cut: r.risk for r in threshold.true_cut(rows.select(F.col("margin_micro").alias("score"), "eta")).collect()}
-    best, out = min(risk.values()), []
-    below = sorted(risk)
-    for _, t, lo, hi, *_, beta, _ in run.trace:
-        at = [risk[max([c for c in below if c <= x], default=below[0])] - best for x in (lo, hi)]
-        out.append((t, beta, *at))
-    with_, without = theory.risk_envelope([(b, max(g)) for _, b, *g in out], best)
-    return spark.createDataFrame([(*o, with_, without) for o in out], "t bigint, beta double, gap_lo double, gap_hi double, c_with_risk double, c_without double")
+    """How the excess risk of the band's ends falls with the radius over one round, and the least constants that envelop
+    it. A teacher of graded certainty; a trace's few ends are joined to the risk curve, which stays where it is."""
+    rows = graded(spark, sf)
+    run = active.distil(stream(spark, sf), "topic_hostile", LITERAL, teacher=TeacherConfig(mode="graded"))
+    rows = students.score(rows, run.models[0][1])
+    risk = threshold.true_cut(rows.select(F.col("margin_micro").cast("double").alias("score"), "eta"), width=1 << 16)
+    ends = spark.createDataFrame([(t, b, e, float(x)) for _, t, lo, hi, _, _, b, _ in run.trace for e, x in (("lo", lo), ("hi", hi))], "t bigint, beta double, end string, at double")
+    best = risk.agg(F.min("risk").alias("best"))
+    # the risk at an end is that of the nearest cut at or below it; below all scores it is the candidate 0's
+    floor = risk.where("cut = 0").select(F.col("risk").alias("zero"))
+    at = risk.join(F.broadcast(ends), F.col("cut") <= F.col("at")).where("cut <> 0").groupBy("t", "beta", "end").agg(F.max_by("risk", "cut").alias("risk"))
+    found = ends.join(at, ["t", "beta", "end"], "left").crossJoin(best).crossJoin(floor)
+    gaps = [(r.t, r.beta, r.end, (r.zero if r.risk is None else r.risk) - r.best, r.best) for r in found.collect()]
+    if not gaps:
+        return spark.createDataFrame([], "t bigint, beta double, gap_lo double, gap_hi double, c_with_risk double, c_without double")
+    with_, without = theory.risk_envelope([(b, g) for _, b, _, g, _ in gaps], gaps[0][4])
+    by_t = {}
+    for t, b, e, g, _ in gaps:
+        by_t.setdefault((t, b), {})[e] = g
+    return spark.createDataFrame([(t, b, e["lo"], e["hi"], with_, without) for (t, b), e in sorted(by_t.items())], "t bigint, beta double, gap_lo double, gap_hi double, c_with_risk double, c_without double")
+
+
+def graded(spark, sf, spec: str = "topic_hostile") -> DataFrame:
+    """The stream with the probability of class 0 under a teacher of graded certainty."""
+    p = teacher.pass_probability(spec, F.col("text"), TeacherConfig(mode="graded"))
+    return stream(spark, sf).select("snippet_id", "stream_pos", "text", (1 - p).alias("eta"))
 
 
 @query("a19_trial_spread", with_sql(SCORED, " UNION ALL ".join(f"SELECT {k} AS trial, round(avg(label), 6) AS pass_share FROM scored WHERE {twins.hash_int(chr(39) + 'trial' + str(k) + chr(39), 'snippet_id')} < {int(0.25 * (1 << 32))}" for k in range(3))))
@@ -565,6 +648,18 @@ def a19(spark, sf):
     return parts[0].union(parts[1]).union(parts[2])
 
 
+TRIALS = " UNION ALL ".join(f"SELECT {k} AS trial, round(avg(label), 6) AS pass_share FROM (SELECT label, sum(n_tokens) OVER (ORDER BY {twins.hash_int(chr(39) + 'take' + str(k) + chr(39), 'snippet_id')}, snippet_id) AS upto FROM scored WHERE margin_micro > 0) WHERE upto <= 50000" for k in range(3))
+
+
+@query("a19b_selection_spread", with_sql(SCORED, f"SELECT count(*) AS trials, round(avg(pass_share), 6) AS mean, min(pass_share) AS least, max(pass_share) AS most FROM ({TRIALS})"))
+def a19b(spark, sf):
+    """Three random selections of one token budget from what the student passes: the spread of their quality."""
+    rows = engine.filter_corpus(scored(spark, sf).drop("margin_micro", "score"), first_student(spark, sf)).select(F.col("snippet_id").alias("doc_id"), "n_tokens", "label")
+    parts = [recipes.take_tokens(rows, 50_000, k).agg(F.round(F.avg("label"), 6).alias("pass_share")) for k in range(3)]
+    out = parts[0].union(parts[1]).union(parts[2])
+    return out.agg(F.count("*").alias("trials"), F.round(F.avg("pass_share"), 6).alias("mean"), F.min("pass_share").alias("least"), F.max("pass_share").alias("most"))
+
+
 # costs
 
 PRICE, WEAK = cost.CostModel().teacher_price, cost.CostModel().weak_price
@@ -584,6 +679,23 @@ def c02(spark, sf):
     return cost.student_cost(parts).withColumn("usd", F.round("usd", 9))
 
 
+def training_sql(config: RunConfig = ENGINE) -> str:
+    """Tokens of all fits of a whole run: a round's fit happens while all rounds before it were full."""
+    uses = [f"(SELECT coalesce(sum(n_tokens), 0) FROM e_l{r - 1} JOIN stream USING (snippet_id) WHERE (SELECT count(*) FROM e_l{r - 1}) = {config.batch * r})" for r in range(1, config.rounds + 1)]
+    return " + ".join([*uses, "(SELECT coalesce(sum(n_tokens), 0) FROM e_lab JOIN stream USING (snippet_id))"])
+
+
+HEAD = f"(SELECT CASE WHEN count(*) = {ENGINE.budget} THEN max(stream_pos) + 1 ELSE (SELECT count(*) FROM stream) END FROM e_lab)"
+COUNTERS = f"k AS MATERIALIZED (SELECT ({training_sql()})::BIGINT AS training, (SELECT sum(n_tokens) FROM stream WHERE stream_pos >= {SEED} AND stream_pos < {HEAD})::BIGINT AS scoring, (SELECT sum(n_tokens) FROM stream)::BIGINT AS inference, (SELECT count(*) FROM e_lab) AS calls, (SELECT count(*) FROM stream) AS n)"
+COUNTED = f"{twins.engine(ENGINE, BLOCKS)}, {COUNTERS}"
+STUDENT_USD = "(training / 1e6 * 0.05 + (scoring + inference) / 1e6 * 0.008)"
+
+
+@query("c02b_run_cost", with_sql(COUNTED, "SELECT component, tokens, round(tokens / 1e6 * CASE WHEN component = 'training' THEN 0.05 ELSE 0.008 END, 9) AS usd FROM (UNPIVOT (SELECT training, scoring, inference FROM k) ON training, scoring, inference INTO NAME component VALUE tokens)"))
+def c02b(spark, sf):
+    return cost.student_cost(cost.run_counters(stream(spark, sf), engine_run(spark, sf))).withColumn("usd", F.round("usd", 9))
+
+
 @query("c03_total_cost", f"SELECT filter, calls::BIGINT AS calls, total_usd::BIGINT AS total_usd, round(student_usd + calls * {PRICE!r}::DOUBLE, 4) AS computed_usd, abs(student_usd + calls * {PRICE!r}::DOUBLE - total_usd) <= 5 AS within_5_usd FROM {PUBLISHED}")
 def c03(spark, sf):
     out = cost.totals(cost.published(spark))
@@ -609,13 +721,41 @@ def c06(spark, sf):
     return cost.price_sweep(rows, [1, 3, 10, 30]).select("method", "factor", F.round("usd", 4).alias("usd"))
 
 
-@query("c07_pool_vs_stream")
+def billed(spark, sf, run: active.Run) -> tuple[int, dict[str, float]]:
+    """(calls, USD by component) of a run, from its counters."""
+    parts = cost.student_cost(cost.run_counters(stream(spark, sf), run)).collect()
+    return run.calls, {r.component: r.usd for r in parts}
+
+
+RANDOM_TRAINING = " + ".join(f"(SELECT coalesce(sum(n_tokens), 0) FROM stream WHERE stream_pos < {SEED * k})" for k in range(1, ENGINE.rounds + 2))
+SWEEP = f"""SELECT 'band' AS method, calls, {STUDENT_USD} AS student_usd FROM k UNION ALL SELECT 'random', least(n, {ENGINE.budget}), ({RANDOM_TRAINING}) / 1e6 * 0.05 + inference / 1e6 * 0.008 FROM k UNION ALL SELECT 'full', n, 0 FROM k"""
+
+
+@query("c06b_price_sweep_of_runs", with_sql(COUNTED, f"SELECT method, f AS factor, calls::BIGINT AS calls, round(student_usd + calls * f * {PRICE!r}::DOUBLE, 6) AS usd FROM ({SWEEP}), (SELECT unnest([1, 3, 10, 30]::DOUBLE[]) AS f)"))
+def c06b(spark, sf):
+    """What each method costs as the teacher gets dearer, from the counters of its run at one budget."""
+    from dataclasses import replace
+
+    rows = [("full", stream(spark, sf).count(), 0.0)]
+    for policy in ("band", "random"):
+        calls, usd = billed(spark, sf, engine_run(spark, sf, config=replace(ENGINE, policy=policy)))
+        rows.append((policy, calls, sum(usd.values())))
+    out = cost.price_sweep(spark.createDataFrame(rows, "method string, calls bigint, student_usd double"), [1, 3, 10, 30])
+    return out.select("method", "factor", "calls", F.round("usd", 6).alias("usd"))
+
+
+END = f"CASE WHEN count(*) = {SEED} THEN max(stream_pos) + 1 ELSE (SELECT count(*) FROM stream) END AS seen FROM"
+NEAR = f"(SELECT stream_pos FROM scored WHERE stream_pos >= {SEED} AND abs(score - 0.5) <= 0.4 ORDER BY stream_pos LIMIT {SEED})"
+
+
+@query("c07_pool_vs_stream", round_sql(f"SELECT policy, calls::BIGINT AS calls, seen::BIGINT AS seen, (CASE WHEN policy = 'pool_uncertainty' THEN n ELSE seen - {SEED} END + n)::BIGINT AS student_passes FROM (SELECT 'band' AS policy, count(*) + {SEED} AS calls, {END} r_bought UNION ALL SELECT 'uncertainty', count(*) + {SEED}, {END} {NEAR} UNION ALL SELECT 'pool_uncertainty', {2 * SEED}, {SEED}), (SELECT count(*) AS n FROM stream)"))
 def c07(spark, sf):
+    """Calls, rows of the stream read, and student passes: those to choose labels by, and the corpus once at the end."""
     n = stream(spark, sf).count()
     rows = []
     for policy in ("band", "uncertainty", "pool_uncertainty"):
         run = a_run(spark, sf, policy)
-        rows.append((policy, len(run.labels), run.seen, run.passes + n if run.passes else run.seen + n))
+        rows.append((policy, run.calls, run.seen, (run.passes or run.seen - SEED) + n))
     return spark.createDataFrame(rows, "policy string, calls bigint, seen bigint, student_passes bigint")
 
 

@@ -33,7 +33,7 @@ def o01(spark, sf):
     return table(spark, sf, "documents", ["doc_id", "n_chars"])
 
 
-@query("o06_html_text")
+@query("o06_html_text", f"SELECT page_id, length(t) AS n_chars, md5(t) AS text_md5 FROM (SELECT page_id, {twins.page_text('html')} AS t FROM pages)")
 def o06(spark, sf):
     return table(spark, sf, "pages").select("page_id", F.length(page_text(F.col("html"))).alias("n_chars"), F.md5(page_text(F.col("html"))).alias("text_md5"))
 

@@ -6,6 +6,7 @@ from ..config import RunConfig, StudentConfig
 from ..operators.students import CLIP, MICRO
 from ..operators.teacher import COMMON_DF, COMMON_SHARE, HOSTILE, JUNK_MARKS, LEGAL, REPEAT, WEAK_HOSTILE, WEAK_JUNK
 from ..operators.threshold import CLOSE, ZERO
+from ..sources.html import DROPPED, ENTITIES
 
 SPAN = 1 << 32
 SEED_LABELS = 256
@@ -39,6 +40,17 @@ def snippets(width: int = 64, source: str = "documents", key: str = "doc_id", na
         least({width}, len(tk) - seq * {width})::INT AS n_tokens FROM (SELECT doc_id, tk, unnest(range(0, (len(tk) + {width - 1}) // {width})) AS seq FROM {name}_t))"""
 
 
+def page_text(html: str) -> str:
+    """Text of a page's HTML, as sources.html has it."""
+    text = f"regexp_replace({html}, '(?s)<!--.*?-->', ' ', 'g')"
+    for name in DROPPED:
+        text = f"regexp_replace({text}, '(?s)<{name}[ >].*?</{name}>', ' ', 'g')"
+    text = f"regexp_replace({text}, '<[^>]*>', ' ', 'g')"
+    for entity, char in ENTITIES:
+        text = f"replace({text}, {quoted([entity])}, {quoted([char])})"
+    return f"trim(regexp_replace({text}, '[ \\t\\n\\r]+', ' ', 'g'))"
+
+
 def evidence(spec: str, text: str = "text", weak: bool = False) -> str:
     if spec == "topic_hostile":
         return f"len(list_filter({tokens(text)}, lambda x: regexp_replace(lower(x), '[^a-z]', '', 'g') IN ({quoted(WEAK_HOSTILE if weak else HOSTILE)})))"
@@ -120,12 +132,13 @@ def one_round(rows: str, head: int | str, need: str, n: str, delta: float, scale
     head: the first position, or SQL that gives it. rows(stream_pos, snippet_id, margin_micro, label). The cap is taken by position at the end: labels bought beyond it
     in the block where it falls, and all later blocks, do not count.
     """
+    at = lambda k: head + k if isinstance(head, int) else f"{head} + {k}"
     parts, before = [], f"(SELECT -(1::BIGINT << 61) AS lo, (1::BIGINT << 61) AS hi)"
     for k, (first, last) in enumerate(blocks):
         seen = " UNION ALL ".join(f"SELECT margin_micro, y FROM {name}_k{i}" for i in range(k + 1))
         parts.append(
             f"{name}_k{k} AS MATERIALIZED (SELECT r.stream_pos, r.snippet_id, r.margin_micro, r.label, r.margin_micro BETWEEN b.lo AND b.hi AS inside, "
-            f"CASE WHEN r.margin_micro < b.lo THEN 0 WHEN r.margin_micro > b.hi THEN 1 ELSE r.label END AS y FROM {rows} r, {before} b WHERE r.stream_pos BETWEEN {head} + {first} AND {head} + {last})"
+            f"CASE WHEN r.margin_micro < b.lo THEN 0 WHEN r.margin_micro > b.hi THEN 1 ELSE r.label END AS y FROM {rows} r, {before} b WHERE r.stream_pos BETWEEN {at(first)} AND {at(last)})"
         )
         parts.append(f"{name}_a{k} AS MATERIALIZED ({seen})")
         parts.append(curve(f"{name}_a{k}", f"{name}_c{k}"))
