@@ -9,6 +9,7 @@ hashes of a Merkle tree over the recipes. Reading checks chunks against digests
 from __future__ import annotations
 
 import hashlib
+import json
 import os
 import zlib
 from collections.abc import Iterator
@@ -16,19 +17,21 @@ from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from .shared import remove
+from .bpe import byte_alphabet
+from .shared import remove, tidy
 
 WINDOW, LEAST, MOST, MEAN_BITS = 16, 64, 2048, 8
 FANOUT = 1024
 #: Pieces, and words inside them, that a Python worker remembers: about 200 bytes each.
 PIECES_KEPT, WORDS_KEPT = 300_000, 700_000
-#: Code points of text that are worked on at a time.
-BITE = 1 << 21
+#: Bytes of text that are worked on at a time.
+BITE = 1 << 22
 ENCODED = "doc_id long, n_tokens long, digests array<binary>, data array<binary>"
 RECIPES = "part int, pos long, doc_id long, rel_start long, n_tokens long, digests array<binary>, leaf string"
 
@@ -79,11 +82,28 @@ class Kept(dict):
             self.clear()
 
 
+#: The normaliser and the split that let a text be taken apart at spaces.
+NORMALISER = [{"type": "NFC"}, {"type": "Replace", "pattern": {"Regex": "\\s+"}, "content": " "}, {"type": "Lowercase"}]
+SPLIT = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
+WORD_END = "</w>"
+
+
+def takes_apart(spec: dict) -> bool:
+    """Whether a tokenizer's file says what the encoder relies on: words end at spaces and each ends in a token of its own kind."""
+    before = (spec.get("pre_tokenizer") or {}).get("pretokenizers") or [{}]
+    normal = (spec.get("normalizer") or {}).get("normalizers")
+    split = before[0].get("pattern") == {"Regex": SPLIT} and before[0].get("invert") and before[0].get("behavior") == "Removed"
+    level = len(before) == 2 and before[1].get("type") == "ByteLevel" and not before[1].get("add_prefix_space") and not before[1].get("use_regex")
+    plain = not any(spec.get(k) for k in ("post_processor", "truncation", "padding")) and spec["model"].get("end_of_word_suffix") == WORD_END
+    return bool(normal == NORMALISER and split and level and plain)
+
+
 class WordEncoder:
     """The public library's ids, by pieces between spaces: its rules never look across one. Pieces are remembered.
 
-    A new piece that is a word and one closing mark is taken apart, and Latin-1 words are looked up in lower case, as the
-    library would do itself: so most new pieces are made of words known already.
+    A batch's texts are split and its distinct pieces found in Arrow; ids are put together by numpy. A new piece that is a
+    word and one closing mark is taken apart, and words in Latin letters are looked up in lower case, as the library would
+    do itself, and by its model alone. A file with another normaliser or split is left to the library as a whole.
     """
 
     def __init__(self, path: str, pieces_kept: int = PIECES_KEPT, words_kept: int = WORDS_KEPT):
@@ -93,57 +113,91 @@ class WordEncoder:
         self.library = Tokenizer.from_file(path)
         self.library.no_padding()
         self.library.no_truncation()
-        self.dtype = np.dtype("<u2" if self.library.get_vocab_size() < 1 << 16 else "<u4")
+        vocabulary = self.library.get_vocab()
+        self.dtype = np.dtype("<u2" if max(vocabulary.values()) < 1 << 16 else "<u4")
+        with open(path, encoding="utf-8") as f:
+            self.apart = takes_apart(json.load(f))
+        self.alphabet = {b: ord(c) for c, b in byte_alphabet().items()}
         self.pieces, self.words = Kept(pieces_kept), Kept(words_kept)
 
     def encode(self, texts: list[str]) -> list[bytes]:
         """For each text its ids as little-endian integers of self.dtype."""
+        ids, n = self.flat(pa.array(texts, pa.large_string()))
+        data, at = ids.tobytes(), np.concatenate([[0], np.cumsum(n)]) * self.dtype.itemsize
+        return [data[a:b] for a, b in zip(at, at[1:])]
+
+    def flat(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        """The ids of all texts end to end, and how many each has; a null text has none."""
+        if not len(texts):
+            return np.zeros(0, self.dtype), np.zeros(0, np.int64)
+        if not self.apart:
+            coded = [e.ids for e in self.library.encode_batch_fast(["" if t is None else t for t in texts.to_pylist()], add_special_tokens=False)]
+            return np.array([i for c in coded for i in c], self.dtype), np.array([len(c) for c in coded], np.int64)
+        texts = pc.fill_null(texts.cast(pa.large_string()), "")
+        parts = pc.split_pattern(pc.replace_substring(texts, "\n", " "), " ")
+        distinct = pc.dictionary_encode(parts.flatten())
+        coded = self._coded(distinct.dictionary.to_pylist())
+        size = np.fromiter(map(len, coded), np.int64, len(coded)) // self.dtype.itemsize
+        table, first = np.frombuffer(b"".join(coded), self.dtype), np.cumsum(size) - size
+        which = distinct.indices.to_numpy()
+        n = size[which]
+        upto = np.concatenate([[0], np.cumsum(n)])
+        ids = table[np.repeat(first[which] - upto[:-1], n) + np.arange(upto[-1])]
+        edges = parts.offsets.to_numpy() - parts.offsets[0].as_py()
+        return ids, np.diff(upto[edges])
+
+    def _coded(self, distinct: list[str]) -> list[bytes]:
         self.pieces.trim()
         self.words.trim()
-        parts = [t.replace("\n", " ").split(" ") for t in texts]
-        found = [list(map(self.pieces.get, p)) for p in parts]
-        fresh: dict[str, tuple[str, str] | None] = {}
-        for p, f in zip(parts, found, strict=True):
-            if None in f:
-                for i, x in enumerate(f):
-                    if x is None:
-                        fresh[p[i]] = None
-        missing: set[str] = set()
         pieces, words, old_pieces, old_words = self.pieces, self.words, self.pieces.old, self.words.old
-        for piece in fresh:
+        found = list(map(pieces.get, distinct))
+        fresh: list[tuple[int, str, str]] = []
+        missing: set[str] = set()
+        for i, known in enumerate(found):
+            if known is not None:
+                continue
+            piece = distinct[i]
             if (known := old_pieces.get(piece)) is not None:
-                pieces[piece] = known
+                found[i] = pieces[piece] = known
                 continue
-            fresh[piece] = word, mark = self._apart(piece)
+            word, mark = self._apart(piece)
+            fresh.append((i, word, mark))
             for w in (word, mark) if mark else (word,):
                 if w not in words:
                     if (known := old_words.get(w)) is not None:
                         words[w] = known
                     else:
                         missing.add(w)
-        self._look_up(list(missing))
-        for piece, of in fresh.items():
-            if of is not None:
-                pieces[piece] = words[of[0]] + words[of[1]] if of[1] else words[of[0]]
-        for p, f in zip(parts, found, strict=True):
-            if None in f:
-                for i, x in enumerate(f):
-                    if x is None:
-                        f[i] = pieces[p[i]]
-        return [b"".join(f) for f in found]
+        self._look_up(missing)
+        for i, word, mark in fresh:
+            found[i] = pieces[distinct[i]] = words[word] + words[mark] if mark else words[word]
+        return found
 
     @staticmethod
     def _apart(piece: str) -> tuple[str, str]:
-        word, mark = (piece[:-1], piece[-1]) if len(piece) > 1 and piece[-1] in ".,;:!?" and piece[-2].isalpha() else (piece, "")
-        try:
-            word.encode("latin-1")
-        except UnicodeEncodeError:
-            return word, mark
-        return (word.lower(), mark) if word.isalpha() else (word, mark)
-
-    def _look_up(self, words: list[str]) -> None:
-        for at in range(0, len(words), 4096):
-            some = words[at : at + 4096]
+        """(word, closing mark). Only after a Latin-1 letter: others may gain marks of their own in lower case (as the
+        dotted capital I does) or in normal form, and those join with what follows."""
+        mark = piece[-1] if len(piece) > 1 and piece[-1] in ".,;:!?" and piece[-2] <= "\xff" and piece[-2].isalpha() else ""
+        word = piece[:-1] if mark else piece
+        if word.isalpha() and (word.isascii() or max(word) <= "\xff"):
+            word = word.lower()
+        return word, mark
+
+    def _look_up(self, missing: set[str]) -> None:
+        plain = [w for w in missing if w.isalpha() and max(w) <= "\xff"]
+        rest = [w for w in missing if not (w.isalpha() and max(w) <= "\xff")]
+        # a plain word is one word of the split, in lower case and normal form: what is left to do is the model's
+        coded, sizes, tokenize = [], [], self.library.model.tokenize
+        for w in plain:
+            tokens = tokenize(w if w.isascii() else w.encode().decode("latin-1").translate(self.alphabet))
+            coded += [t.id for t in tokens]
+            sizes.append(len(tokens))
+        data, last = np.array(coded, dtype=self.dtype).tobytes(), 0
+        for w, end in zip(plain, (np.cumsum(sizes, dtype=np.int64) * self.dtype.itemsize).tolist(), strict=True):
+            self.words[w] = data[last:end]
+            last = end
+        for at in range(0, len(rest), 4096):
+            some = rest[at : at + 4096]
             for w, e in zip(some, self.library.encode_batch_fast(some, add_special_tokens=False), strict=True):
                 self.words[w] = np.array(e.ids, dtype=self.dtype).tobytes()
 
@@ -161,46 +215,45 @@ def digest(data: bytes) -> bytes:
 def _encode(path: str, end_id: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encoder = encoder_of(path)
-        end = np.array([end_id], dtype=encoder.dtype).tobytes()
         width, seen = encoder.dtype.itemsize, set()
 
-        def work(doc_ids: list, texts: list[str]) -> pa.RecordBatch:
-            coded = [c + end for c in encoder.encode(texts)]
-            ids = np.frombuffer(b"".join(coded), encoder.dtype)
-            ends = np.cumsum([len(c) // width for c in coded])
-            digests, data, start = [], [], 0
-            for c, cuts in zip(coded, cut_points(ids, ends), strict=True):
-                d, x, last = [], [], 0
+        def work(doc_ids: pa.Array, texts: pa.Array) -> pa.RecordBatch:
+            plain, n = encoder.flat(texts)
+            ids = np.insert(plain, np.cumsum(n), end_id)
+            n = n + 1
+            whole, at, digests, data = ids.tobytes(), 0, [], []
+            for cuts in cut_points(ids, np.cumsum(n)):
+                d, x = [], []
                 for cut in cuts:
-                    chunk = c[last : (cut - start) * width]
+                    chunk = whole[at * width : cut * width]
                     d.append(digest(chunk))
                     x.append(None if d[-1] in seen else chunk)
                     seen.add(d[-1])
-                    last = (cut - start) * width
+                    at = cut
                 if len(seen) > 500_000:
                     seen.clear()
                 digests.append(d)
                 data.append(x)
-                start = cuts[-1]
-            n = [len(c) // width for c in coded]
             kind = pa.list_(pa.binary())
-            return pa.RecordBatch.from_arrays([pa.array(doc_ids, pa.int64()), pa.array(n, pa.int64()), pa.array(digests, kind), pa.array(data, kind)], names=["doc_id", "n_tokens", "digests", "data"])
+            return pa.RecordBatch.from_arrays([doc_ids, pa.array(n, pa.int64()), pa.array(digests, kind), pa.array(data, kind)], names=["doc_id", "n_tokens", "digests", "data"])
 
         for b in batches:
-            doc_ids, texts, size = [], [], 0
-            for i, t in zip(b.column(0), b.column(1), strict=True):
-                doc_ids.append(i.as_py())
-                texts.append(t.as_py() or "")
-                size += len(texts[-1])
-                if size > BITE:
-                    yield work(doc_ids, texts)
-                    doc_ids, texts, size = [], [], 0
-            if texts:
-                yield work(doc_ids, texts)
+            upto = np.cumsum(pc.fill_null(pc.binary_length(b.column(1)), 0).to_numpy(zero_copy_only=False).astype(np.int64))
+            at = 0
+            while at < b.num_rows:  # rows of BITE bytes together, or one that is longer
+                end = max(at + 1, int(np.searchsorted(upto, (upto[at - 1] if at else 0) + BITE, "right")))
+                yield work(b.column(0).slice(at, end - at), b.column(1).slice(at, end - at))
+                at = end
+            tidy()
 
     return run
 
 
+def id_width(path: str) -> int:
+    """Bytes of an id of a tokenizer's file in a store: two where its vocabulary allows."""
+    return encoder_of(path).dtype.itemsize
+
+
 def leaf() -> Column:
     """A recipe's hash: over its document's id, its length and its digests in order."""
     named = F.concat_ws(":", F.coalesce(F.col("doc_id").cast("string"), F.lit("null")), F.col("n_tokens").cast("string"))
@@ -255,7 +308,8 @@ def write_store(docs: DataFrame, path: str, tokenizer: str, end_id: int = 2, id_
     ordered = table.select("doc_id", "n_tokens", "digests", leaf().alias("leaf")).repartitionByRange(F.col("doc_id").asc_nulls_first()).sortWithinPartitions(F.col("doc_id").asc_nulls_first(), "digests")
     ordered.mapInArrow(_lay_out, RECIPES).write.option("compression", "zstd").parquet(f"{path}/recipes")
     remove(encoded, spark)
-    merkle_nodes(spark.read.schema(RECIPES).parquet(f"{path}/recipes")).coalesce(1).write.parquet(f"{path}/manifest")
+    width = id_width(tokenizer)
+    merkle_nodes(spark.read.schema(RECIPES).parquet(f"{path}/recipes")).withColumn("id_bytes", F.lit(width)).coalesce(1).write.parquet(f"{path}/manifest")
     return merkle_root(spark.read.parquet(f"{path}/manifest"))
 
 
@@ -330,13 +384,15 @@ def verify_store(spark: SparkSession, path: str, root: str) -> None:
         raise ValueError("the recipes do not lead to the Merkle root")
 
 
-def read_documents(spark: SparkSession, path: str, width: int = 2) -> DataFrame:
+def read_documents(spark: SparkSession, path: str) -> DataFrame:
     """(doc_id, start, n_tokens, ids_crc32) of every document of a store, from its chunks and recipes.
 
+    An empty store: no rows. How wide an id is the store's manifest says.
     Each unique chunk is read and checked once; what is joined to the recipes is its length and CRC, so no ids are
     shuffled. A document whose chunks are missing or do not add up to its length raises.
     """
-    chunks = spark.read.parquet(f"{path}/chunks").select("digest", "data").mapInArrow(_check_chunks(width), "digest binary, n long, crc long")
+    kept = spark.read.parquet(f"{path}/manifest").select("id_bytes").first()
+    chunks = spark.read.parquet(f"{path}/chunks").select("digest", "data").mapInArrow(_check_chunks(kept.id_bytes if kept else 2), "digest binary, n long, crc long")
     recipes = spark.read.schema(RECIPES).parquet(f"{path}/recipes")
     before = Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)
     offsets = spark.read.parquet(f"{path}/manifest").select("part", F.coalesce(F.sum("n_tokens").over(before), F.lit(0)).cast("long").alias("offset"))
@@ -350,7 +406,7 @@ def read_documents(spark: SparkSession, path: str, width: int = 2) -> DataFrame:
 
 
 def read_ids(spark: SparkSession, path: str) -> DataFrame:
-    """(doc_id, ids binary): every document's ids, rebuilt; for those who want the ids themselves."""
+    """(doc_id, ids binary): every document's ids, rebuilt; for those who want the ids themselves. An empty store: no rows."""
     chunks = spark.read.parquet(f"{path}/chunks").select("digest", "data")
     recipes = spark.read.schema(RECIPES).parquet(f"{path}/recipes").select("part", "pos", "doc_id", F.posexplode("digests").alias("k", "digest"))
     rows = recipes.join(chunks, "digest").groupBy("part", "pos").agg(F.first("doc_id").alias("doc_id"), F.array_sort(F.collect_list(F.struct("k", "data"))).alias("c"))

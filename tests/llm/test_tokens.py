@@ -162,3 +162,30 @@ def test_queries_cases(spark):
     back = {r.doc_id: r for r in bpe_round_trip(docs, BYTES).collect()}
     assert back[1].decoded == "" and back[3].decoded == "word " * 5000 and len(back[None].ids) == 8
     assert count_tokens(docs.limit(0), PIECES).count() == 0 == bpe_round_trip(docs.limit(0), BYTES).count()
+
+
+def test_word_encoder_on_odd_unicode():
+    """Words at whose ends case, normal form or classes are odd, before closing marks, against the library."""
+    encoder, library, rnd = WordEncoder(WORDS, 500, 500), Tokenizer.from_file(WORDS), random.Random(8)
+    assert encoder.apart
+    odd = list("aZéÉßµªºÿİıǅΣςſK\u0307\u0958\u0344ﬁ漢कÅÅ٣²½'’.,;:!?-_|<>\t\r\u00a0\u0085\u200d\u1e9e\u037e") + ["don't", "<|endoftext|>", "<|startoftext|>", "<|end", "ALİ.", "foo", "BAR", "\n"]
+    texts = ["ALİ.", "foo İ, bar", "x<|endoftext|>y.", "क़. a", ""]
+    for _ in range(4000):
+        texts.append("".join(rnd.choice(odd) + rnd.choice(["", "", " "]) for _ in range(rnd.randrange(1, 12))))
+    for at in range(0, len(texts), 250):
+        some = texts[at : at + 250]
+        for t, got in zip(some, encoder.encode(some), strict=True):
+            assert ids(got, "<u2") == library.encode(t, add_special_tokens=False).ids, t
+
+
+def test_other_files_go_to_the_library(tmp_path):
+    import json
+
+    with open(WORDS, encoding="utf-8") as f:
+        spec = json.load(f)
+    spec["normalizer"] = {"type": "NFC"}
+    path = tmp_path / "cased.json"
+    path.write_text(json.dumps(spec), encoding="utf-8")
+    encoder, library = WordEncoder(str(path)), Tokenizer.from_file(str(path))
+    some = ["Hello World.", "", "A  b\tC"]
+    assert not encoder.apart and [ids(x, "<u2") for x in encoder.encode(some)] == [library.encode(t, add_special_tokens=False).ids for t in some]
