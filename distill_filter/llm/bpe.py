@@ -27,6 +27,8 @@ PRETOKEN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!
 PATTERN_LOOKAHEAD = 3
 RUNS = {"L": regex.compile(r"\p{L}*"), "N": regex.compile(r"\p{N}*"), "P": regex.compile(r"[^\s\p{L}\p{N}]*"), "S": regex.compile(r"\s*")}
 CHUNK = 1 << 16
+#: Code points of a text that the encoder is fed at a time; a pre-token longer than this goes through the transducer in pieces.
+PIECE = 1 << 12
 WORDS_KEPT = 400_000
 
 
@@ -165,7 +167,7 @@ class _Words(dict):
 class Encoder:
     """Feed a text in pieces of any size; ids come out, as bytes of little-endian unsigned 32-bit integers, once stable."""
 
-    def __init__(self, table: MergeTable, longest: int = CHUNK, words_kept: int = WORDS_KEPT):
+    def __init__(self, table: MergeTable, longest: int = PIECE, words_kept: int = WORDS_KEPT):
         self.table, self.longest = table, longest
         self.words = _Words(table, words_kept)
         self.pattern = regex.compile(PRETOKEN)
@@ -198,8 +200,6 @@ class Encoder:
 
     def encode(self, text: str) -> bytes:
         """All ids of a text, fed in pieces."""
-        if len(text) <= self.longest and not (self.cut and self.cut.search(text)):
-            return b"".join(map(self.words.__getitem__, self.pattern.findall(text)))
         out = [ids for at in range(0, len(text), self.longest) for ids in self.feed(text[at : at + self.longest])]
         return b"".join([*out, *self.finish()])
 
@@ -209,13 +209,10 @@ class Encoder:
             yield from self._go_on(final)
         if self.long or not self.text:
             return
-        stable, end = len(self.text) if final else len(self.text) - PATTERN_LOOKAHEAD, 0
-        words = []
-        for m in self.pattern.finditer(self.text):
-            if m.end() > stable:
-                break
-            words.append(m[0])
-            end = m.end()
+        stable, end = len(self.text) if final else len(self.text) - PATTERN_LOOKAHEAD, len(self.text)
+        words = self.pattern.findall(self.text)  # every character is in a match
+        while words and end > stable:
+            end -= len(words.pop())
         yield b"".join(map(self.words.__getitem__, words))
         self.text = self.text[end:]
         if len(self.text) > self.longest + 8:  # no match ends before the last few characters: one pre-token without an end yet
