@@ -20,8 +20,6 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .shared import materialise
-
 WORD = re.compile(r"[^\W_]+")
 #: Code points of text that are worked on at a time, and words of items that one pass over the documents takes.
 BITE, BLOCK_WORDS = 1 << 21, 1 << 20
@@ -201,38 +199,57 @@ class Index:
         return [np.fromiter(map(known.get, words_of(t), repeat(0)), np.int64) for t in texts]
 
 
+def _found(index: Index, ids: list, texts: list[str | None]) -> list[tuple]:
+    """Rows of MATCHES. Documents lie end to end, with gaps that no match can cross, so that each step works on many."""
+    gap = np.zeros(2 * index.longest + 2, np.int64)
+    numbers = index.number(texts)
+    firsts = np.cumsum([0] + [len(x) + len(gap) for x in numbers])
+    line = np.concatenate([y for x in numbers for y in (x, gap)])
+    hits: dict[int, list[tuple[int, int]]] = {}
+    found = sorted(index.candidates(line))
+    starts = np.array([s for s, _ in found], dtype=np.int64) + index.longest  # an item may begin a little before its document does
+    for (start, item), k in zip(found, (np.searchsorted(firsts, starts, "right") - 1).tolist(), strict=True):
+        hits.setdefault(k, []).append((start - int(firsts[k]), item))
+    return [(ids[k], item, *m) for k, near in hits.items() for item, m in index.matches(numbers[k], near).items()]
+
+
+def _bites(texts: list[str | None]) -> Iterator[tuple[int, int]]:
+    """(first, end) of runs of texts of about BITE code points."""
+    first, size = 0, 0
+    for i, t in enumerate(texts):
+        size += len(t or "")
+        if size > BITE:
+            yield first, i + 1
+            first, size = i + 1, 0
+    if first < len(texts):
+        yield first, len(texts)
+
+
 def _search(index: Index):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        gap = np.zeros(2 * index.longest + 2, np.int64)
-
-        def work(ids: list, texts: list) -> list[tuple]:
-            """Documents lie end to end, with gaps that no match can cross, so that each step works on many."""
-            numbers = index.number(texts)
-            firsts = np.cumsum([0] + [len(x) + len(gap) for x in numbers])
-            line = np.concatenate([y for x in numbers for y in (x, gap)])
-            hits: dict[int, list[tuple[int, int]]] = {}
-            found = sorted(index.candidates(line))
-            starts = np.array([s for s, _ in found], dtype=np.int64) + index.longest  # an item may begin a little before its document does
-            for (start, item), k in zip(found, (np.searchsorted(firsts, starts, "right") - 1).tolist(), strict=True):
-                hits.setdefault(k, []).append((start - int(firsts[k]), item))
-            return [(ids[k], item, *m) for k, near in hits.items() for item, m in index.matches(numbers[k], near).items()]
-
         for b in batches:
-            rows, ids, texts, size = [], [], [], 0
-            for i, t in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
-                ids.append(i)
-                texts.append(t)
-                size += len(t or "")
-                if size > BITE:
-                    rows += work(ids, texts)
-                    ids, texts, size = [], [], 0
-            rows += work(ids, texts) if ids else []
+            ids, texts = b.column(0).to_pylist(), b.column(1).to_pylist()
+            rows = [r for first, end in _bites(texts) for r in _found(index, ids[first:end], texts[first:end])]
             kinds = (pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.int64(), pa.int64())
             yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], k) for i, k in enumerate(kinds)], names=MATCHES.replace(",", "").split()[::2])
 
     return run
 
 
+def _holds(index: Index):
+    """A column function: whether a text holds any of the index's items."""
+
+    def run(texts: pa.Array) -> pa.Array:
+        all_ = texts.to_pylist()
+        held = np.zeros(len(all_), bool)
+        for first, end in _bites(all_):
+            held[[r[0] for r in _found(index, list(range(first, end)), all_[first:end])]] = True
+        return pa.array(held)
+
+    run.__annotations__ = {"texts": pa.Array, "return": pa.Array}
+    return lambda text: F.arrow_udf(run, "boolean")(text)
+
+
 def item_blocks(items: DataFrame, block_words: int = BLOCK_WORDS) -> Iterator[list[tuple[int, list[str]]]]:
     """The items in blocks of about block_words words: what one pass takes to the workers has this bound."""
     block, size = [], 0
@@ -247,6 +264,10 @@ def item_blocks(items: DataFrame, block_words: int = BLOCK_WORDS) -> Iterator[li
         yield block
 
 
+def _items(benchmark: DataFrame) -> DataFrame:
+    return benchmark.select(F.col("item_id").cast("long").alias("item_id"), F.col("text").cast("string").alias("text")).where("item_id is not null and text is not null")
+
+
 def find_contamination(docs: DataFrame, benchmark: DataFrame, settings: Settings = Settings(), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """A row for each document and benchmark item that it holds, with the edits and the words of the best place.
 
@@ -256,15 +277,16 @@ def find_contamination(docs: DataFrame, benchmark: DataFrame, settings: Settings
     items, no shuffle. No documents or no items: an empty result.
     """
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
-    items = benchmark.select(F.col("item_id").cast("long").alias("item_id"), F.col("text").cast("string").alias("text")).where("item_id is not null and text is not null")
     out = None
-    for block in item_blocks(items):
+    for block in item_blocks(_items(benchmark)):
         found = rows.mapInArrow(_search(Index(block, settings)), MATCHES)
         out = found if out is None else out.union(found)
     return out if out is not None else docs.sparkSession.createDataFrame([], MATCHES)
 
 
-def without_contaminated(docs: DataFrame, benchmark: DataFrame, settings: Settings = Settings(), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """docs without those that hold an item; rows with a null id stay unless their text matches is unknown, so they stay."""
-    found = materialise(find_contamination(docs, benchmark, settings, id_col, text_col).where("doc_id is not null").select("doc_id").distinct(), "contaminated")
-    return docs.join(found.withColumnRenamed("doc_id", "__held"), F.col(id_col) == F.col("__held"), "left_anti")
+def without_contaminated(docs: DataFrame, benchmark: DataFrame, settings: Settings = Settings(), text_col: str = "text") -> DataFrame:
+    """docs without the rows whose text holds an item. Each row is judged by its own text, whatever its id: rows without
+    an id and rows that share one too. Null and empty texts stay; no items: all stay. One pass for each block of items."""
+    for block in item_blocks(_items(benchmark)):
+        docs = docs.where(~_holds(Index(block, settings))(F.col(text_col).cast("string")))
+    return docs

@@ -84,3 +84,11 @@ def test_cases(spark):
     assert sorted(r.doc_id for r in without_contaminated(docs, bench).collect() if r.doc_id is not None) == [0, 1, 5, 6]
     assert find_contamination(docs.limit(0), bench).count() == 0 == find_contamination(docs, bench.limit(0)).count()
     assert [len(b) for b in item_blocks(bench.select("item_id", "text").where("text is not null"), 12)] == [1, 2, 1, 1] and Settings().similarity == 0.8
+
+
+def test_rows_without_an_id_are_judged_by_their_text(spark):
+    item = "alpha beta gamma delta epsilon zeta eta theta iota kappa lambda mu"
+    bench = spark.createDataFrame([(1, item)], "item_id long, text string")
+    docs = spark.createDataFrame([(None, item), (None, "clean " * 20), (7, item), (7, "clean too " * 20), (None, None)], "doc_id long, text string")
+    assert sorted(map(str, without_contaminated(docs, bench).collect())) == sorted(map(str, docs.where("text is null or text like 'clean%'").collect()))
+    assert without_contaminated(docs, bench.limit(0)).count() == 5 and without_contaminated(docs.limit(0), bench).count() == 0
