@@ -28,8 +28,8 @@ from .shared import remove, tidy
 
 WINDOW, LEAST, MOST, MEAN_BITS = 16, 64, 2048, 8
 FANOUT = 1024
-#: Pieces, and words inside them, that a Python worker remembers: about 200 bytes each.
-PIECES_KEPT, WORDS_KEPT = 300_000, 700_000
+#: Words of letters alone, and other pieces, that a Python worker remembers: about 200 bytes each.
+PLAIN_KEPT, OTHER_KEPT = 800_000, 200_000
 #: Bytes of text that are worked on at a time.
 BITE = 1 << 22
 ENCODED = "doc_id long, n_tokens long, digests array<binary>, data array<binary>"
@@ -86,6 +86,8 @@ class Kept(dict):
 NORMALISER = [{"type": "NFC"}, {"type": "Replace", "pattern": {"Regex": "\\s+"}, "content": " "}, {"type": "Lowercase"}]
 SPLIT = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
 WORD_END = "</w>"
+#: Letters of Latin-1, and marks that close a word, as parts of a pattern.
+LATIN, CLOSING = "A-Za-z\u00aa\u00b5\u00ba\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u00ff", ".,;:!?"
 
 
 def takes_apart(spec: dict) -> bool:
@@ -101,12 +103,12 @@ def takes_apart(spec: dict) -> bool:
 class WordEncoder:
     """The public library's ids, by pieces between spaces: its rules never look across one. Pieces are remembered.
 
-    A batch's texts are split and its distinct pieces found in Arrow; ids are put together by numpy. A new piece that is a
-    word and one closing mark is taken apart, and words in Latin letters are looked up in lower case, as the library would
-    do itself, and by its model alone. A file with another normaliser or split is left to the library as a whole.
+    A batch's texts are split and its distinct pieces found in Arrow; ids are put together by numpy. A piece that is a word
+    and one closing mark is taken apart, and words in Latin letters are looked up in lower case, as the library would do
+    itself, and by its model alone. A file with another normaliser or split is left to the library as a whole.
     """
 
-    def __init__(self, path: str, pieces_kept: int = PIECES_KEPT, words_kept: int = WORDS_KEPT):
+    def __init__(self, path: str, plain_kept: int = PLAIN_KEPT, other_kept: int = OTHER_KEPT):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
@@ -118,7 +120,7 @@ class WordEncoder:
         with open(path, encoding="utf-8") as f:
             self.apart = takes_apart(json.load(f))
         self.alphabet = {b: ord(c) for c, b in byte_alphabet().items()}
-        self.pieces, self.words = Kept(pieces_kept), Kept(words_kept)
+        self.plain, self.other = Kept(plain_kept), Kept(other_kept)
 
     def encode(self, texts: list[str]) -> list[bytes]:
         """For each text its ids as little-endian integers of self.dtype."""
@@ -135,71 +137,65 @@ class WordEncoder:
             return np.array([i for c in coded for i in c], self.dtype), np.array([len(c) for c in coded], np.int64)
         texts = pc.fill_null(texts.cast(pa.large_string()), "")
         parts = pc.split_pattern(pc.replace_substring(texts, "\n", " "), " ")
-        distinct = pc.dictionary_encode(parts.flatten())
-        coded = self._coded(distinct.dictionary.to_pylist())
+        pieces = pc.dictionary_encode(parts.flatten())
+        which, piece = pieces.indices.to_numpy(), pieces.dictionary
+        # only after a Latin-1 letter: others may gain marks of their own in lower case (as the dotted capital I does) or
+        # in normal form, and those join with what follows
+        marked = pc.match_substring_regex(piece, f"[{LATIN}][{CLOSING}]$")
+        word = pc.if_else(marked, pc.utf8_slice_codeunits(piece, 0, -1), piece)
+        mark = pc.if_else(marked, pc.utf8_slice_codeunits(piece, -1), "")
+        plain = pc.match_substring_regex(word, f"^[{LATIN}]+$")
+        words = pc.dictionary_encode(pc.if_else(plain, pc.utf8_lower(word), word))
+        marks = pc.dictionary_encode(mark)
+        coded = self._coded(words.dictionary) + [self._small(m) for m in marks.dictionary.to_pylist()]
         size = np.fromiter(map(len, coded), np.int64, len(coded)) // self.dtype.itemsize
         table, first = np.frombuffer(b"".join(coded), self.dtype), np.cumsum(size) - size
-        which = distinct.indices.to_numpy()
-        n = size[which]
+        pair = np.column_stack([words.indices.to_numpy(), marks.indices.to_numpy() + len(words.dictionary)])
+        part = pair[which].ravel()
+        n = size[part]
         upto = np.concatenate([[0], np.cumsum(n)])
-        ids = table[np.repeat(first[which] - upto[:-1], n) + np.arange(upto[-1])]
-        edges = parts.offsets.to_numpy() - parts.offsets[0].as_py()
+        ids = table[np.repeat(first[part] - upto[:-1], n) + np.arange(upto[-1])]
+        edges = 2 * (parts.offsets.to_numpy() - parts.offsets[0].as_py())
         return ids, np.diff(upto[edges])
 
-    def _coded(self, distinct: list[str]) -> list[bytes]:
-        self.pieces.trim()
-        self.words.trim()
-        pieces, words, old_pieces, old_words = self.pieces, self.words, self.pieces.old, self.words.old
-        found = list(map(pieces.get, distinct))
-        fresh: list[tuple[int, str, str]] = []
-        missing: set[str] = set()
-        for i, known in enumerate(found):
-            if known is not None:
-                continue
-            piece = distinct[i]
-            if (known := old_pieces.get(piece)) is not None:
-                found[i] = pieces[piece] = known
-                continue
-            word, mark = self._apart(piece)
-            fresh.append((i, word, mark))
-            for w in (word, mark) if mark else (word,):
-                if w not in words:
-                    if (known := old_words.get(w)) is not None:
-                        words[w] = known
-                    else:
-                        missing.add(w)
-        self._look_up(missing)
-        for i, word, mark in fresh:
-            found[i] = pieces[distinct[i]] = words[word] + words[mark] if mark else words[word]
-        return found
-
-    @staticmethod
-    def _apart(piece: str) -> tuple[str, str]:
-        """(word, closing mark). Only after a Latin-1 letter: others may gain marks of their own in lower case (as the
-        dotted capital I does) or in normal form, and those join with what follows."""
-        mark = piece[-1] if len(piece) > 1 and piece[-1] in ".,;:!?" and piece[-2] <= "\xff" and piece[-2].isalpha() else ""
-        word = piece[:-1] if mark else piece
-        if word.isalpha() and (word.isascii() or max(word) <= "\xff"):
-            word = word.lower()
-        return word, mark
-
-    def _look_up(self, missing: set[str]) -> None:
-        plain = [w for w in missing if w.isalpha() and max(w) <= "\xff"]
-        rest = [w for w in missing if not (w.isalpha() and max(w) <= "\xff")]
-        # a plain word is one word of the split, in lower case and normal form: what is left to do is the model's
+    def _coded(self, words: pa.Array) -> list[bytes]:
+        """The ids of distinct words, in their order: those of letters alone, in lower case, and all others."""
+        plain = pc.match_substring_regex(words, f"^[{LATIN}]+$").to_numpy(zero_copy_only=False)
+        out: list[bytes] = [b""] * len(words)
+        for kept, mask, look_up in ((self.plain, plain, self._by_model), (self.other, ~plain, self._by_library)):
+            at = np.flatnonzero(mask)
+            some = words.take(pa.array(at)).to_pylist()
+            kept.trim()
+            found = list(map(kept.get, some))
+            if None in found:
+                old, missing = kept.old.get, []
+                for i, known in enumerate(found):
+                    if known is None:
+                        if (known := old(some[i])) is None:
+                            missing.append(i)
+                        else:
+                            found[i] = kept[some[i]] = known
+                for i, ids in zip(missing, look_up([some[i] for i in missing]), strict=True):
+                    found[i] = kept[some[i]] = ids
+            for i, ids in zip(at.tolist(), found, strict=True):
+                out[i] = ids
+        return out
+
+    def _small(self, mark: str) -> bytes:
+        return self._by_library([mark])[0] if mark else b""
+
+    def _by_model(self, words: list[str]) -> list[bytes]:
+        """A plain word is one word of the split, in lower case and normal form: what is left to do is the model's."""
         coded, sizes, tokenize = [], [], self.library.model.tokenize
-        for w in plain:
+        for w in words:
             tokens = tokenize(w if w.isascii() else w.encode().decode("latin-1").translate(self.alphabet))
             coded += [t.id for t in tokens]
             sizes.append(len(tokens))
-        data, last = np.array(coded, dtype=self.dtype).tobytes(), 0
-        for w, end in zip(plain, (np.cumsum(sizes, dtype=np.int64) * self.dtype.itemsize).tolist(), strict=True):
-            self.words[w] = data[last:end]
-            last = end
-        for at in range(0, len(rest), 4096):
-            some = rest[at : at + 4096]
-            for w, e in zip(some, self.library.encode_batch_fast(some, add_special_tokens=False), strict=True):
-                self.words[w] = np.array(e.ids, dtype=self.dtype).tobytes()
+        data, ends = np.array(coded, dtype=self.dtype).tobytes(), np.cumsum([0, *sizes]) * self.dtype.itemsize
+        return [data[a:b] for a, b in zip(ends[:-1].tolist(), ends[1:].tolist(), strict=True)]
+
+    def _by_library(self, words: list[str]) -> list[bytes]:
+        return [np.array(e.ids, dtype=self.dtype).tobytes() for at in range(0, len(words), 4096) for e in self.library.encode_batch_fast(words[at : at + 4096], add_special_tokens=False)]
 
 
 @lru_cache(maxsize=2)
