@@ -178,7 +178,7 @@ def frame_round(scored: DataFrame, head: int, need: int, n: int, config: RunConf
     c, at, bought = Collector(n, need, config, round_no=round_no, trace=trace), head, {}
     while at < n and c.bought < need:
         size = min(piece_rows, max(need - c.bought, c.seen), n - at)
-        pos, margin, label = _numbers(scored.where(F.col("stream_pos").between(at, at + size - 1)), "label")
+        pos, margin, label = numbers(scored.where(F.col("stream_pos").between(at, at + size - 1)), "label")
         bought |= {int(pos[i]): int(label[i]) for i in c.feed(margin, label)}
         at += size
     places = scored.sparkSession.createDataFrame([(p,) for p in bought], "stream_pos bigint")
@@ -186,7 +186,7 @@ def frame_round(scored: DataFrame, head: int, need: int, n: int, config: RunConf
     return rows, rows[-1].stream_pos + 1 if c.bought == need else n
 
 
-def _numbers(rows: DataFrame, *more: str) -> list[np.ndarray]:
+def numbers(rows: DataFrame, *more: str) -> list[np.ndarray]:
     """stream_pos, margin_micro and other whole numbers of rows, in the order of stream_pos: a bounded piece."""
     table = rows.select(*(F.col(c).cast("bigint") for c in ("stream_pos", "margin_micro", *more))).toArrow().sort_by("stream_pos")
     return [table[c].to_numpy() for c in table.column_names]
@@ -244,12 +244,12 @@ def _band_round(stream: DataFrame, run: Run, model: students.Student, annotator:
             piece = piece.join(F.broadcast(taken), "stream_pos", "left_anti")
         if inline is not None:
             piece = piece.withColumn("label", inline)
-        pos, margin, *label = _numbers(students.score(piece, model), *(["label"] if inline is not None else []))
+        pos, margin, *label = numbers(students.score(piece, model), *(["label"] if inline is not None else []))
         run.scored += len(pos)
 
         def ask(at: np.ndarray) -> np.ndarray:
             """Blocks of a piece are asked one after the other, each at once: the next block's band hangs on the answers."""
-            got = label[0][at] if label else _asked(stream, annotator, pos[at])
+            got = label[0][at] if label else asked(stream, annotator, pos[at])
             verdicts.update(zip(pos[at].tolist(), got.tolist(), strict=True))
             return got
 
@@ -258,7 +258,7 @@ def _band_round(stream: DataFrame, run: Run, model: students.Student, annotator:
     return positions, verdicts, positions[-1] + 1 if c.bought == need else n
 
 
-def _asked(stream: DataFrame, annotator: Annotator, positions: np.ndarray) -> np.ndarray:
+def asked(stream: DataFrame, annotator: Annotator, positions: np.ndarray) -> np.ndarray:
     want = stream.sparkSession.createDataFrame([(int(p),) for p in positions], "stream_pos bigint")
     rows = stream.where(F.col("stream_pos").between(int(positions.min()), int(positions.max()))).join(F.broadcast(want), "stream_pos")
     got = {r.stream_pos: r.verdict for r in annotator.ask(rows.select("snippet_id", "stream_pos", "text")).select("stream_pos", "verdict").collect()}

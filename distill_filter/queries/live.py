@@ -10,7 +10,8 @@ from ..functions import udfs
 from ..sources.tables import materialise, shared_dir, table
 from ..streaming import live
 from . import twins
-from .methods import ROUND, SCORED, SEED, SNIPS, first_student, m06, round_sql, scored, stream, with_sql
+from ..plans.active import RuleAnnotator
+from .methods import BLOCKS, ENGINE, ROUND, SCORED, SEED, SNIPS, STREAM, engine_sql, first_student, m06, round_sql, scored, stream, with_sql
 from .registry import query
 
 
@@ -97,6 +98,51 @@ def m18(spark, sf):
     return live.collect_live(arrivals, model, "quality", n, SEED, ROUND).select("snippet_id", "stream_pos", "verdict")
 
 
+def arriving(spark, rows, parts) -> str:
+    """rows written as one folder for each part, in order of arrival; returns a pattern that a file stream reads them by."""
+    path = f"{shared_dir(spark)}/live-arrivals-{uuid.uuid4().hex}"
+    for k, part in enumerate(parts):
+        rows.where(part).coalesce(1).write.parquet(f"{path}/part={k}")
+    return f"{path}/part=*"
+
+
+@query("m18b_live_rounds", engine_sql("SELECT round::INT AS round, snippet_id, stream_pos, verdict FROM e_lab"))
+def m18b(spark, sf):
+    """The whole loop on live arrivals, refits and all: its labels are those of the batch run."""
+    rows = stream(spark, sf).select("snippet_id", "stream_pos", "text")
+    n = rows.count()
+    edges = [0, 300, 1000, 1777, 4000, n + 4001]
+    path = arriving(spark, rows, [F.col("stream_pos").between(a, b - 1) for a, b in zip(edges, edges[1:])])
+    got = live.run_live(live.file_stream(spark, path, rows.schema), RuleAnnotator("quality"), n, ENGINE)
+    return got.select("round", "snippet_id", "stream_pos", "verdict")
+
+
+LATE = "(doc_id % 50 = 7 AND doc_id < (SELECT max(doc_id) - 2 FROM documents))"
+IN_ORDER = f"{STREAM}, fed AS (SELECT snippet_id, text, label, n_tokens, row_number() OVER (ORDER BY doc_id, seq) - 1 AS stream_pos FROM stream WHERE NOT {LATE}), {twins.rounds(ENGINE, BLOCKS, 'e', 'fed')}"
+
+
+@query("w13b_live_documents", with_sql(IN_ORDER, "SELECT round::INT AS round, snippet_id, verdict FROM e_lab"))
+def w13b(spark, sf):
+    """Documents arrive in order of their ids, one an hour; each fiftieth comes when all others are there, too late for
+    the watermark. The loop runs on what is on time, in the order of arrival."""
+    hours = F.timestamp_seconds(1_700_000_000 + F.col("doc_id") * 3600)  # well after the time that a watermark starts from
+    top = table(spark, sf, "documents", ["doc_id"]).agg(F.max("doc_id")).first()[0] or 0
+    late = (F.col("doc_id") % 50 == 7) & (F.col("doc_id") < top - 2)
+    rows = stream(spark, sf).select("snippet_id", "text", "doc_id", (F.col("doc_id") * (1 << 20) + F.col("seq")).alias("stream_pos"), hours.alias("arrived"))
+    step = top // 3 + 1
+    parts = [~late & F.col("doc_id").between(k * step, (k + 1) * step - 1) for k in range(3)]
+    path = arriving(spark, rows, [*parts, late])
+    fed = live.on_time(live.file_stream(spark, path, rows.schema), "arrived", "1 hour", "snippet_id")
+    n = rows.where(~late).count()
+    return live.run_live(fed, RuleAnnotator("quality"), n, ENGINE).select("round", "snippet_id", "verdict")
+
+
+@query("t03b_session_stream", "SELECT user_id, min(ts) AS start, count(*) AS n FROM (SELECT *, sum(new) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS s FROM (SELECT *, CASE WHEN lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) + INTERVAL 30 MINUTE >= ts THEN 0 ELSE 1 END AS new FROM events)) GROUP BY user_id, s")
+def t03b(spark, sf):
+    """t03's sessions as a stream."""
+    return live.drain(live.sessions(event_stream(spark, sf)), "complete").select("user_id", F.col("w.start").cast("timestamp_ntz").alias("start"), "n")
+
+
 @query("w13_live_stream", HOURLY)
 def w13(spark, sf):
     return t01(spark, sf)

@@ -11,17 +11,18 @@ import copy
 import json
 import pickle
 import uuid
+from dataclasses import dataclass
 
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..config import RunConfig
+from ..config import RunConfig, StudentConfig
 from ..operators import students, threshold
 from ..operators.teacher import verdict
-from ..plans.active import Collector
-from ..sources.tables import shared_dir
+from ..plans.active import LABELS, Annotator, Collector, asked, numbers
+from ..sources.tables import remove, shared_dir
 
 
 def collect_live(arrivals: DataFrame, model: students.Student, spec: str, n: int, need: int, config: RunConfig, state_dir: str | None = None) -> DataFrame:
@@ -58,6 +59,98 @@ def collect_live(arrivals: DataFrame, model: students.Student, spec: str, n: int
     return spark.read.parquet(f"{base}/labels").select("snippet_id", "stream_pos", "verdict", "batch_id")
 
 
+@dataclass
+class LiveState:
+    """What a live run carries from batch to batch: numbers alone. The student is fitted anew from its labels."""
+
+    bought: int = 0
+    head: int = -(1 << 62)
+    fitted_on: int = 0
+    collector: Collector | None = None
+
+    def dump(self) -> str:
+        c = self.collector
+        held = None if c is None else {**{k: getattr(c, k) for k in ("n", "need", "seen", "lo", "hi", "bought", "round_no")}, "top": c.counts.top, "pairs": c.counts.pairs.tolist(), "times": c.counts.times.tolist()}
+        return json.dumps({"bought": self.bought, "head": self.head, "fitted_on": self.fitted_on, "collector": held})
+
+    @staticmethod
+    def load(text: str, config: RunConfig) -> LiveState:
+        found = json.loads(text)
+        if held := found["collector"]:
+            counts = threshold.Counts(config.unlabelled)
+            counts.top, counts.pairs, counts.times = held.pop("top"), np.array(held.pop("pairs"), np.int64), np.array(held.pop("times"), np.int64)
+            found["collector"] = Collector(config=config, counts=counts, **held)
+        return LiveState(**found)
+
+
+def run_live(arrivals: DataFrame, annotator: Annotator, n: int, config: RunConfig, student: StudentConfig = StudentConfig(), state_dir: str | None = None) -> DataFrame:
+    """The whole loop over a stream of (snippet_id, stream_pos, text), stream_pos rising: seed, rounds, a refit after each
+    `batch` labels, the next round from the row after. Returns the labels (ord, round, snippet_id, stream_pos, verdict).
+
+    They are those of a batch run over the same rows, wherever batches are cut. Margins are computed in tasks; the driver
+    gets positions and margins of a batch, and asks for what is bought alone. A batch's labels and the state after it are
+    files of that batch: one that is run again after a failure replaces them, from the state of the batch before.
+    """
+    spark = arrivals.sparkSession
+    base = state_dir or f"{shared_dir(spark)}/live-{uuid.uuid4().hex}"
+    most = config.budget + config.batch * (config.budget_mode == "extra")
+    models: dict[int, students.Student] = {}
+
+    def labels(upto: int) -> DataFrame:
+        return spark.read.schema(LABELS).parquet(f"{base}/labels/batch=*").where(F.col("ord") < upto)
+
+    def model_of(fitted_on: int) -> students.Student:
+        if fitted_on not in models:  # a new round, or the driver was started anew
+            models.clear()
+            models[fitted_on] = students.fit(labels(fitted_on).select("text", "verdict"), student)
+        return models[fitted_on]
+
+    def take(batch: DataFrame, batch_id: int) -> None:
+        now = LiveState.load(spark.read.text(f"{base}/state/batch={batch_id - 1}", wholetext=True).first()[0], config) if batch_id else LiveState()
+        own = f"{base}/labels/batch={batch_id}"
+        remove(spark, own)
+        spark.createDataFrame([], LABELS).write.parquet(own)
+        rows = batch.select("snippet_id", "stream_pos", "text").persist()
+
+        def buy(positions: list[int], round_no: int) -> None:
+            order = spark.createDataFrame([(p, now.bought + i) for i, p in enumerate(positions)], "stream_pos bigint, ord bigint")
+            mine = rows.join(F.broadcast(order), "stream_pos")
+            said = annotator.ask(mine.select("snippet_id", "stream_pos", "text")).select("stream_pos", "verdict")
+            mine.join(said, "stream_pos").select("ord", F.lit(round_no).alias("round"), "snippet_id", "stream_pos", "text", "verdict").coalesce(1).write.mode("append").parquet(own)
+            now.bought += len(positions)
+
+        def next_round() -> None:
+            now.fitted_on, round_no = now.bought, 1 + (now.collector.round_no if now.collector else 0)
+            now.collector = Collector(n, min(config.batch, most - now.bought), config, round_no=round_no)
+
+        while now.bought < most and (now.collector is None or now.collector.round_no <= config.rounds):
+            rest = rows.where(F.col("stream_pos") >= now.head)
+            if now.collector is None:  # the seed
+                got = [r.stream_pos for r in rest.select("stream_pos").orderBy("stream_pos").limit(config.batch - now.bought).collect()]
+                if not got:
+                    break
+                buy(got, 0)
+                now.head = got[-1] + 1
+                if now.bought == config.batch:
+                    next_round()
+                continue
+            pos, margin = numbers(students.score(rest, model_of(now.fitted_on)))
+            if not len(pos):
+                break
+            places = pos[now.collector.feed(margin, lambda at, pos=pos: asked(rows, annotator, pos[at]))].tolist()
+            if places:
+                buy(places, now.collector.round_no)
+            done = now.collector.bought == now.collector.need
+            now.head = (places[-1] if done else int(pos[-1])) + 1
+            if done:
+                next_round()
+        rows.unpersist()
+        spark.createDataFrame([(now.dump(),)], "state string").coalesce(1).write.mode("overwrite").text(f"{base}/state/batch={batch_id}")
+
+    arrivals.writeStream.foreachBatch(take).option("checkpointLocation", f"{base}/checkpoint").trigger(availableNow=True).start().awaitTermination()
+    return spark.read.schema(LABELS).parquet(f"{base}/labels/batch=*").drop("text")
+
+
 def score_live(arrivals: DataFrame, weights: DataFrame) -> DataFrame:
     """A stream joined with a static table of weights: the margin of each arrival's tokens, exploded and summed by a batch twin elsewhere."""
     from ..functions.text import features
@@ -85,6 +178,11 @@ def sliding(events: DataFrame) -> DataFrame:
     return events.groupBy(F.window("ts", "2 hours", "1 hour").alias("w")).agg(F.count("*").alias("n"))
 
 
+def on_time(arrivals: DataFrame, time: str, delay: str, key: str) -> DataFrame:
+    """Arrivals, each once, without those that come later than the watermark allows."""
+    return arrivals.withWatermark(time, delay).dropDuplicatesWithinWatermark([key])
+
+
 def sessions(events: DataFrame) -> DataFrame:
     return events.groupBy(F.session_window("ts", "30 minutes").alias("w"), "user_id").agg(F.count("*").alias("n"))
 
