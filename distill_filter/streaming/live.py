@@ -111,6 +111,7 @@ def run_live(arrivals: DataFrame, annotator: Annotator, n: int, config: RunConfi
         remove(spark, own)
         spark.createDataFrame([], LABELS).write.parquet(own)
         rows = batch.select("snippet_id", "stream_pos", "text").persist()
+        rows.count()  # all of a batch is read, also where the budget is spent: state before it must be committed whole
 
         def buy(positions: list[int], round_no: int) -> None:
             order = spark.createDataFrame([(p, now.bought + i) for i, p in enumerate(positions)], "stream_pos bigint, ord bigint")
