@@ -2,10 +2,12 @@
 
 Words are the symbols. A walk reads a word, writes it down, and moves on or stays put by a random bit of that word and
 step; two texts that differ by few edits write mostly the same words at the same steps, so their edit distance shows as
-Hamming distance. A repetition draws bits, a place in the items to start at, and a few steps to sample; the sampled
-words are its key. Walks start at every word of a document around which a window of an item's size could match: there
-enough words must be in the items' vocabulary, a bound that loses nothing. Windows that share a key with an item in any
-repetition are checked by exact edit distance, so nothing is reported that is not a match.
+Hamming distance. Walks go through a whole window of an item's size, in twice as many steps as it has words. A repetition
+draws the bits and a few steps from all over the walk; the words written there are its key. Walks start at every word of
+a document from which a window could match: an edit breaks at most q runs of q words, so a window that matches holds a
+known number of the items' runs, a bound that loses nothing. Windows that share a key with an item in any repetition are
+checked by exact edit distance, so nothing is reported that is not a match. Items too short to sample are found exactly:
+each of their matches holds one of their runs unbroken.
 """
 
 from __future__ import annotations
@@ -23,22 +25,27 @@ from pyspark.sql import functions as F
 WORD = re.compile(r"[^\W_]+")
 #: Code points of text that are worked on at a time, and words of items that one pass over the documents takes.
 BITE, BLOCK_WORDS = 1 << 21, 1 << 20
+#: Starts that walk at a time.
+WALKS = 1 << 13
+#: Spreads the number of a step over 64 bits.
+ODD = 0x9E3779B97F4A7C15
 MATCHES = "doc_id long, item_id long, edit_distance int, item_words int, start_word long, end_word long"
 
 
 @dataclass(frozen=True)
 class Settings:
-    """similarity: 1 - edits / item words, at least; min_words: shorter items are not looked for.
+    """similarity: 1 - edits / item words, at least; min_words: shorter items are not looked for (1: all are).
 
-    repetitions of `sampled` words in the first `steps` steps reach the target recall of 0.95 at the least similarity:
-    tests measure it. Items are handled in classes whose lengths differ by `ratio` at most.
+    repetitions of `sampled` steps each reach the target recall of 0.95 at the least similarity: tests measure it, with
+    edits spread and in clusters. Items are handled in classes whose lengths differ by `ratio` at most. Items of fewer
+    than `sample_from` words are looked up by all their runs instead, without a loss.
     """
 
     similarity: float = 0.8
-    min_words: int = 8
-    repetitions: int = 24
+    min_words: int = 1
+    repetitions: int = 48
     sampled: int = 3
-    steps: int = 12
+    sample_from: int = 8
     ratio: float = 1.25
     seed: int = 11
 
@@ -80,15 +87,32 @@ def masks_of(item: list[int]) -> dict[int, int]:
     return masks
 
 
+def runs_of(words: np.ndarray, q: int) -> np.ndarray:
+    """A number for the run of q words at each place; 0 where a word is unknown or the text ends."""
+    n = len(words) - q + 1
+    if n <= 0:
+        return np.zeros(len(words), np.int64)
+    number, whole = np.zeros(n, np.int64), np.ones(n, bool)
+    for k in range(q):
+        number = number * 1_000_003 + words[k : k + n]
+        whole &= words[k : k + n] > 0
+    return np.concatenate([np.where(whole, number, 0), np.zeros(q - 1, np.int64)])
+
+
 @dataclass
 class Class:
-    """Items of about the same length, with the keys of each repetition sorted for look-up."""
+    """Items of about the same length: their runs of q words, and the keys of each repetition sorted for look-up."""
 
     least: int
     most: int
     edits: int
-    known: np.ndarray
-    keys: list[tuple[int, np.ndarray, np.ndarray]] = field(default_factory=list)
+    q: int
+    need: int
+    runs: np.ndarray
+    #: Of short items: run, place in the item and place in self.items, sorted by run.
+    holders: tuple[np.ndarray, np.ndarray, np.ndarray] | None = None
+    steps: np.ndarray | None = None
+    keys: list[tuple[np.ndarray, np.ndarray]] = field(default_factory=list)
 
 
 class Index:
@@ -97,81 +121,99 @@ class Index:
     def __init__(self, items: list[tuple[int, list[str]]], settings: Settings = Settings()):
         self.settings = settings
         self.vocabulary: dict[str, int] = {}
-        self.items = [(i, [self.vocabulary.setdefault(w, len(self.vocabulary) + 1) for w in ws]) for i, ws in items if len(ws) >= settings.min_words]
+        self.items = [(i, [self.vocabulary.setdefault(w, len(self.vocabulary) + 1) for w in ws]) for i, ws in items if len(ws) >= max(1, settings.min_words)]
         self.items.sort(key=lambda x: (len(x[1]), x[0]))
         rng = np.random.default_rng(settings.seed)
-        self.walks = []
-        for r in range(settings.repetitions):
-            bits = rng.integers(0, 1 << 63, len(self.vocabulary) + 1, dtype=np.int64)
-            steps = np.sort(rng.choice(settings.steps, settings.sampled, replace=False))
-            self.walks.append((r / settings.repetitions, bits, steps))
+        self.bits = rng.integers(0, 1 << 64, (settings.repetitions, len(self.vocabulary) + 1), dtype=np.uint64)
         self.classes: list[Class] = []
         at = 0
         while at < len(self.items):
             least = len(self.items[at][1])
+            short = least < settings.sample_from
             end = at
-            while end < len(self.items) and len(self.items[end][1]) <= least * settings.ratio:
+            while end < len(self.items) and (n := len(self.items[end][1])) <= least * (1 if short else settings.ratio):
                 end += 1
-            self.classes.append(self._class(at, end))
+            self.classes.append(self._class(at, end, short, rng))
             at = end
         self.longest = max([0, *(len(ws) for _, ws in self.items)])
         self.masks = [masks_of(ws) for _, ws in self.items]
 
-    def _class(self, at: int, end: int) -> Class:
-        own = self.items[at:end]
-        known = np.zeros(len(self.vocabulary) + 1, bool)
-        for _, ws in own:
-            known[ws] = True
-        most = len(own[-1][1])
-        found = Class(len(own[0][1]), most, allowed(most, self.settings.similarity), known)
-        for part, bits, steps in self.walks:
-            offset = int(part * max(0, found.least - self.settings.steps // 2))
-            padded = np.zeros((len(own), most + self.settings.steps + 1), np.int64)
-            for row, (_, ws) in zip(padded, own, strict=True):
-                row[: len(ws)] = ws
-            flat, starts = padded.ravel(), np.arange(len(own)) * padded.shape[1] + offset
-            keys, whole = self._walk(flat, starts, bits, steps)
-            order = np.argsort(keys[whole], kind="stable")
-            found.keys.append((offset, keys[whole][order], (np.flatnonzero(whole) + at)[order]))
+    def _class(self, at: int, end: int, short: bool, rng: np.random.Generator) -> Class:
+        own, s = self.items[at:end], self.settings
+        least, most = len(own[0][1]), len(own[-1][1])
+        needs = {q: min(n - q + 1 - q * allowed(n, s.similarity) for n in {len(ws) for _, ws in own}) for q in (3, 2, 1)}
+        q = next((q for q in (3, 2) if needs[q] >= 1), 1)
+        runs = [runs_of(np.array(ws, np.int64), q)[: len(ws) - q + 1] for _, ws in own]
+        found = Class(least, most, allowed(most, s.similarity), q, max(1, needs[q]), np.unique(np.concatenate(runs)))
+        if short:
+            run, place, item = np.concatenate(runs), np.concatenate([np.arange(len(r)) for r in runs]), np.repeat(np.arange(at, end), [len(r) for r in runs])
+            order = np.argsort(run, kind="stable")
+            found.holders = (run[order], place[order], item[order])
+            return found
+        walk = 2 * least  # a walk stays put at every other step
+        found.steps = np.stack([np.sort(rng.choice(walk, s.sampled, replace=False)) for _ in range(s.repetitions)])
+        padded = np.zeros((len(own), most + walk + 1), np.int64)
+        for row, (_, ws) in zip(padded, own, strict=True):
+            row[: len(ws)] = ws
+        keys, whole = self._walk(found, padded.ravel(), np.arange(len(own)) * padded.shape[1])
+        for key, good in zip(keys, whole, strict=True):
+            order = np.argsort(key[good], kind="stable")
+            found.keys.append((key[good][order], (np.flatnonzero(good) + at)[order]))
         return found
 
-    def _walk(self, words: np.ndarray, starts: np.ndarray, bits: np.ndarray, steps: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """The key of each start, and whether all sampled words are of the vocabulary."""
-        place, key, whole = starts.copy(), np.zeros(len(starts), np.int64), np.ones(len(starts), bool)
-        sampled = set(steps.tolist())
-        for j in range(int(steps[-1]) + 1):
+    def _walk(self, c: Class, words: np.ndarray, starts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """The key of each repetition and start, and whether all its sampled words are of the vocabulary."""
+        shape = (len(self.bits), len(starts))
+        place, key, whole = np.broadcast_to(starts, shape).copy(), np.zeros(shape, np.int64), np.ones(shape, bool)
+        rows = np.arange(len(self.bits))[:, None]
+        for j in range(int(c.steps.max(initial=-1)) + 1):
             w = words[place]
-            if j in sampled:
-                key = key * 1_000_003 + w
-                whole &= w > 0
-            place += bits[w] >> j & 1
+            at = np.flatnonzero((c.steps == j).any(axis=1))
+            key[at] = key[at] * 1_000_003 + w[at]
+            whole[at] &= w[at] > 0
+            turn = self.bits[:, :1] + np.uint64(j * ODD & (1 << 64) - 1)
+            turn = (turn ^ turn >> np.uint64(31)) * np.uint64(ODD) | np.uint64(1)
+            place += (self.bits[rows, w] * turn >> np.uint64(63)).astype(np.int64)
         return key, whole
 
     def candidates(self, words: np.ndarray) -> set[tuple[int, int]]:
         """(start of the item, place of the item in self.items) over words, vocabulary numbers with 0 for any other."""
         found: set[tuple[int, int]] = set()
-        padded = np.concatenate([words, np.zeros(self.settings.steps + 1, np.int64)])
+        runs = {q: runs_of(words, q) for q in {c.q for c in self.classes}}
+        places = {q: np.flatnonzero(r) for q, r in runs.items()}
+        padded = np.concatenate([words, np.zeros(2 * max([0, *(c.least for c in self.classes)]) + 1, np.int64)])
         for c in self.classes:
-            size = max(1, c.least - c.edits)
-            if len(words) < size:
+            own, at = runs[c.q], places[c.q]
+            at = at[c.runs[np.minimum(np.searchsorted(c.runs, own[at]), len(c.runs) - 1)] == own[at]]
+            if c.holders is not None:
+                run, place, item = c.holders
+                left, right = np.searchsorted(run, own[at], "left"), np.searchsorted(run, own[at], "right")
+                for p, a, b in zip(at.tolist(), left.tolist(), right.tolist(), strict=True):
+                    found.update(zip((p - place[a:b]).tolist(), item[a:b].tolist(), strict=True))
                 continue
-            total = np.concatenate([[0], np.cumsum(c.known[words])])
-            good = total[size:] - total[:-size] >= size - c.edits
-            if not good.any():
-                continue
-            near = np.concatenate([[0], np.cumsum(np.concatenate([np.zeros(c.edits, bool), good, np.zeros(c.edits + size, bool)]))])
-            near = near[2 * c.edits + 1 :] > near[: -(2 * c.edits + 1)]  # near[i]: a good start within c.edits of i
-            at = np.flatnonzero(near[: len(words)])
-            for (_, bits, steps), (offset, keys, items) in zip(self.walks, c.keys, strict=True):
-                starts = at + offset
-                starts = starts[starts < len(words)]
-                key, whole = self._walk(padded, starts, bits, steps)
-                starts, key = starts[whole], key[whole]
-                left, right = np.searchsorted(keys, key, "left"), np.searchsorted(keys, key, "right")
-                for k in np.flatnonzero(right > left).tolist():
-                    found.update((int(starts[k]) - offset, int(i)) for i in items[left[k] : right[k]])
+            starts = self._starts(at, c, len(words))
+            for first in range(0, len(starts), WALKS):
+                some = starts[first : first + WALKS]
+                for key, whole, (keys, items) in zip(*self._walk(c, padded, some), c.keys, strict=True):
+                    begin, key = some[whole], key[whole]
+                    left, right = np.searchsorted(keys, key, "left"), np.searchsorted(keys, key, "right")
+                    for k in np.flatnonzero(right > left).tolist():
+                        found.update((int(begin[k]), int(i)) for i in items[left[k] : right[k]])
         return found
 
+    @staticmethod
+    def _starts(at: np.ndarray, c: Class, n: int) -> np.ndarray:
+        """Places of a text of n words from which a window of at most c.most + c.edits words holds c.need of the runs at `at`."""
+        if len(at) < c.need:
+            return at[:0]
+        width = c.most + c.edits - c.q + 1
+        first, last = at[: len(at) - c.need + 1], at[c.need - 1 :]
+        near = last - first < width
+        # a window holds these c.need runs if it starts at the first of them at the latest and reaches the last
+        low, high = np.maximum(last[near] - width + 1, 0), first[near] + 1
+        change = np.bincount(low, minlength=n + 1)[: n + 1] - np.bincount(high, minlength=n + 1)[: n + 1]
+        return np.flatnonzero(np.cumsum(change[:n]) > 0)
+
     def matches(self, words: np.ndarray, candidates: set[tuple[int, int]] | list[tuple[int, int]] | None = None) -> dict[int, tuple[int, int, int, int]]:
         """item_id to (edits, item words, start, end) of its best verified match; of equal ones the first."""
         best: dict[int, tuple[int, int, int, int]] = {}
@@ -271,8 +313,8 @@ def _items(benchmark: DataFrame) -> DataFrame:
 def find_contamination(docs: DataFrame, benchmark: DataFrame, settings: Settings = Settings(), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """A row for each document and benchmark item that it holds, with the edits and the words of the best place.
 
-    Words are runs of letters and digits, lower-cased. Null or empty texts match nothing; items with a null id or fewer
-    than min_words words are not looked for. Equal items are found each under its id. A null doc_id is kept; a doc_id
+    Words are runs of letters and digits, lower-cased. Null or empty texts match nothing; items with a null id or without a
+    word, or with fewer than min_words, are not looked for. Equal items are found each under its id. A null doc_id is kept; a doc_id
     that occurs twice has its rows for each of its texts. Documents stay where they are: one pass for each block of
     items, no shuffle. No documents or no items: an empty result.
     """

@@ -5,7 +5,7 @@ import random
 import numpy as np
 import pytest
 
-from distill_filter.llm.decontaminate import Index, Settings, allowed, best_match, find_contamination, item_blocks, without_contaminated, words_of
+from distill_filter.llm.decontaminate import Index, Settings, allowed, best_match, find_contamination, item_blocks, runs_of, without_contaminated, words_of
 
 
 def slow_best(item, text):
@@ -60,6 +60,42 @@ def test_recall_at_the_bound(tables):
         assert found / tries >= least, (share, found / tries)
 
 
+def test_recall_where_edits_lie_together(tables):
+    items, docs = tables
+    index, rnd, pool = Index(items), random.Random(4), [w for d in docs[:40] for w in d]
+    found = 0
+    for item_id, ws in items:
+        at, copy = rnd.randrange(len(ws)), list(ws)
+        for _ in range(allowed(len(ws), 0.8)):
+            place, what = min(at + rnd.randrange(3), len(copy) - 1), rnd.randrange(3)
+            copy[place : place + (what < 2)] = [rnd.choice(pool)] * (what > 0)
+        doc = docs[rnd.randrange(len(docs))]
+        found += item_id in index.matches(index.number([" ".join(doc[:30] + copy + doc[30:])])[0])
+    assert found / len(items) >= 0.95
+
+
+def test_short_items_are_found_without_a_loss():
+    rnd = random.Random(3)
+    items = [(i, [f"w{rnd.randrange(12)}" for _ in range(1 + i % 7)]) for i in range(60)]
+    index = Index(items)
+    for _ in range(300):
+        words = np.array([index.vocabulary.get(f"w{rnd.randrange(16)}", 0) for _ in range(rnd.randrange(25))], dtype=np.int64)
+        want = {i: d for i, ws in index.items if (d := slow_best(ws, words.tolist())) <= allowed(len(ws), 0.8)}
+        assert {i: m[0] for i, m in index.matches(words).items()} == want
+
+
+def test_windows_that_can_match_all_walk(tables):
+    items, docs = tables
+    index, rnd, pool = Index(items), random.Random(6), [w for d in docs[:40] for w in d]
+    for c in index.classes:
+        for ws in [ws for _, ws in items if c.least <= len(ws) <= c.most][:10]:
+            copy = edit(rnd, ws, allowed(len(ws), 0.8), pool)
+            line = np.array([index.vocabulary.get(w, 0) for w in docs[0][:50] + copy + docs[1][:50]])
+            runs = runs_of(line, c.q)
+            start = min(50, len(docs[0]))
+            assert start in index._starts(np.flatnonzero(np.isin(runs, c.runs) & (runs > 0)), c, len(line))
+
+
 def test_no_false_matches_and_brute_force(tables):
     items, docs = tables
     index = Index(items)
