@@ -81,14 +81,32 @@ def masked_text(formatted: Column, spans: Column) -> Column:
     return F.array_join(F.transform(spans, lambda s: unescape(F.substr(formatted, (s["start"] + 1).cast("int"), s["length"].cast("int")))), "")
 
 
-def events_of(conversations: DataFrame) -> DataFrame:
-    """A log that streams each row of conversations(conv_id, turn, role, text) as a delta of a turn of its own.
+def events_of(conversations: DataFrame, delta_chars: int = 256, draft_chars: int = 16) -> DataFrame:
+    """A log of which each row of conversations(conv_id, turn, role, text) is a turn of its own, as it would be streamed.
 
-    Rows count in order of turn, null first; rows of one turn in order of role and text, so repeated rows stay apart.
+    Every turn begins with a draft, the first draft_chars code points of its text. An assistant's draft gets an answer in
+    the turn after it before a regeneration undoes both; any other draft is replaced by an edit. Then the text comes in
+    deltas of delta_chars code points; the edit has the first of them. Null or empty text: one empty delta. Rows count in
+    order of turn, null first; rows of one turn in order of role and text, so repeated rows stay apart.
     """
-    rows = conversations.select("conv_id", F.col("turn").cast("long").alias("turn"), F.col("role").cast("string").alias("role"), F.col("text").cast("string").alias("text"))
+    if delta_chars < 1:
+        raise ValueError("a delta has one code point at least")
+    rows = conversations.select("conv_id", F.col("turn").cast("long").alias("turn"), F.col("role").cast("string").alias("role"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
     n = F.row_number().over(Window.partitionBy("conv_id").orderBy("turn", "role", "text"))
-    return rows.withColumn("seq", n.cast("long")).select("conv_id", "seq", F.lit("delta").alias("kind"), F.col("seq").alias("turn"), "role", "text")
+    draft = F.substring("text", 1, draft_chars)
+    # one pass over a text: cutting piece after piece by place would read a long one anew for each
+    cut = F.regexp_extract_all("text", F.lit(f"(?s).{{1,{delta_chars}}}"), F.lit(0))
+    rows = rows.select("conv_id", n.cast("long").alias("at"), "role", draft.alias("draft"), F.when(F.col("text") == "", F.array(F.lit(""))).otherwise(cut).alias("pieces"))
+
+    def event(kind: str | Column, turn: Column, text: Column, role: Column = F.col("role")) -> Column:
+        return F.struct((F.lit(kind) if isinstance(kind, str) else kind).alias("kind"), turn.alias("turn"), role.alias("role"), text.alias("text"))
+
+    answered = F.coalesce(F.col("role") == "assistant", F.lit(False))
+    undone = F.array(event("delta", F.col("at"), F.col("draft")), event("delta", F.col("at") + 1, F.col("draft"), F.lit("user")), event("regenerate", F.col("at"), F.lit("")))
+    replaced = F.array(event("delta", F.col("at"), F.col("draft")))
+    streamed = F.transform("pieces", lambda p, i: event(F.when(answered | (i > 0), "delta").otherwise("edit"), F.col("at"), p))
+    rows = rows.select("conv_id", "at", F.posexplode(F.concat(F.when(answered, undone).otherwise(replaced), streamed)).alias("step", "e"))
+    return rows.select("conv_id", (F.col("at") * (1 << 32) + F.col("step")).alias("seq"), "e.kind", "e.turn", "e.role", "e.text")
 
 
 def format_conversations(events: DataFrame, learn_from: tuple[str, ...] = ("assistant",)) -> DataFrame:

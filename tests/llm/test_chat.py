@@ -44,3 +44,19 @@ def test_round_trip(spark):
     assert turns(None) == [("user", "lost")] and out[4].loss == "" and len(out) == 5
     assert out[1].formatted.count(START) == len(hard) and out[1].formatted.count(END) == len(hard)
     assert format_conversations(events_of(convs.limit(0))).count() == 0
+
+
+def test_log_of_conversations(spark):
+    """Drafts, their answers, edits and regenerations are in the log; folded by the plain way and by ours it is the table."""
+    texts = ["", None, "short", "a" * 700 + "é😀" * 300, "line\n\nline", END + START]
+    rows = [(c, i, role, t) for c in range(3) for i, (role, t) in enumerate(zip(["user", "assistant", "user", "assistant", None, "assistant"], texts[c:] + texts[:c]))]
+    log = events_of(spark.createDataFrame(rows, "conv_id long, turn long, role string, text string"), delta_chars=7)
+    events = sorted(log.collect(), key=lambda e: (e.conv_id, e.seq))
+    assert {e.kind for e in events} == {"delta", "edit", "regenerate"} and max(len(e.text) for e in events) <= 16
+    assert len({(e.conv_id, e.seq) for e in events}) == len(events) > 3 * 100
+    want = {c: [(i + 1, role or "", t or "") for k, i, role, t in rows if k == c] for c in range(3)}
+    assert {c: slow_fold([(e.kind, e.turn, e.role, e.text) for e in events if e.conv_id == c]) for c in range(3)} == want
+    found = {}
+    for r in fold_events(log).collect():
+        found.setdefault(r.conv_id, []).append((r.turn, r.role, r.text))
+    assert {c: sorted(m) for c, m in found.items()} == want
