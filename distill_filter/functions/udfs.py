@@ -11,34 +11,45 @@ from pyspark.sql import functions as F
 from pyspark.sql.types import IntegerType
 
 from ..operators import students
-from ..operators.teacher import HOSTILE, JUNK_MARKS, LEGAL, REPEAT
-
-
-def _rules(text: str | None) -> dict[str, int]:
-    text = text or ""
-    words = text.split()
-    plain = ["".join(c for c in w.lower() if "a" <= c <= "z") for w in words]
-    junk = any(m in text for m in JUNK_MARKS) or len({w.lower() for w in words}) < REPEAT * len(words)
-    return {"topic_hostile": int(any(p in HOSTILE for p in plain)), "topic_legal": int(any(re.search(p, text.lower()) for p in LEGAL)), "topic_private": int(any(c in "0123456789" for c in text)), "quality": int(not junk)}
+from ..operators.teacher import COMMON_SHARE, HOSTILE, JUNK_MARKS, LEGAL, REPEAT
+from .text import BLANK
+
+
+def rule_sql(common: list[str] | None = None) -> str:
+    """The five rules as one SQL expression over spec and t, as the columns of operators.teacher state them.
+
+    Null text: as empty. An unknown spec: null. Without `common`, as there, no token counts as mainstream.
+    """
+    text = lambda x: "'" + x.replace("\\", "\\\\").replace("'", "\\'") + "'"
+    among = lambda words: ", ".join(map(text, words))
+    toks = f"filter(split(coalesce(t, ''), {text(BLANK)}), x -> x <> '')"
+    junk = " OR ".join(f"contains(coalesce(t, ''), {text(m)})" for m in JUNK_MARKS)
+    legal = " OR ".join(f"lower(coalesce(t, '')) RLIKE {text(p)}" for p in LEGAL)
+    cases = {
+        "topic_hostile": f"exists({toks}, x -> regexp_replace(lower(x), '[^a-z]', '') IN ({among(HOSTILE)}))",
+        "topic_legal": legal,
+        "topic_private": f"exists({toks}, x -> x RLIKE '[0-9]')",
+        "mainstream": f"size(filter({toks}, x -> lower(x) IN ({among(common or [''])}))) >= {COMMON_SHARE} * size({toks})",
+        "quality": f"NOT ({junk} OR size(array_distinct(transform({toks}, x -> lower(x)))) < {REPEAT} * size({toks}))",
+    }
+    return "CASE spec " + " ".join(f"WHEN '{k}' THEN CAST(({v}) AS INT)" for k, v in cases.items()) + " END"
 
 
 class CutSnippets:
     """SELECT * FROM documents, LATERAL cut_snippets(text, 64)"""
 
     def eval(self, text: str, width: int) -> Iterator[tuple[int, str, int]]:
-        words = (text or "").split()
+        words = [w for w in re.split(BLANK, text or "") if w]
         for k in range(0, len(words), width):
             yield k // width, " ".join(words[k : k + width]), len(words[k : k + width])
 
 
-def register(spark: SparkSession, models: dict[str, students.LogOdds] | None = None) -> None:
-    """teacher_verdict(spec, text), passes(filter, text) for each model, and the table function cut_snippets(text, width)."""
-
-    @F.pandas_udf(IntegerType())
-    def teacher_verdict(spec: pd.Series, text: pd.Series) -> pd.Series:
-        return pd.Series([_rules(t).get(s) for s, t in zip(spec, text, strict=True)], dtype="Int32")
+def register(spark: SparkSession, models: dict[str, students.LogOdds] | None = None, common: list[str] | None = None) -> None:
+    """teacher_verdict(spec, text), passes(filter, text) for each model, and the table function cut_snippets(text, width).
 
-    spark.udf.register("teacher_verdict", teacher_verdict)
+    common: the tokens that the mainstream rule goes by, a list that teacher.common_tokens bounds.
+    """
+    spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION teacher_verdict(spec STRING, t STRING) RETURNS INT RETURN {rule_sql(common)}")
     spark.udtf.register("cut_snippets", F.udtf(CutSnippets, returnType="seq: int, snippet: string, n_tokens: int"))
     if models:
         held = models

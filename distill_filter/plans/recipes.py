@@ -77,3 +77,36 @@ def unigram_cross_entropy(selected: DataFrame, texts: DataFrame) -> DataFrame:
     rows = asked.join(counts, "token", "left").crossJoin(F.broadcast(size))
     nats = -F.ln((F.coalesce("n", F.lit(0)) + 1.0) / (F.coalesce("total", F.lit(0)) + F.col("kinds") + 1.0))
     return rows.agg((F.sum(F.col("m") * nats) / F.sum("m")).alias("nats"))
+
+
+def pairs(texts: DataFrame, *names: str) -> DataFrame:
+    """A row (names, a, b) for each two neighbouring tokens of a text, in lower case."""
+    rows = texts.select(*names, tokens(F.lower("text")).alias("__w"))
+    inner = F.transform(F.slice("__w", 1, F.greatest(F.size("__w") - 1, F.lit(0))), lambda t, i: F.struct(t.alias("a"), F.get("__w", i + 1).alias("b")))
+    return rows.select(*names, F.explode(inner).alias("__p")).select(*names, "__p.a", "__p.b")
+
+
+def bigram_cross_entropy(selected: DataFrame, texts: DataFrame) -> DataFrame:
+    """(nats): mean negative log-probability of a token of the texts after the one before it, under add-one counts of a
+    selection's pairs. Texts of under two tokens have none; no pairs asked: null."""
+    seen = pairs(selected).groupBy("a", "b").agg(F.count("*").alias("n"))
+    heads = seen.groupBy("a").agg(F.sum("n").alias("total"))
+    kinds = seen.select(F.col("b").alias("t")).distinct().agg(F.count("*").alias("kinds"))
+    asked = pairs(texts).groupBy("a", "b").agg(F.count("*").alias("m"))
+    rows = asked.join(seen, ["a", "b"], "left").join(heads, "a", "left").crossJoin(F.broadcast(kinds))
+    nats = -F.ln((F.coalesce("n", F.lit(0)) + 1.0) / (F.coalesce("total", F.lit(0)) + F.col("kinds") + 1.0))
+    return rows.agg((F.sum(F.col("m") * nats) / F.sum("m")).alias("nats"))
+
+
+def runs(texts: DataFrame, width: int, *names: str) -> DataFrame:
+    """A row (names, run) for each run of `width` tokens of a text, in lower case; shorter texts have none."""
+    rows = texts.select(*names, tokens(F.lower("text")).alias("__w"))
+    starts = F.when(F.size("__w") >= width, F.sequence(F.lit(1), F.size("__w") - width + 1))
+    return rows.select(*names, F.explode(starts).alias("__i"), "__w").select(*names, F.array_join(F.slice("__w", F.col("__i"), width), " ").alias("run"))
+
+
+def contaminated(docs: DataFrame, items: DataFrame, width: int = 8) -> DataFrame:
+    """(doc_id) of docs that hold a run of `width` tokens of an item. The items' side goes to all tasks where Catalyst
+    finds it small enough, and is joined by a shuffle of runs beyond that."""
+    known = runs(items, width).distinct()
+    return runs(docs, width, "doc_id").join(known, "run", "left_semi").select("doc_id").distinct()

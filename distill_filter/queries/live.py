@@ -11,7 +11,7 @@ from ..sources.tables import materialise, shared_dir, table
 from ..streaming import live
 from . import twins
 from ..plans.active import RuleAnnotator
-from .methods import BLOCKS, ENGINE, ROUND, SCORED, SEED, SNIPS, STREAM, engine_sql, first_student, m06, round_sql, scored, stream, with_sql
+from .methods import BLOCKS, ENGINE, FIVE, ROUND, SCORED, SEED, SNIPS, STREAM, common_words, engine_sql, first_student, m06, round_sql, scored, stream, with_sql
 from .registry import query
 
 
@@ -162,6 +162,18 @@ def x06(spark, sf):
     return spark.sql("SELECT snippet_id, teacher_verdict('topic_hostile', text) AS hostile, teacher_verdict('quality', text) AS quality FROM __stream")
 
 
+RULES_SQL = ", ".join(f"{twins.rule(x)} AS {x}" for x in FIVE)
+ODD = "SELECT 'odd1' AS snippet_id, concat('one', chr(160), 'idiot two', chr(160), '5') AS text UNION ALL SELECT 'odd2', '' UNION ALL SELECT 'odd3', 'IDIOT! \t Copyright'"
+
+
+@query("x06b_five_rules", with_sql(f"{SNIPS}, {twins.COMMON}, t AS (SELECT snippet_id, text FROM snips UNION ALL {ODD})", f"SELECT snippet_id, {RULES_SQL} FROM t, (SELECT list(token) AS cm FROM common)"))
+def x06b(spark, sf):
+    """All five rules by name from SQL, also on texts with other white space than the rules split on."""
+    udfs.register(spark, common=common_words(spark, sf))
+    stream(spark, sf).select("snippet_id", "text").union(spark.sql(ODD.replace("chr(160)", "decode(unhex('C2A0'), 'UTF-8')"))).createOrReplaceTempView("__stream")
+    return spark.sql(f"SELECT snippet_id, {', '.join(f"teacher_verdict('{x}', text) AS {x}" for x in FIVE)} FROM __stream")
+
+
 @query("x07_sql_view", with_sql(SCORED, "SELECT snippet_id FROM scored WHERE margin_micro > 0"))
 def x07(spark, sf):
     udfs.register(spark, {"quality": first_student(spark, sf)})

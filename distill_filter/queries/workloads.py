@@ -284,6 +284,40 @@ def a18(spark, sf):
     return rows.groupBy("good").agg(F.count("*").alias("n"), F.round(F.avg("quality"), 6).alias("quality"), F.round(F.avg("toxic"), 6).alias("toxic"), (F.count("*") - F.countDistinct(F.md5("text"))).alias("copies"))
 
 
+def pair_sql(source: str) -> str:
+    return f"SELECT w[i] AS a, w[i + 1] AS b FROM (SELECT w, unnest(range(1, len(w))) AS i FROM (SELECT {twins.tokens('lower(text)')} AS w FROM {source}))"
+
+
+def bigram_sql(name: str, source: str) -> str:
+    return f"""{name}_s AS (SELECT a, b, count(*) AS n FROM ({pair_sql(source)}) GROUP BY a, b), {name}_h AS (SELECT a, sum(n) AS total FROM {name}_s GROUP BY a), {name}_k AS (SELECT count(DISTINCT b) AS kinds FROM {name}_s),
+    {name} AS (SELECT '{name}' AS selection, round(sum(m * -ln((coalesce(n, 0) + 1.0::DOUBLE) / (coalesce(total, 0) + kinds + 1.0::DOUBLE))) / sum(m), 6) AS nats FROM asked LEFT JOIN {name}_s USING (a, b) LEFT JOIN {name}_h USING (a), {name}_k)"""
+
+
+GOOD = f"SELECT text FROM documents WHERE {PRESET}"
+
+
+@query("a17b_bigram_proxy", f"WITH asked AS (SELECT a, b, count(*) AS m FROM ({pair_sql('benchmark')}) GROUP BY a, b), {bigram_sql('whole', 'documents')}, {bigram_sql('preset', f'({GOOD})')} SELECT * FROM whole UNION ALL SELECT * FROM preset")
+def a17b(spark, sf):
+    """Bigram cross-entropy of the benchmark under all documents and under those that preset rules find nothing wrong with."""
+    docs = table(spark, sf, "documents")
+    found = {"whole": docs, "preset": docs.where(recipes.preset_detectors(F.col("text")) == 1)}
+    one = {k: recipes.bigram_cross_entropy(d, table(spark, sf, "benchmark")).select(F.lit(k).alias("selection"), F.round("nats", 6).alias("nats")) for k, d in found.items()}
+    return one["whole"].union(one["preset"])
+
+
+def runs_sql(source: str, names: str = "", width: int = 8) -> str:
+    return f"SELECT {names} array_to_string(w[i:i + {width - 1}], ' ') AS run FROM (SELECT {names} w, unnest(range(1, len(w) - {width - 2})) AS i FROM (SELECT {names} {twins.tokens('lower(text)')} AS w FROM {source}))"
+
+
+@query("a18b_contamination", f"SELECT good, count(*) AS n, count(c.doc_id) AS contaminated, round(count(c.doc_id) / count(*)::DOUBLE, 6) AS share FROM (SELECT doc_id, {PRESET}::INT AS good FROM documents) LEFT JOIN (SELECT DISTINCT doc_id FROM ({runs_sql('documents', 'doc_id,')}) WHERE run IN (SELECT run FROM ({runs_sql('benchmark')}))) c USING (doc_id) GROUP BY good")
+def a18b(spark, sf):
+    """Share of documents that hold eight words in a row of a benchmark item, among those that pass the preset rules and the rest."""
+    docs = table(spark, sf, "documents")
+    hit = recipes.contaminated(docs, table(spark, sf, "benchmark")).select("doc_id", F.lit(1).alias("hit"))
+    rows = docs.select("doc_id", recipes.preset_detectors(F.col("text")).alias("good")).join(hit, "doc_id", "left")
+    return rows.groupBy("good").agg(F.count("*").alias("n"), F.count("hit").alias("contaminated"), F.round(F.count("hit") / F.count("*"), 6).alias("share"))
+
+
 @query("w05_challenge")
 def w05(spark, sf):
     """Selections of an equal token budget by recipe, three trials each: cross-entropy of the benchmark texts, and label quality."""

@@ -1,5 +1,6 @@
 """Queries use every row of their inputs."""
 
+import math
 import datetime
 import random
 import shutil
@@ -66,3 +67,15 @@ def test_mainstream_is_among_the_filters(spark):
     rows = queries.QUERIES["w01_five_filters"](spark, SF).collect()
     assert {r.spec for r in rows} == {"topic_hostile", "topic_legal", "topic_private", "mainstream", "quality"} and len(rows) == 15
     assert {(r.spec, r.group_no) for r in queries.QUERIES["w07_human_eval"](spark, SF).collect()} == {(s, g) for s in ("mainstream", "quality") for g in (0, 1, 2)}
+
+
+def test_pair_and_run_measures_on_odd_rows(spark):
+    from distill_filter.plans import recipes
+
+    docs = spark.createDataFrame([(1, "a b a b"), (2, None), (3, ""), (4, "A"), (5, "x a B c")], "doc_id long, text string").selectExpr("*", "'k' as run", "0 as n")
+    items = spark.createDataFrame([("a  b c",), (None,), ("a",)], "text string")
+    nats = recipes.bigram_cross_entropy(docs, items).first().nats
+    assert abs(nats - (-math.log(4 / (3 + 3 + 1)) - math.log(2 / (2 + 3 + 1))) / 2) < 1e-12
+    assert recipes.bigram_cross_entropy(docs, items.limit(0)).first().nats is None
+    assert [r.doc_id for r in recipes.contaminated(docs, items, 3).collect()] == [5]
+    assert recipes.contaminated(docs.limit(0), items, 3).count() == 0
