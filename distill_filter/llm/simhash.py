@@ -21,11 +21,13 @@ from pyspark.sql import functions as F
 
 from . import golay
 from .components import connected_components
-from .shared import binary, materialise, tidy
+from .shared import binary, materialise, remove, tidy
 
 MAX_BITS = 3
 SEGMENTS = ((42, 22), (21, 21), (0, 21))
 PAIRS = ((0, 1), (0, 2), (1, 0), (1, 2), (2, 0), (2, 1))
+#: Fingerprints whose keys one task makes: 66 keys each in the mean.
+KEYED = 250_000
 #: A bucket with more fingerprints is split into blocks of about half as many, compared two at a time.
 BUCKET = 2048
 
@@ -152,17 +154,24 @@ def links(reps: DataFrame, max_bits: int = MAX_BITS, bucket: int = BUCKET) -> Da
     """Edges (a, b) between the ids of `reps(fp, rep)`, fp distinct, whose closure is that of all links.
 
     A key that many fingerprints share is dealt out: its rows go to about 2 * count / bucket blocks by a hash and each
-    pair of blocks is one group of `bucket` rows or so; none is dropped.
+    pair of blocks is one group of `bucket` rows or so; none is dropped. Keys are made once and written; they go when the
+    edges are written.
     """
     if not 0 <= max_bits <= MAX_BITS:
         raise ValueError(f"the segments prove links of {MAX_BITS} differing bits at most")
-    keys = reps.select("fp", "rep").mapInArrow(_emit_keys, "key long, fp long, rep long")
+    spark = reps.sparkSession
+    # few bytes become many: by number, as adaptive execution would join the small partitions again
+    spread = reps.select("fp", "rep").repartition(max(spark.sparkContext.defaultParallelism, reps.count() // KEYED))
+    keys = materialise(spread.mapInArrow(_emit_keys, "key long, fp long, rep long"), "keys")
     shared = keys.groupBy("key").agg(F.count("*").alias("n")).where("n > 1")
     dealt = keys.join(shared, "key").withColumn("blocks", F.when(F.col("n") > bucket, F.ceil(F.col("n") * 2 / bucket)).otherwise(1).cast("int"))
     own: Column = F.pmod(F.xxhash64("fp"), F.col("blocks")).cast("int")
     dealt = dealt.withColumn("own", own).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
     dealt = dealt.select("key", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "fp", "rep")
-    return dealt.repartition("key", "i", "j").sortWithinPartitions("key", "i", "j").mapInArrow(_link(max_bits), "a long, b long").distinct()
+    found = dealt.repartition("key", "i", "j").sortWithinPartitions("key", "i", "j").mapInArrow(_link(max_bits), "a long, b long").distinct()
+    found = materialise(found, "links")
+    remove(keys, spark)
+    return found
 
 
 def simhash_components(docs: DataFrame, width: int = 3, max_bits: int = MAX_BITS, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
