@@ -8,10 +8,10 @@ from pyspark.sql import functions as F
 
 from distill_filter.llm.bpe import bpe_codec
 from distill_filter.llm.decontaminate import without_contaminated
-from distill_filter.llm.nearcopies import drop_near_copies
 from distill_filter.llm.pii import redact
 from distill_filter.llm.quality import keep_good
 from distill_filter.llm.shared import materialise
+from distill_filter.llm.simhash import drop_near_duplicates
 
 
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -20,8 +20,8 @@ def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 def simhash_near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each group of near copies, 0.8 or more alike by five-word shingles, the document with the smallest id stays."""
-    return drop_near_copies(docs)
+    """Of each group of documents whose SimHash fingerprints link, at 3 or fewer differing bits, the one with the smallest id stays."""
+    return drop_near_duplicates(docs)
 
 
 def benchmark_decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -44,6 +44,13 @@ def test_run_equals_plain_version(spark):
     assert {r.doc_id: (r.n_tokens, r.ids_sha256, r.decodes) for r in corpus_pipeline.run(spark, sf).collect()} == want and len(want) > 100
 
 
+def test_near_dedup_goes_by_fingerprints(spark):
+    docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet")
+    groups = slow_components({r.doc_id: slow_fingerprint(r.text) for r in docs.collect()})
+    left = [r.doc_id for r in corpus_pipeline.simhash_near_dedup(spark, docs, "").select("doc_id").collect()]
+    assert sorted(left) == sorted(i for i, g in groups.items() if i == g) and {145, 177} <= set(left)
+
+
 def test_stages_on_odd_rows(spark):
     text = " ".join(f"the word{i} of" for i in range(40))
     other = " ".join(f"of other{i} the" for i in range(40)) + " a@b.co"
