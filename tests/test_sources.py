@@ -2,6 +2,7 @@
 
 import uuid
 
+import pytest
 from pyspark.sql import functions as F
 
 from distill_filter.config import RunConfig
@@ -10,6 +11,7 @@ from distill_filter.plans.explain import facts
 from distill_filter.sources import verdicts
 from distill_filter.sources.html import page_text
 from distill_filter.sources.tables import shared_dir
+from distill_filter.streaming import live
 from distill_filter.streaming.live import collect_live
 
 
@@ -73,3 +75,17 @@ def test_page_text_and_facts(spark):
     df = spark.createDataFrame([(html,), (None,), ("plain",)], "html string").select(page_text(F.col("html")).alias("t"))
     assert [r.t for r in df.collect()] == ["One & two<3", None, "plain"]
     assert facts(df)["exchanges"] == 0
+
+
+@pytest.mark.parametrize("mode", ["append", "complete", "update"])
+def test_drained_streams_lie_in_files(spark, mode, tmp_path):
+    """Rows and state of a drained stream stay out of the driver and the heaps; the session's settings come back."""
+    for k in range(3):
+        spark.createDataFrame([(i % 4 + k, 1) for i in range(10)], "user long, n int").coalesce(1).write.parquet(f"{tmp_path}/part={k}")
+    was = spark.conf.get(live.STATE_STORE)
+    rows = live.file_stream(spark, f"{tmp_path}/part=*", spark.read.parquet(f"{tmp_path}/part=0").schema)
+    got = live.drain(rows if mode == "append" else rows.groupBy("user").agg(F.sum("n").alias("n")), mode)
+    assert got.inputFiles() and spark.conf.get(live.STATE_STORE) == was
+    want = spark.read.parquet(f"{tmp_path}/part=*").groupBy("user").agg(F.sum("n").alias("n")).collect()
+    best = got.groupBy("user").agg((F.sum if mode == "append" else F.max)("n").alias("n"))
+    assert sorted(map(tuple, best.collect())) == sorted(map(tuple, want)) and (mode != "complete" or got.count() == len(want))
