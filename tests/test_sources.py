@@ -89,3 +89,24 @@ def test_drained_streams_lie_in_files(spark, mode, tmp_path):
     want = spark.read.parquet(f"{tmp_path}/part=*").groupBy("user").agg(F.sum("n").alias("n")).collect()
     best = got.groupBy("user").agg((F.sum if mode == "append" else F.max)("n").alias("n"))
     assert sorted(map(tuple, best.collect())) == sorted(map(tuple, want)) and (mode != "complete" or got.count() == len(want))
+
+
+@pytest.mark.parametrize("gap", [1, 1000])
+def test_live_batches_come_to_the_driver_by_pieces(spark, gap, monkeypatch):
+    from distill_filter.plans import active
+    import numpy as np
+
+    base, sizes, numbers = f"{shared_dir(spark)}/in-{uuid.uuid4().hex}", [], live.numbers
+    rows = spark.createDataFrame([(f"s{i}", i * gap, "good word" if i % 3 else "bad *** word") for i in range(120)], "snippet_id string, stream_pos bigint, text string")
+    rows.coalesce(1).write.parquet(f"{base}/part=0")
+    monkeypatch.setattr(live, "PIECE_ROWS", 16)
+    monkeypatch.setattr(live, "numbers", lambda *a: [sizes.append(len(x[0])) or x for x in [numbers(*a)]][0])
+    model, config = students.LogOdds({"***": -2_000_000, "good": 300_000}, 100_000), RunConfig(radius_scale=0.2)
+    got = collect_live(live.file_stream(spark, f"{base}/part=*", rows.schema), model, "quality", 500, 60, config)
+    table = students.score(rows, model).orderBy("stream_pos").toPandas()
+    label = (~table.text.str.contains("***", regex=False)).astype(int).to_numpy()
+    want, _ = active.local_round(np.arange(120), table.margin_micro.to_numpy(), label, 60, 500, config, [])
+    assert sorted(r.stream_pos for r in got.collect()) == (want * gap).tolist() and 1 < len(sizes) and max(sizes) <= 32
+    run = live.run_live(live.file_stream(spark, f"{base}/part=*", rows.schema), active.RuleAnnotator("quality"), 120, RunConfig(batch=20, budget=60, radius_scale=0.2))
+    whole = active.distil(rows.withColumn("stream_pos", (F.col("stream_pos") / gap).cast("bigint")), "quality", RunConfig(batch=20, budget=60, radius_scale=0.2))
+    assert sorted((r.round, r.snippet_id) for r in run.collect()) == sorted((r, s) for r, _, s, _, _ in whole.labels)
