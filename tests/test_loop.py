@@ -101,3 +101,15 @@ def test_live_state_is_numbers():
     now = LiveState(7, 9, 5, active.Collector(100, 4, config, 3, -2, 8, 1, counts, 2))
     back = LiveState.load(now.dump(), config)
     assert back.dump() == now.dump() and back.collector.counts.update(2, 100, 0.1, 1.0) == now.collector.counts.update(2, 100, 0.1, 1.0)
+
+
+def test_a_run_from_the_streams_head_is_the_whole_streams(spark, monkeypatch):
+    """Also where the head given at first is too short, and without the whole stream being written."""
+    from distill_filter.queries import methods
+
+    whole = methods.engine_run(spark, SF)
+    monkeypatch.setattr(methods, "stream", None)
+    for head_rows in (1, 300, 700, 1 << 18):
+        run = methods.head_run(spark, SF, head_rows=head_rows)
+        assert run.labels == whole.labels and run.model == whole.model and run.exhausted == whole.exhausted
+    assert methods.m15c(spark, SF).count() > 0
