@@ -1,10 +1,12 @@
 """Sources, sinks and the live form: cache, remote annotator, votes, restarts, page text."""
 
 import uuid
+from pathlib import Path
 
 import pytest
 from pyspark.sql import functions as F
 
+from distill_filter import queries
 from distill_filter.config import RunConfig
 from distill_filter.operators import students
 from distill_filter.plans.explain import facts
@@ -110,3 +112,19 @@ def test_live_batches_come_to_the_driver_by_pieces(spark, gap, monkeypatch):
     run = live.run_live(live.file_stream(spark, f"{base}/part=*", rows.schema), active.RuleAnnotator("quality"), 120, RunConfig(batch=20, budget=60, radius_scale=0.2))
     whole = active.distil(rows.withColumn("stream_pos", (F.col("stream_pos") / gap).cast("bigint")), "quality", RunConfig(batch=20, budget=60, radius_scale=0.2))
     assert sorted((r.round, r.snippet_id) for r in run.collect()) == sorted((r, s) for r, _, s, _, _ in whole.labels)
+
+
+def test_small_files_of_events_come_in_few_batches(spark, tmp_path):
+    """Sessions are all given out after each batch, so batches go by bytes and not by the number of files."""
+    rows = spark.read.parquet("/root/testdata/sf0.001/events.parquet")
+    rows.repartition(12).write.parquet(f"{tmp_path}/events.parquet")
+    before = {s.name for s in folders(spark, "live-")}
+    got = queries.QUERIES["t03b_session_stream"](spark, str(tmp_path))
+    made = [s for s in folders(spark, "live-") if s.name not in before and (s / "checkpoint").is_dir()]
+    assert len(made) == 1 and len([f for f in (made[0] / "checkpoint/commits").iterdir() if f.name.isdigit()]) == 1
+    assert sorted(map(tuple, got.collect())) == sorted(map(tuple, queries.QUERIES["t03_session"](spark, str(tmp_path)).collect()))
+
+
+def folders(spark, name):
+    """Folders of the shared place."""
+    return [p for p in Path(shared_dir(spark).removeprefix("file:")).iterdir() if p.name.startswith(name)]
