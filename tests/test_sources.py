@@ -125,6 +125,17 @@ def test_small_files_of_events_come_in_few_batches(spark, tmp_path):
     assert sorted(map(tuple, got.collect())) == sorted(map(tuple, queries.QUERIES["t03_session"](spark, str(tmp_path)).collect()))
 
 
+def test_arrivals_are_joined_without_the_ordered_stream(spark, monkeypatch):
+    """The join needs no order: all snippets ranked, and five verdicts on each, were most of its time."""
+    sf = "/root/testdata/sf0.001"
+    want = {r.snippet_id: r.margin_micro for r in queries.QUERIES["m07b_score_by_join"](spark, sf).collect()}
+    prior = queries.QUERIES["m06_student_fit"](spark, sf).where("token = ''").first().w_micro
+    monkeypatch.setattr("distill_filter.queries.methods.kept", None)
+    got = {r.snippet_id: r.w for r in queries.QUERIES["t07_stream_static"](spark, sf).collect()}
+    assert got and set(got) <= set(want)
+    assert all(max(-students.CLIP, min(students.CLIP, got.get(i, 0) + prior)) == m for i, m in want.items())
+
+
 def folders(spark, name):
     """Folders of the shared place."""
     return [p for p in Path(shared_dir(spark).removeprefix("file:")).iterdir() if p.name.startswith(name)]
