@@ -255,6 +255,17 @@ def test_recipes(spark):
     assert sorted(r.doc_id for r in same) == sorted(r.doc_id for r in recipes.take_tokens(docs, 1500, 1, 64).select("doc_id").collect())
 
 
+def test_snippets_wait_for_python_without_their_documents_tokens(spark):
+    """Each of a document's snippets was copied with all its tokens while it waited: the square of a document's length, on disk."""
+    docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet")
+    rows = engine.filter_corpus(snippets.cut(docs), students.LogOdds({"the": 5}, 1)).select("snippet_id", "doc_id", "n_tokens")
+    node = rows._jdf.queryExecution().optimizedPlan()
+    while node.nodeName() != "ArrowEvalPython":
+        node = node.children().apply(0)
+    held = node.children().apply(0).output()
+    assert sorted(held.apply(i).dataType().simpleString() for i in range(held.size())) == ["bigint", "int", "int", "string"]
+
+
 def test_plans_push_down_and_stay_narrow(spark):
     docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet")
     model = students.LogOdds({"the": 5}, 1)
